@@ -128,7 +128,7 @@ def profile(docs: DataFrame, sim: Similarity) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_shingles long, s1 long, s2 long")
 
 
-def _candidates(docs: DataFrame, sim: Similarity, parts: int) -> DataFrame:
+def _candidates(docs: DataFrame, sim: Similarity, parts: int, tasks: int) -> DataFrame:
     """Links of documents that agree on a fragment: each to the smallest document that a bucket shows."""
 
     def send(batches):
@@ -157,9 +157,16 @@ def _candidates(docs: DataFrame, sim: Similarity, parts: int) -> DataFrame:
                     ["part", "sig", "ids"],
                 )
 
-    def meet(table: pa.Table) -> pa.Table:
-        sig = np.concatenate([np.frombuffer(x.as_buffer(), np.uint64) for c in table.column("sig").chunks for x in c])
-        ids = np.concatenate([np.frombuffer(x.as_buffer(), np.int64) for c in table.column("ids").chunks for x in c])
+    def meet(batches):
+        sigs, owners = [], []
+        for batch in batches:
+            sigs += [np.frombuffer(x.as_buffer(), np.uint64) for x in batch.column("sig")]
+            owners += [np.frombuffer(x.as_buffer(), np.int64) for x in batch.column("ids")]
+        if not sigs:
+            return
+        sig, ids = np.concatenate(sigs), np.concatenate(owners)
+        sigs.clear()
+        owners.clear()
         order = np.argsort(sig, kind="stable")
         sig, ids = sig[order], ids[order]
         new = np.ones(len(sig), bool)
@@ -167,13 +174,14 @@ def _candidates(docs: DataFrame, sim: Similarity, parts: int) -> DataFrame:
         at = np.flatnonzero(new)
         size = np.diff(np.append(at, len(sig)))
         shared = size > 1
-        least = np.repeat(np.minimum.reduceat(ids, at)[shared], size[shared]) if shared.any() else np.zeros(0, np.int64)
-        member = ids[np.repeat(shared, size)]
-        a, b = spanning_stars(member, least)
-        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+        if not shared.any():
+            return
+        least = np.repeat(np.minimum.reduceat(ids, at)[shared], size[shared])
+        a, b = spanning_stars(ids[np.repeat(shared, size)], least)
+        yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
 
     packs = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).where("doc_id is not null").mapInArrow(send, "part int, sig binary, ids binary")
-    return packs.groupBy("part").applyInArrow(meet, "a long, b long")
+    return packs.repartition(tasks, "part").mapInArrow(meet, "a long, b long")
 
 
 def overlaps(h: np.ndarray, row: np.ndarray, rows: int, column: np.ndarray, other: int, columns: int, fragments: int = 8) -> np.ndarray:
@@ -223,8 +231,8 @@ def links(docs: DataFrame, reps: DataFrame, sim: Similarity, total: int, spread:
 
     total: number of shingles of all documents, from which the number of parts follows.
     """
-    parts = max(128, spread, total // (1 << 21))
-    near = components(_candidates(docs, sim, parts))
+    tasks = max(8, total >> 23)  # a forest each, of about two million signatures
+    near = components(_candidates(docs, sim, 16 * tasks, tasks))
     near = cut(near.withColumnRenamed("vertex", "doc_id").join(reps, "doc_id").select("doc_id", "component", "n_shingles"))
     sizes = near.groupBy("component").agg(F.count("*").alias("members"), F.sum("n_shingles").alias("grams")).where("members > 1")
     sizes = cut(sizes.withColumn("tiles", F.greatest(F.ceil(F.col("members") / TILE_DOCS), F.ceil(F.col("grams") / TILE_GRAMS)).cast("int")))
