@@ -1,8 +1,9 @@
 """Language identification by compression.
 
-For each learned language a raw-content dictionary is cut from sample texts.  A text is compressed, piece by piece, with each
-dictionary, and the language whose dictionary makes it smallest wins.  The margin between the best and the second size says how
-sure the choice is; narrow margins are rejected.
+For each learned language a raw-content dictionary is cut from sample texts.  A text, in lower case and with anything between
+letters as one space, is compressed piece by piece with each dictionary, and the language whose dictionary makes it smallest
+wins.  Equal sizes are settled by how many of its words the dictionaries hold.  The margin between the best and the second size
+says how sure the choice is; narrow margins are rejected.
 """
 
 from __future__ import annotations
@@ -10,6 +11,7 @@ from __future__ import annotations
 import re
 
 import pyarrow as pa
+import regex
 import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -17,10 +19,16 @@ from pyspark.sql import functions as F
 SAMPLE_ROWS = 300  # labelled rows of each language, at most, that dictionaries are cut from
 SAMPLE_CHARS = 2000  # characters of each
 DICTIONARY_BYTES = 96 << 10
-PIECE_BYTES = 4096
-LEVEL = 3
+PIECE_BYTES = 1024
+LEVEL = 9
+SETTLED = 1e-4  # score of a choice that only the words settle
 UNKNOWN = "und"
-_LETTER = re.compile(r"[^\W\d_]")
+_LETTER = regex.compile(r"\p{L}")
+_BETWEEN = re.compile(r"[\W\d_]+")
+
+
+def plain(text: str) -> str:
+    return f" {_BETWEEN.sub(' ', text.lower()).strip()} "
 
 
 def held_out(doc_id: Column) -> Column:
@@ -45,8 +53,8 @@ def learn(docs: DataFrame) -> dict[str, bytes]:
     for r in sorted(rows, key=lambda r: (r.lang, r.draw, r.doc_id, r.text or "")):
         own = pieces.setdefault(r.lang, [])
         if r.text and len(own) < SAMPLE_ROWS:
-            own.append(r.text.encode())
-    joined = {lang: b"\n".join(x) for lang, x in pieces.items() if x}
+            own.append(plain(r.text).encode())
+    joined = {lang: b"".join(x) for lang, x in pieces.items() if x}
     size = min([DICTIONARY_BYTES, *(max(1024, len(x)) for x in joined.values())])
     return {lang: x[-size:] for lang, x in sorted(joined.items())}
 
@@ -56,29 +64,37 @@ class Judge:
 
     def __init__(self, dictionaries: dict[str, bytes]) -> None:
         self.langs = list(dictionaries)
+        self.words = [set(raw.split()) for raw in dictionaries.values()]
         self.compress = []
         for raw in dictionaries.values():
             d = zstandard.ZstdCompressionDict(raw, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
             d.precompute_compress(level=LEVEL)
             self.compress.append(zstandard.ZstdCompressor(level=LEVEL, dict_data=d, write_checksum=False, write_content_size=False, write_dict_id=False).compress)
 
-    def sizes(self, text: str) -> list[int]:
-        raw = text.encode()
+    def sizes(self, raw: bytes) -> list[int]:
         pieces = [raw[a : a + PIECE_BYTES] for a in range(0, len(raw), PIECE_BYTES)]
         return [sum(len(c(p)) for p in pieces) for c in self.compress]
 
     def predict(self, text: str | None) -> tuple[str, float]:
-        """Language and margin, 0 to 1: the share by which the second size exceeds the best; ties go to the first name."""
+        """Language and score: the share, 0 to 1, by which the second size exceeds the best; 0 if even the words tie, for the first name."""
         if not text or not _LETTER.search(text) or not self.langs:
             return UNKNOWN, 0.0
-        sizes = self.sizes(text)
-        ranked = sorted(zip(sizes, self.langs, strict=True))
-        if len(ranked) == 1:
-            return ranked[0][1], 1.0
-        return ranked[0][1], (ranked[1][0] - ranked[0][0]) / ranked[1][0]
-
-
-def predict(docs: DataFrame, dictionaries: dict[str, bytes], least_margin: float = 0.0) -> DataFrame:
+        raw = plain(text).encode()
+        sizes = self.sizes(raw)
+        least = min(sizes)
+        best = [i for i, n in enumerate(sizes) if n == least]
+        if len(self.langs) == 1:
+            return self.langs[0], 1.0
+        if len(best) == 1:
+            second = sorted(sizes)[1]
+            return self.langs[best[0]], (second - least) / second
+        own = raw.split()
+        votes = [sum(w in self.words[i] for w in own) for i in best]
+        most = max(votes)
+        return self.langs[best[votes.index(most)]], SETTLED if votes.count(most) == 1 else 0.0
+
+
+def predict(docs: DataFrame, dictionaries: dict[str, bytes], least_margin: float = SETTLED) -> DataFrame:
     """``docs`` with lang_pred, score and rejected; columns of these names are replaced.
 
     A null text or one without a letter is ``und`` with score 0 and rejected.  A margin below ``least_margin`` is rejected and keeps its
@@ -99,7 +115,7 @@ def predict(docs: DataFrame, dictionaries: dict[str, bytes], least_margin: float
     return with_text.mapInArrow(run, schema)
 
 
-def identify(docs: DataFrame, least_margin: float = 0.0) -> DataFrame:
+def identify(docs: DataFrame, least_margin: float = SETTLED) -> DataFrame:
     """doc_id, held_out, lang_pred, score and rejected of every row of ``docs(doc_id, text, lang)``, learned from the table itself."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), held_out(F.col("doc_id")).alias("held_out"), F.col("text").cast("string").alias("text"))
     return predict(rows, learn(docs), least_margin).select("doc_id", "held_out", "lang_pred", "score", "rejected")

@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from corridor.llm import bpe, jaccard, neardup, substring, webp
+from corridor.llm import bpe, jaccard, langid, mixing, neardup, sharding, substring, urlfilter, webp
 from corridor.runtime import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -20,6 +21,18 @@ def op3_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard.jaccard_components(table(spark, sf_dir, "documents"), jaccard.Similarity(k=3, num=90, den=100))
 
 
+def op4_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return urlfilter.judge(table(spark, sf_dir, "pages"))
+
+
+def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.identify(table(spark, sf_dir, "documents"))
+
+
+def op6_histogram_sort_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.shards_by_bytes(table(spark, sf_dir, "documents"), 40)
+
+
 def op7_lossless_webp(spark: SparkSession, sf_dir: str) -> DataFrame:
     return webp.media_columns(table(spark, sf_dir, "documents"), with_media=False)
 
@@ -28,6 +41,11 @@ def op8_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.near_duplicates(table(spark, sf_dir, "embeddings"), 0.95)
 
 
+def op9_capped_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    drawn = mixing.draws(table(spark, sf_dir, "documents"))
+    return drawn.select("doc_id", "size", "source_size", "target", (F.col("size") * F.col("copies")).alias("taken"), "source", "copies")
+
+
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring.remove_repeats(table(spark, sf_dir, "documents"), 13, substring.kept_digest, "n_words long, n_removed long, kept_sha256 string")
 
@@ -37,4 +55,4 @@ def queries() -> dict[str, Query]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op4_url_filters": urlfilter.judge_sql()}
