@@ -88,8 +88,12 @@ def _drawn(rows: DataFrame, weights: tuple, share: float, epochs: float) -> Data
     return joined.select("doc_id", "source", "size", "source_size", "target", (F.col("whole") + extra).cast("long").alias("copies"))
 
 
+BROADCAST_ROWS = 1 << 20
+
+
 def mixed(docs: DataFrame, **options) -> DataFrame:
     """``docs`` with each row as often as it is drawn; rows that repeat a doc_id share what one of them draws."""
-    own = draws(docs, **options).groupBy("doc_id").agg(F.max("copies").alias("__copies"))
-    taken = docs.join(own, docs.doc_id.cast("long").eqNullSafe(own.doc_id)).drop(own.doc_id)
-    return taken.withColumn("__copy", F.explode(F.expr("if(__copies > 0, sequence(1L, __copies), array())"))).drop("__copies", "__copy")
+    own = cut(draws(docs, **options).groupBy(F.col("doc_id").alias("__id")).agg(F.max("copies").alias("__copies")))
+    own = F.broadcast(own) if own.count() <= BROADCAST_ROWS else own
+    taken = docs.join(own, F.col("doc_id").cast("long").eqNullSafe(F.col("__id")))
+    return taken.withColumn("__copy", F.explode(F.expr("if(__copies > 0, sequence(1L, __copies), cast(array() as array<bigint>))"))).drop("__id", "__copies", "__copy")

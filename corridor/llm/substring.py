@@ -167,9 +167,11 @@ def repeated_windows(docs: DataFrame, window: int, budget: int = GROUP_WINDOWS,
     return found, parts
 
 
-def remove_repeats(docs: DataFrame, window: int = 13, cutter: Callable | None = None, columns: str = "n_words long, n_removed long, kept string") -> DataFrame:
+def remove_repeats(docs: DataFrame, window: int = 13, cutter: Callable | None = None, columns: str = "n_words long, n_removed long, kept string", carry: tuple[str, ...] = ()) -> DataFrame:
     """Every row of ``docs(doc_id, text)`` with what is left of it: doc_id, n_words, n_removed, kept, or what ``cutter`` makes.
 
+    Columns named in ``carry`` come along after doc_id.
+
     A word goes if it lies in a window of ``window`` consecutive words that also starts in a document with a smaller doc_id,
     judged on the input.  Kept words are joined by one space.  Null, empty and blank texts have no words and stay
     empty; texts shorter than the window keep all words; rows with a null doc_id neither lose words nor cost others
@@ -179,7 +181,8 @@ def remove_repeats(docs: DataFrame, window: int = 13, cutter: Callable | None =
     found, parts = repeated_windows(docs, window)
     cutter = cutter or kept_text
     names = [c.split()[0] for c in columns.split(", ")]
-    schema = f"doc_id long, {columns}"
+    carried = docs.select(*carry).schema.fields
+    schema = ", ".join(["doc_id long", *(f"`{f.name}` {f.dataType.simpleString()}" for f in carried), columns])
 
     def cut_out(key, left: pa.Table, right: pa.Table) -> pa.Table:
         own, h = [], []
@@ -213,9 +216,10 @@ def remove_repeats(docs: DataFrame, window: int = 13, cutter: Callable | None =
                     column.append(v)
         kinds = {"long": pa.int64(), "string": pa.string()}
         cols = [pa.array(v, kinds[c.split()[1]]) for v, c in zip(values, columns.split(", "), strict=True)]
-        return pa.Table.from_arrays([pa.array(ids, pa.int64()), *cols], ["doc_id", *names])
+        return pa.Table.from_arrays([pa.array(ids, pa.int64()), *(left.column(f"__{i}") for i in range(len(carry))), *cols], ["doc_id", *carry, *names])
 
-    keyed = _plain(docs).withColumn("part", F.coalesce(F.pmod(F.col("doc_id"), F.lit(parts)), F.pmod(F.xxhash64("text"), F.lit(parts))))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), *(F.col(c).alias(f"__{i}") for i, c in enumerate(carry)))
+    keyed = rows.withColumn("part", F.coalesce(F.pmod(F.col("doc_id"), F.lit(parts)), F.pmod(F.xxhash64("text"), F.lit(parts))))
     return keyed.groupBy("part").cogroup(found.groupBy("part")).applyInArrow(cut_out, schema)
 
 
@@ -237,5 +241,10 @@ def kept_text(w: T.Words, x: int, y: int, keep: np.ndarray) -> tuple:
     return int(y - x), int(len(keep) - keep.sum()), _kept(w, x, y, keep).decode()
 
 
+def kept_or_whole(w: T.Words, x: int, y: int, keep: np.ndarray) -> tuple:
+    """The kept words where any went; None where the text stays as it is."""
+    return (None if keep.all() else _kept(w, x, y, keep).decode(),)
+
+
 def kept_digest(w: T.Words, x: int, y: int, keep: np.ndarray) -> tuple:
     return int(y - x), int(len(keep) - keep.sum()), hashlib.sha256(_kept(w, x, y, keep)).hexdigest()
