@@ -1,20 +1,18 @@
 """Exact Jaccard self-join of documents on distinct word shingles, by vertical partitioning.
 
-Shingles are ordered by a 64-bit hash, a global order that every document shares, and the order is cut into
-fragments.
+Shingles are ordered by a 64-bit hash, a global order that every document shares, and the order is cut into fragments.
 
-Candidates.  Documents fall into size classes so narrow that partners lie in the same or in adjacent ones.  For
-a pair of classes the order is cut into K fragments, K above the largest symmetric difference that linked documents
-can have, so linked documents agree on at least one whole fragment (pigeonhole).  A few fragments more than needed
-absorb those that are empty on both sides; a document with more empty fragments than that also sends those.  The
-signature of a fragment is the hash of its shingles: only near copies ever meet, however frequent a shingle is.
+Filter.  Linked documents share at least the threshold's part of either set.  Every fragment counts, for each document, the
+shingles in it that some other set has too; the partial counts are summed per document, and whoever falls short has no
+links.  A slice of input settles what it can see itself and sends each shingle on once, in few bytes; shortened hashes
+can only count too much.  Equal sets are one class from the start.
 
-Counting.  Candidates that are reachable from each other form a cluster.  Inside a cluster, cut into tiles where it
-is large, the overlaps of all pairs are counted fragment by fragment as products of 0/1 matrices over the shingles
-that at least two members share, and the partial counts are summed per pair.  The test is in integers.
+Candidates.  Among the documents left, shingles are ordered by frequency, then hash, and linked documents agree on one of the
+first n - ceil(t n) + 1 of either.  Documents that meet there, directly or over others, form a cluster.
 
-Nothing is emitted per pair of documents: tiles return a spanning forest of the links they find, and the number of
-links of each document if wanted.
+Counting.  Inside a cluster, cut into tiles where it is large, the overlaps of all pairs are counted fragment by fragment as
+products of 0/1 matrices over the shingles that at least two members share, and the partial counts are summed per pair.
+The test is in integers.  Tiles return a spanning forest of their links, so nothing is emitted per pair of documents.
 """
 
 from __future__ import annotations
@@ -23,7 +21,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from corridor.llm import texthash as T
@@ -31,6 +29,7 @@ from corridor.llm.components import components, spanning_stars
 from corridor.runtime import cut
 
 TILE_DOCS, TILE_GRAMS = 1024, 1 << 21
+BROADCAST_ROWS = 1 << 20
 U32 = np.uint64(32)
 
 
@@ -43,57 +42,9 @@ class Similarity:
     den: int = 100
     lower: bool = True
 
-    def bounds(self, largest: int) -> np.ndarray:
-        """Smallest size of each class; a class ends before size * num / den of the next one's start falls out of it."""
-        b = [max(1, self.num // (self.den - self.num))]
-        while b[-1] <= largest:
-            b.append(b[-1] * self.den // self.num + 1)
-        return np.array(b)
-
-    def cuts(self, bounds: np.ndarray, i: int) -> tuple[int, int]:
-        """(fragments, empty ones absorbed) for pairs whose larger document lies in class i."""
-        top, low = int(bounds[i + 1] - 1) if i + 1 < len(bounds) else int(bounds[i] * self.den // self.num), int(bounds[max(0, i - 1)])
-        need = top * (self.den - self.num) // self.num + 1
-        spare = 2
-        for _ in range(8):
-            empty = (need + spare) * np.exp(-low / (need + spare))
-            spare = int(np.ceil(empty + 4 * np.sqrt(empty) + 2))
-        return need + spare, spare
-
-
-def signatures(h: np.ndarray, doc: np.ndarray, n: np.ndarray, sim: Similarity) -> tuple[np.ndarray, np.ndarray]:
-    """(signature, document) for all documents of a batch; h is ordered by document and hash, n has the set sizes."""
-    bounds = sim.bounds(int(n.max()) if len(n) else 1)
-    plan = [sim.cuts(bounds, i) for i in range(len(bounds))]
-    plan.append(sim.cuts(sim.bounds(int(bounds[-1]) + 1), len(bounds)))
-    fragments, spares = (np.array(x, np.uint64) for x in zip(*plan, strict=True))
-    cls = np.searchsorted(bounds, n, side="right") - 1
-    big = np.flatnonzero(cls[doc] >= 0)
-    h, doc = h[big], doc[big]
-    strong = T.mix(h)
-    out_h, out_d = [], []
-    for step in (0, 1):
-        i = cls[doc] + step
-        k = fragments[i]
-        part = ((h >> U32) * k) >> U32
-        new = np.ones(len(h), bool)
-        new[1:] = (doc[1:] != doc[:-1]) | (part[1:] != part[:-1])
-        at = np.flatnonzero(new)
-        if not len(at):
-            continue
-        total = np.add.reduceat(strong, at)
-        salt = (i[at].astype(np.uint64) << np.uint64(40)) ^ part[at]
-        out_h.append(T.mix(total ^ T.mix(salt)))
-        out_d.append(doc[at])
-        filled = np.bincount(doc[at], minlength=len(n))
-        for d in np.flatnonzero((cls >= 0) & (filled > 0) & (fragments[np.maximum(cls, 0) + step] - filled.astype(np.uint64) > spares[np.maximum(cls, 0) + step])):
-            own = np.zeros(int(fragments[cls[d] + step]), bool)
-            own[part[doc == d].astype(np.int64)] = True
-            gone = np.flatnonzero(~own).astype(np.uint64)
-            out_h.append(T.mix(T.mix((np.uint64(cls[d] + step) << np.uint64(40)) ^ gone) ^ np.uint64(0xA5A5A5A5)))
-            out_d.append(np.full(len(gone), d))
-    cat = lambda x, kind: np.concatenate(x) if x else np.zeros(0, kind)
-    return cat(out_h, np.uint64), cat(out_d, np.int64)
+    def reach(self, n: Column) -> Column:
+        """Smallest overlap that a set of n shingles has with any linked one."""
+        return F.ceil(n * self.num / self.den)
 
 
 def _identity(h: np.ndarray, doc: np.ndarray, rows: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -128,60 +79,116 @@ def profile(docs: DataFrame, sim: Similarity) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_shingles long, s1 long, s2 long")
 
 
-def _candidates(docs: DataFrame, sim: Similarity, parts: int, tasks: int) -> DataFrame:
-    """Links of documents that agree on a fragment: each to the smallest document that a bucket shows."""
+def _groups(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """First positions of the runs of a sorted array, and the number of the run that each item is in."""
+    new = np.ones(len(keys), bool)
+    new[1:] = keys[1:] != keys[:-1]
+    return np.flatnonzero(new), np.cumsum(new) - 1
+
+
+def shared_counts(docs: DataFrame, sim: Similarity, total: int) -> DataFrame:
+    """(s1, shared): for each set, how many of its shingles some other set has; at times a few too many, never too few."""
+    tasks = max(8, total >> 22)
+    parts = 16 * tasks
 
     def send(batches):
         for batch in batches:
-            for ids, h, doc, n, s1, s2 in _sets(batch, sim):
+            for _, h, doc, _, s1, _ in _sets(batch, sim):
                 if not len(h):
                     continue
-                # of equal sets in the slice, the smallest id speaks for all
-                order = np.lexsort((ids, s2, s1, n))
-                same = np.zeros(len(ids), bool)
-                a, b = order[1:], order[:-1]
-                same[a] = (n[a] == n[b]) & (s1[a] == s1[b]) & (s2[a] == s2[b])
-                keep = ~same[doc]
-                sig, d = signatures(h[keep], doc[keep], np.where(same, 0, n), sim)
-                part = (sig % np.uint64(parts)).astype(np.int64)
-                order = np.argsort(part, kind="stable")
-                sig, d, part = sig[order], d[order], part[order]
-                at = np.searchsorted(part, np.arange(parts + 1))
-                full = np.flatnonzero(np.diff(at))
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array(full.astype(np.int32)),
-                        pa.array([sig[at[p] : at[p + 1]].tobytes() for p in full], pa.binary()),
-                        pa.array([ids[d[at[p] : at[p + 1]]].tobytes() for p in full], pa.binary()),
-                    ],
-                    ["part", "sig", "ids"],
-                )
+                own = s1[doc]
+                order = np.lexsort((own, h))
+                h, own = h[order], own[order]
+                once = np.ones(len(h), bool)
+                once[1:] = (h[1:] != h[:-1]) | (own[1:] != own[:-1])
+                h, own = h[once], own[once]
+                at, run = _groups(h)
+                many = np.diff(np.append(at, len(h))) > 1
+                known, n_known = np.unique(own[many[run]], return_counts=True)
+                seen = h[at[many]]
+                lone = ~many[run]
+                h, own = h[lone], own[lone]
+                part, seen_part = (h % np.uint64(parts)).astype(np.int64), (seen % np.uint64(parts)).astype(np.int64)
+                order = np.lexsort((own, part))
+                h, own, part = h[order], own[order], part[order]
+                order = np.argsort(seen_part, kind="stable")
+                seen, seen_part = seen[order], seen_part[order]
+                short, seen = (h >> U32).astype(np.uint32), (seen >> U32).astype(np.uint32)
+                a, b = np.searchsorted(part, np.arange(parts + 1)), np.searchsorted(seen_part, np.arange(parts + 1))
+                rows = []
+                for p in range(parts):
+                    if a[p] == a[p + 1] and b[p] == b[p + 1] and p:
+                        continue
+                    first, run = _groups(own[a[p] : a[p + 1]])
+                    n = np.diff(np.append(first, a[p + 1] - a[p])).astype(np.uint32)
+                    local = (known.tobytes(), n_known.astype(np.uint32).tobytes()) if p == 0 else (b"", b"")
+                    rows.append((p, short[a[p] : a[p + 1]].tobytes(), own[a[p] : a[p + 1]][first].tobytes(), n.tobytes(), seen[b[p] : b[p + 1]].tobytes(), *local))
+                columns = list(zip(*rows, strict=True))
+                yield pa.RecordBatch.from_arrays([pa.array(columns[0], pa.int32()), *(pa.array(c, pa.binary()) for c in columns[1:])], ["part", "grams", "sets", "sizes", "seen", "known", "n_known"])
 
     def meet(batches):
-        sigs, owners = [], []
+        def array(column, kind):
+            return [np.frombuffer(x.as_buffer(), kind) for x in column]
+
+        keys, sets, marks = [], [], []
         for batch in batches:
-            sigs += [np.frombuffer(x.as_buffer(), np.uint64) for x in batch.column("sig")]
-            owners += [np.frombuffer(x.as_buffer(), np.int64) for x in batch.column("ids")]
-        if not sigs:
+            part = batch.column("part").to_pylist()
+            grams, seen = array(batch.column("grams"), np.uint32), array(batch.column("seen"), np.uint32)
+            for p, g, s, c, n in zip(part, grams, seen, array(batch.column("sets"), np.uint64), array(batch.column("sizes"), np.uint32), strict=True):
+                keys.append(g.astype(np.uint64) | np.uint64(p) << U32)
+                sets.append(np.repeat(c, n))
+                marks.append(s.astype(np.uint64) | np.uint64(p) << U32)
+            for c, n in zip(array(batch.column("known"), np.uint64), array(batch.column("n_known"), np.uint32), strict=True):
+                if len(c):  # settled where they were read
+                    yield pa.RecordBatch.from_arrays([pa.array(c.view(np.int64)), pa.array(n.astype(np.int64))], ["s1", "n"])
+        if not keys:
             return
-        sig, ids = np.concatenate(sigs), np.concatenate(owners)
-        sigs.clear()
-        owners.clear()
-        order = np.argsort(sig, kind="stable")
-        sig, ids = sig[order], ids[order]
-        new = np.ones(len(sig), bool)
-        new[1:] = sig[1:] != sig[:-1]
-        at = np.flatnonzero(new)
-        size = np.diff(np.append(at, len(sig)))
-        shared = size > 1
-        if not shared.any():
+        key, own, mark = np.concatenate(keys), np.concatenate(sets), np.unique(np.concatenate(marks))
+        keys.clear()
+        sets.clear()
+        order = np.argsort(key, kind="stable")
+        key, own = key[order], own[order]
+        at, run = _groups(key)
+        if not len(at):
             return
-        least = np.repeat(np.minimum.reduceat(ids, at)[shared], size[shared])
-        a, b = spanning_stars(ids[np.repeat(shared, size)], least)
-        yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+        shared = np.minimum.reduceat(own, at) != np.maximum.reduceat(own, at)
+        if len(mark):
+            shared |= mark[np.minimum(np.searchsorted(mark, key[at]), len(mark) - 1)] == key[at]
+        c, n = np.unique(own[shared[run]], return_counts=True)
+        for i in range(0, len(c), 1 << 16):
+            yield pa.RecordBatch.from_arrays([pa.array(c[i : i + (1 << 16)].view(np.int64)), pa.array(n[i : i + (1 << 16)].astype(np.int64))], ["s1", "n"])
 
-    packs = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).where("doc_id is not null").mapInArrow(send, "part int, sig binary, ids binary")
-    return packs.repartition(tasks, "part").mapInArrow(meet, "a long, b long")
+    schema = "part int, grams binary, sets binary, sizes binary, seen binary, known binary, n_known binary"
+    packs = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).where("doc_id is not null").mapInArrow(send, schema)
+    return packs.repartition(tasks, "part").mapInArrow(meet, "s1 long, n long").groupBy("s1").agg(F.sum("n").alias("shared"))
+
+
+def _with_grams(docs: DataFrame, wanted: DataFrame, sim: Similarity) -> DataFrame:
+    """(doc_id, n_shingles, grams) of the documents in ``wanted(doc_id, n_shingles)``."""
+
+    def run(batches):
+        for batch in batches:
+            for ids, h, doc, n, _, _ in _sets(batch, sim):
+                offsets = np.concatenate([[0], np.cumsum(n)]).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(n.astype(np.int64)), pa.ListArray.from_arrays(pa.array(offsets), pa.array(h.view(np.int64)))], ["doc_id", "n_shingles", "grams"])
+
+    ids = wanted.select("doc_id").distinct()
+    ids = F.broadcast(ids) if ids.count() <= BROADCAST_ROWS else ids
+    texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(ids, "doc_id")
+    return texts.mapInArrow(run, "doc_id long, n_shingles long, grams array<bigint>")
+
+
+def _candidates(left: DataFrame, sim: Similarity) -> DataFrame:
+    """Links of documents that agree on a shingle of their prefixes, each to the smallest document there."""
+    rows = left.select("doc_id", "n_shingles", F.explode("grams").alias("gram"))
+    often = rows.groupBy("gram").agg(F.count("*").alias("df")).where("df > 1")
+    rows = rows.join(often, "gram")
+    by = Window.partitionBy("doc_id", "n_shingles")
+    place = rows.select("doc_id", "gram", "n_shingles", F.row_number().over(by.orderBy("df", "gram")).alias("at"), F.count("*").over(by).alias("common"))
+    # shingles of one document alone come first in the order and match nothing
+    prefix = cut(place.where(F.col("at") + F.col("n_shingles") - F.col("common") <= F.col("n_shingles") - sim.reach(F.col("n_shingles")) + 1).select("doc_id", "gram"))
+    least = prefix.groupBy("gram").agg(F.min("doc_id").alias("least"))
+    return prefix.join(least, "gram").where("doc_id <> least").select(F.col("doc_id").alias("a"), F.col("least").alias("b")).distinct()
 
 
 def overlaps(h: np.ndarray, row: np.ndarray, rows: int, column: np.ndarray, other: int, columns: int, fragments: int = 8) -> np.ndarray:
@@ -209,8 +216,8 @@ def overlaps(h: np.ndarray, row: np.ndarray, rows: int, column: np.ndarray, othe
     return out
 
 
-def _tile_links(left: list, right: list | None, sim: Similarity, count: bool):
-    """Links between two lists of (doc id, hashes), or inside one: (a, b, ids with links, numbers of links)."""
+def _tile_links(left: list, right: list | None, sim: Similarity):
+    """Links that span two lists of (doc id, hashes), or one: (a, b)."""
     both = left + (right or [])
     h = np.concatenate([x for _, x in both])
     size = np.array([len(x) for _, x in both])
@@ -222,61 +229,48 @@ def _tile_links(left: list, right: list | None, sim: Similarity, count: bool):
         np.fill_diagonal(linked, False)
     x, y = np.nonzero(linked)
     ids = np.array([i for i, _ in both])
-    u, v = spanning_stars(ids[x], ids[len(left) + y] if right else ids[y])
-    return u, v, linked if count else None
+    return spanning_stars(ids[x], ids[len(left) + y] if right else ids[y])
 
 
-def links(docs: DataFrame, reps: DataFrame, sim: Similarity, total: int, spread: int) -> DataFrame:
-    """Links (a, b) that span all groups of similar sets among the representatives ``reps(doc_id)``.
+def links(docs: DataFrame, classes: DataFrame, sim: Similarity, total: int) -> DataFrame:
+    """Links (a, b) that span all groups of similar sets among the ``classes(rep, n_shingles, s1, s2)``.
 
-    total: number of shingles of all documents, from which the number of parts follows.
+    total: number of shingles of all documents, from which the number of tasks follows.
     """
-    tasks = max(8, total >> 23)  # a forest each, of about two million signatures
-    near = components(_candidates(docs, sim, 16 * tasks, tasks))
-    near = cut(near.withColumnRenamed("vertex", "doc_id").join(reps, "doc_id").select("doc_id", "component", "n_shingles"))
-    sizes = near.groupBy("component").agg(F.count("*").alias("members"), F.sum("n_shingles").alias("grams")).where("members > 1")
-    sizes = cut(sizes.withColumn("tiles", F.greatest(F.ceil(F.col("members") / TILE_DOCS), F.ceil(F.col("grams") / TILE_GRAMS)).cast("int")))
-    few = near.count()
+    spread = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    counts = shared_counts(docs, sim, total)
+    left = classes.join(counts, "s1").where(F.col("shared") >= sim.reach(F.col("n_shingles")))
+    left = cut(left.select(F.col("rep").alias("doc_id"), "n_shingles", "s1", "s2"))
+    grams = cut(_with_grams(docs, left, sim))
+    near = components(_candidates(grams, sim)).withColumnRenamed("vertex", "doc_id")
+    near = cut(near.join(left.groupBy("doc_id").agg(F.max("n_shingles").alias("n_shingles")), "doc_id"))
+    sizes = near.groupBy("component").agg(F.count("*").alias("members"), F.sum("n_shingles").alias("grams"))
+    sizes = sizes.select("component", F.greatest(F.ceil(F.col("members") / TILE_DOCS), F.ceil(F.col("grams") / TILE_GRAMS)).cast("int").alias("tiles"))
     near = near.join(sizes, "component").withColumn("tile", F.pmod(F.xxhash64("doc_id"), F.col("tiles")).cast("int"))
-    units = max(64, spread, few // 1000)
+    units = max(64, spread, near.count() // 1000)
     # small clusters share units by hash; of a large one, every pair of tiles is a unit
     pairs = F.expr("transform(sequence(0, tiles - 1), j -> struct(least(tile, j) as i, greatest(tile, j) as j))")
     near = near.withColumn("pair", F.explode(pairs)).select(
-        "doc_id", "component", "tiles", "tile", F.col("pair.i").alias("i"), F.col("pair.j").alias("j"),
+        "doc_id", "component", "tile", F.col("pair.i").alias("i"), F.col("pair.j").alias("j"),
         F.when(F.col("tiles") == 1, F.pmod(F.xxhash64("component"), F.lit(units))).otherwise(F.xxhash64("component", "pair")).alias("unit"),
     )
-    near = cut(near)
-    rows = near.count()
-    texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    texts = texts.join(F.broadcast(near) if rows <= 1 << 20 else near, "doc_id")
-
-    def gather(batches):
-        for batch in batches:
-            at = 0
-            for _, h, doc, n, _, _ in _sets(pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text")], ["doc_id", "text"]), sim):
-                ends = np.cumsum(n)
-                grams = pa.array([h[e - m : e].tobytes() for e, m in zip(ends, n, strict=True)], pa.binary())
-                s = slice(at, at + len(n))
-                yield pa.RecordBatch.from_arrays([*(batch.column(c)[s] for c in ("unit", "component", "tiles", "tile", "i", "j", "doc_id")), grams], ["unit", "component", "tiles", "tile", "i", "j", "doc_id", "grams"])
-                at += len(n)
 
     def judge(table: pa.Table) -> pa.Table:
-        groups: dict[tuple, tuple[dict, dict]] = {}
+        groups: dict[tuple, tuple[list, list]] = {}
         names = ("component", "i", "j", "tile", "doc_id")
-        for (c, i, j, t, d), g in zip(zip(*(table.column(x).to_pylist() for x in names), strict=True), table.column("grams"), strict=True):
-            groups.setdefault((c, i, j), ({}, {}))[int(t != i)][d] = np.frombuffer(g.as_buffer(), np.uint64)
+        for (c, i, j, t, d), g in zip(zip(*(table.column(x).to_pylist() for x in names), strict=True), (x for chunk in table.column("grams").chunks for x in chunk), strict=True):
+            groups.setdefault((c, i, j), ([], []))[int(t != i)].append((d, np.asarray(g.values).view(np.uint64)))
         us, vs = [], []
-        for (_, i, j), (left, right) in groups.items():
-            if i != j and not (left and right):
+        for (_, i, j), (one, two) in groups.items():
+            if i != j and not (one and two):
                 continue
-            u, v, _ = _tile_links(list(left.items()), list(right.items()) if i != j else None, sim, False)
+            u, v = _tile_links(one, two if i != j else None, sim)
             us.append(u)
             vs.append(v)
         cat = lambda x: pa.array(np.concatenate(x) if x else np.zeros(0, np.int64), pa.int64())
         return pa.table({"a": cat(us), "b": cat(vs)})
 
-    schema = "unit long, component long, tiles int, tile int, i int, j int, doc_id long, grams binary"
-    return texts.mapInArrow(gather, schema).groupBy("unit").applyInArrow(judge, "a long, b long")
+    return near.join(grams.select("doc_id", "grams"), "doc_id").groupBy("unit").applyInArrow(judge, "a long, b long")
 
 
 def jaccard_components(docs: DataFrame, sim: Similarity = Similarity()) -> DataFrame:
@@ -286,14 +280,11 @@ def jaccard_components(docs: DataFrame, sim: Similarity = Similarity()) -> DataF
     shingles and are linked with nothing.  Rows that repeat a doc_id stay, each with the values of its own text; links
     of either count for the id.  A null doc_id gets a null component.  An empty table gives an empty one.
     """
-    spread = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     own = cut(profile(docs, sim))
     classes = own.where("n_shingles > 0 and doc_id is not null").groupBy("n_shingles", "s1", "s2").agg(F.min("doc_id").alias("rep"))
     classes = cut(classes)
     total = own.agg(F.sum("n_shingles")).first()[0] or 0
-    reps = classes.select(F.col("rep").alias("doc_id"), "n_shingles")
-    found = links(docs, reps, sim, total, spread)
-    groups = components(found)
+    groups = components(links(docs, classes, sim, total))
     named = classes.join(groups, classes.rep == groups.vertex, "left").select("n_shingles", "s1", "s2", F.coalesce("component", "rep").alias("named"))
     out = own.join(named, ["n_shingles", "s1", "s2"], "left")
     return out.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("named", "doc_id")).alias("component_id"))
