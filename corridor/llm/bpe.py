@@ -6,7 +6,7 @@ steps give the lowest rank.  The leftmost position of that bucket merges; its ne
 was queued for pairs that are gone is recognised by the position's present rank and skipped.  Each position
 enters a bucket a constant number of times per merge, so a pre-token of n bytes takes O(n log n) however long it is.
 
-Most pre-tokens of a corpus repeat, so each Python worker keeps the ids of those it has met, up to a fixed number.
+Most pre-tokens of a corpus repeat, so each Python worker keeps the ids of those it has met lately, up to a fixed number.
 """
 
 from __future__ import annotations
@@ -21,7 +21,9 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-REMEMBERED, LONGEST = 1 << 20, 64
+from corridor.llm.texthash import small
+
+REMEMBERED, LONGEST = 1 << 17, 64
 
 
 class RankQueue:
@@ -106,15 +108,18 @@ def merge(raw: bytes, ranks: dict[bytes, int]) -> list[int]:
 
 
 class _Memory(dict):
-    """Pre-token to ids as little-endian bytes."""
+    """Pre-token to ids as little-endian bytes; when full it becomes the elder generation, from which what is still in use comes back."""
 
     def __init__(self, ranks: dict[bytes, int]) -> None:
-        self.ranks = ranks
+        self.ranks, self.elder = ranks, {}
 
     def __missing__(self, token: str) -> bytes:
-        ids = np.array(merge(token.encode(), self.ranks), "<u4").tobytes()
+        ids = self.elder.get(token)
+        if ids is None:
+            ids = np.array(merge(token.encode(), self.ranks), "<u4").tobytes()
         if len(token) <= LONGEST:
             if len(self) >= REMEMBERED:
+                self.elder = dict(self)
                 self.clear()
             self[token] = ids
         return ids
@@ -162,7 +167,7 @@ def encode_documents(docs: DataFrame, path: str | None = None, pattern: str | No
 
     def run(batches):
         c = codec(path, pattern)
-        for batch in batches:
+        for batch in small(batches):
             n, digest, back, ids = [], [], [], []
             for text in batch.column(1):
                 raw = c.encode(text.as_py() or "")

@@ -18,6 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from corridor.llm.texthash import small
+
 # Fixed values of HTML.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style template textarea title iframe noembed noframes object svg canvas math select noscript".split())
@@ -584,7 +586,7 @@ def extract(pages: DataFrame, trees: Trees | None = None, step: int = 512) -> Da
     fitted = trees or model()
 
     def run(batches):
-        for batch in batches:
+        for batch in small(batches):
             sources = batch.column(2).to_pylist()
             texts: list[str] = []
             for a in range(0, len(sources), step):

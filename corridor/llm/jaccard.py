@@ -88,8 +88,8 @@ def _groups(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def shared_counts(docs: DataFrame, sim: Similarity, total: int) -> DataFrame:
     """(s1, shared): for each set, how many of its shingles some other set has; at times a few too many, never too few."""
-    tasks = max(8, total >> 22)
-    parts = 16 * tasks
+    tasks = max(8, total >> 21)
+    parts, key_of = tasks, T.even_keys(tasks).astype(np.int32)
 
     def send(batches):
         for batch in batches:
@@ -124,7 +124,7 @@ def shared_counts(docs: DataFrame, sim: Similarity, total: int) -> DataFrame:
                     local = (known.tobytes(), n_known.astype(np.uint32).tobytes()) if p == 0 else (b"", b"")
                     rows.append((p, short[a[p] : a[p + 1]].tobytes(), own[a[p] : a[p + 1]][first].tobytes(), n.tobytes(), seen[b[p] : b[p + 1]].tobytes(), *local))
                 columns = list(zip(*rows, strict=True))
-                yield pa.RecordBatch.from_arrays([pa.array(columns[0], pa.int32()), *(pa.array(c, pa.binary()) for c in columns[1:])], ["part", "grams", "sets", "sizes", "seen", "known", "n_known"])
+                yield pa.RecordBatch.from_arrays([pa.array(key_of[list(columns[0])]), *(pa.array(c, pa.binary()) for c in columns[1:])], ["part", "grams", "sets", "sizes", "seen", "known", "n_known"])
 
     def meet(batches):
         def array(column, kind):
@@ -146,8 +146,9 @@ def shared_counts(docs: DataFrame, sim: Similarity, total: int) -> DataFrame:
         key, own, mark = np.concatenate(keys), np.concatenate(sets), np.unique(np.concatenate(marks))
         keys.clear()
         sets.clear()
-        order = np.argsort(key, kind="stable")
+        order = np.argsort(key)
         key, own = key[order], own[order]
+        del order
         at, run = _groups(key)
         if not len(at):
             return

@@ -16,6 +16,8 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from corridor.llm.texthash import small
+
 SAMPLE_ROWS = 300  # labelled rows of each language, at most, that dictionaries are cut from
 SAMPLE_CHARS = 2000  # characters of each
 DICTIONARY_BYTES = 96 << 10
@@ -101,18 +103,19 @@ def predict(docs: DataFrame, dictionaries: dict[str, bytes], least_margin: float
     best guess.  Only the text decides.  Without any learned language everything is ``und``.
     """
 
+    plain_rows = docs.drop("lang_pred", "score", "rejected").withColumn("text", F.col("text").cast("string"))
+    at = plain_rows.columns.index("text")
+
     def run(batches):
         judge = Judge(dictionaries)
-        for batch in batches:
-            got = [judge.predict(t.as_py()) for t in batch.column(batch.num_columns - 1)]
+        for batch in small(batches):
+            got = [judge.predict(t.as_py()) for t in batch.column(at)]
             lang, score = [g[0] for g in got], [g[1] for g in got]
             no = [x == UNKNOWN or s < least_margin for x, s in got]
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array(no, pa.bool_())], [*batch.schema.names[:-1], "lang_pred", "score", "rejected"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array(no, pa.bool_())], [*batch.schema.names, "lang_pred", "score", "rejected"])
 
-    plain = docs.drop("lang_pred", "score", "rejected")
-    with_text = plain.withColumn("__text", F.col("text").cast("string"))
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in plain.schema) + ", lang_pred string, score double, rejected boolean"
-    return with_text.mapInArrow(run, schema)
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in plain_rows.schema) + ", lang_pred string, score double, rejected boolean"
+    return plain_rows.mapInArrow(run, schema)
 
 
 def identify(docs: DataFrame, least_margin: float = SETTLED) -> DataFrame:

@@ -27,6 +27,7 @@ from corridor.llm import texthash as T
 
 PREFIX, CELLS = 3, 1 << 14
 GROUP_WINDOWS = 1 << 20
+PENDING = -1  # part of a pair that its group has yet to decide
 
 
 def _plain(docs: DataFrame) -> DataFrame:
@@ -84,6 +85,7 @@ def repeated_windows(docs: DataFrame, window: int, budget: int = GROUP_WINDOWS,
     counts = prefix_counts(docs, window)
     first, width, groups = deal(counts, budget, least)
     parts = max(least, int(counts.sum()) // (1 << 21))
+    key_of = T.even_keys(groups).astype(np.int32)
 
     def send(batches):
         for batch in batches:
@@ -103,11 +105,11 @@ def repeated_windows(docs: DataFrame, window: int, budget: int = GROUP_WINDOWS,
                 once[1:] = new[1:] | (own[1:] != own[:-1])
                 told &= once
                 group = first[cell[new]] + (h[new] >> np.uint64(20)).astype(np.int64) % width[cell[new]]
-                yield from _packs(group, own[new], h[new], groups, -1)
+                yield from _packs(group, own[new], h[new], False)
                 if told.any():
-                    yield from _packs(own[told] % parts, own[told], h[told], parts, 0)
+                    yield from _packs(own[told] % parts, own[told], h[told], True)
 
-    def _packs(key, own, h, keys, known):
+    def _packs(key, own, h, known):
         order = np.lexsort((own, key))
         key, own, h = key[order], own[order], h[order]
         full, at = np.unique(key, return_index=True)
@@ -118,12 +120,13 @@ def repeated_windows(docs: DataFrame, window: int, budget: int = GROUP_WINDOWS,
         rel = rel.astype(kind)
         yield pa.RecordBatch.from_arrays(
             [
-                pa.array(full.astype(np.int64) if known else -1 - full.astype(np.int64)),
+                pa.array(key_of[full % groups]),
+                pa.array(full.astype(np.int64) if known else np.full(len(full), PENDING)),
                 pa.array(low),
                 pa.array([rel[x:y].tobytes() for x, y in zip(at, ends, strict=True)], pa.binary()),
                 pa.array([h[x:y].tobytes() for x, y in zip(at, ends, strict=True)], pa.binary()),
             ],
-            ["key", "low", "ids", "labels"],
+            ["key", "part", "low", "ids", "labels"],
         )
 
     def pairs(low, ids, labels):
@@ -134,17 +137,13 @@ def repeated_windows(docs: DataFrame, window: int, budget: int = GROUP_WINDOWS,
             own.append(np.frombuffer(raw, np.uint32 if raw.size == 4 * len(h[-1]) else np.int64).astype(np.int64) + a)
         return (np.concatenate(own), np.concatenate(h)) if own else (np.zeros(0, np.int64), np.zeros(0, np.uint64))
 
-    def out(own, h):
-        for r in _packs(own % parts, own, h, parts, 0):
-            yield pa.RecordBatch.from_arrays([pc.subtract(-1, r.column("key")), *(r.column(c) for c in ("low", "ids", "labels"))], ["part", "low", "ids", "labels"])
-
     def subtree(batches):
         mine = []
         for batch in batches:
-            known = pc.less(batch.column("key"), 0)
+            known = pc.not_equal(batch.column("part"), PENDING)
             told = batch.filter(known)
             if len(told):  # already decided where they were read
-                yield pa.RecordBatch.from_arrays([pc.subtract(-1, told.column("key")), *(told.column(c) for c in ("low", "ids", "labels"))], ["part", "low", "ids", "labels"])
+                yield told.select(["part", "low", "ids", "labels"])
             rest = batch.filter(pc.invert(known))
             if len(rest):
                 mine.append(pairs(*(rest.column(c) for c in ("low", "ids", "labels"))))
@@ -160,9 +159,10 @@ def repeated_windows(docs: DataFrame, window: int, budget: int = GROUP_WINDOWS,
         told = own > low[np.cumsum(new) - 1]
         own, h = own[told], h[told]
         if len(h):
-            yield from out(own, h)
+            for r in _packs(own % parts, own, h, True):
+                yield r.select(["part", "low", "ids", "labels"])
 
-    sent = _plain(docs).where("doc_id is not null and text is not null").mapInArrow(send, "key long, low long, ids binary, labels binary")
+    sent = _plain(docs).where("doc_id is not null and text is not null").mapInArrow(send, "key int, part long, low long, ids binary, labels binary")
     found = sent.repartition(groups, "key").mapInArrow(subtree, "part long, low long, ids binary, labels binary")
     return found, parts
 

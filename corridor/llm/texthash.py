@@ -12,7 +12,7 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 
-PIECE = 1 << 19
+PIECE = 1 << 18
 BASE = np.uint64(0x9E3779B97F4A7C15)
 BASE_INVERSE = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
 _SPACE = np.zeros(256, bool)
@@ -150,7 +150,7 @@ def gram_sets(w: Words, k: int) -> tuple[np.ndarray, np.ndarray]:
     return h, doc
 
 
-def slices(texts: pa.Array, limit: int = 1 << 22):
+def slices(texts: pa.Array, limit: int = 1 << 21):
     """Split a text column into slices of about ``limit`` bytes: (first row, end row)."""
     _, off = text_buffers(texts)
     at = 0
@@ -159,3 +159,33 @@ def slices(texts: pa.Array, limit: int = 1 << 22):
         end = max(at + 1, min(end, len(texts)))
         yield at, end
         at = end
+
+
+def small(batches, rows: int = 1024):
+    """The same rows in batches of at most ``rows``, so that what is made of one stays small."""
+    for batch in batches:
+        for a in range(0, batch.num_rows, rows):
+            yield batch.slice(a, rows)
+
+
+def even_keys(n: int) -> np.ndarray:
+    """For each of n hash partitions, an integer that Spark's hash of an int column (Murmur3, seed 42) puts there."""
+    out, low = np.full(n, -1, np.int64), 0
+    while (out < 0).any():
+        x = np.arange(low, low + 8 * n + 64, dtype=np.uint32)
+        k = x * np.uint32(0xCC9E2D51)
+        k = (k << np.uint32(15) | k >> np.uint32(17)) * np.uint32(0x1B873593)
+        h = np.uint32(42) ^ k
+        h = (h << np.uint32(13) | h >> np.uint32(19)) * np.uint32(5) + np.uint32(0xE6546B64)
+        h ^= np.uint32(4)
+        h ^= h >> np.uint32(16)
+        h *= np.uint32(0x85EBCA6B)
+        h ^= h >> np.uint32(13)
+        h *= np.uint32(0xC2B2AE35)
+        h ^= h >> np.uint32(16)
+        at = h.view(np.int32).astype(np.int64) % n
+        first, where = np.unique(at, return_index=True)
+        gone = out[first] < 0
+        out[first[gone]] = x[where[gone]]
+        low += len(x)
+    return out

@@ -19,6 +19,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from corridor.llm.texthash import small
+
 # Fixed values of the format.
 CODE_LENGTH_ORDER = (17, 18, 0, 1, 2, 3, 4, 5, 16, 6, 7, 8, 9, 10, 11, 12, 13, 14, 15)
 PLANE_OFFSETS = (
@@ -437,7 +439,7 @@ def media_columns(docs: DataFrame, with_media: bool = True) -> DataFrame:
     kinds = [pa.int64()] * 3 + [pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()] + [pa.binary()] * with_media
 
     def run(batches):
-        for batch in batches:
+        for batch in small(batches):
             columns: list[list] = [[] for _ in names]
             for i, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 raw = (text.as_py() or "").encode()
