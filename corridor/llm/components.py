@@ -14,6 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from corridor.llm.texthash import tidy
 from corridor.runtime import cut
 
 
@@ -65,7 +66,7 @@ def components(links: DataFrame, rounds: int = 60) -> DataFrame:
     """
     a, b = links.columns[:2]
     links = links.select(F.col(a).cast("long").alias("u"), F.col(b).cast("long").alias("v")).where("u is not null and v is not null and u <> v")
-    edges = cut(links.mapInArrow(_contract, "u long, v long").distinct())
+    edges = cut(links.mapInArrow(tidy(_contract), "u long, v long").distinct())
     seen = None
     for _ in range(rounds):
         both = edges.union(edges.select("v", "u"))

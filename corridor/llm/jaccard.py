@@ -76,7 +76,7 @@ def profile(docs: DataFrame, sim: Similarity) -> DataFrame:
             for ids, _, _, n, s1, s2 in _sets(batch, sim):
                 yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(n.astype(np.int64)), pa.array(s1.view(np.int64)), pa.array(s2.view(np.int64))], ["doc_id", "n_shingles", "s1", "s2"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_shingles long, s1 long, s2 long")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(T.tidy(run), "doc_id long, n_shingles long, s1 long, s2 long")
 
 
 def _groups(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -160,8 +160,8 @@ def shared_counts(docs: DataFrame, sim: Similarity, total: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(c[i : i + (1 << 16)].view(np.int64)), pa.array(n[i : i + (1 << 16)].astype(np.int64))], ["s1", "n"])
 
     schema = "part int, grams binary, sets binary, sizes binary, seen binary, known binary, n_known binary"
-    packs = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).where("doc_id is not null").mapInArrow(send, schema)
-    return packs.repartition(tasks, "part").mapInArrow(meet, "s1 long, n long").groupBy("s1").agg(F.sum("n").alias("shared"))
+    packs = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).where("doc_id is not null").mapInArrow(T.tidy(send), schema)
+    return packs.repartition(tasks, "part").mapInArrow(T.tidy(meet), "s1 long, n long").groupBy("s1").agg(F.sum("n").alias("shared"))
 
 
 def _with_grams(docs: DataFrame, wanted: DataFrame, sim: Similarity) -> DataFrame:
@@ -176,7 +176,7 @@ def _with_grams(docs: DataFrame, wanted: DataFrame, sim: Similarity) -> DataFram
     ids = wanted.select("doc_id").distinct()
     ids = F.broadcast(ids) if ids.count() <= BROADCAST_ROWS else ids
     texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(ids, "doc_id")
-    return texts.mapInArrow(run, "doc_id long, n_shingles long, grams array<bigint>")
+    return texts.mapInArrow(T.tidy(run), "doc_id long, n_shingles long, grams array<bigint>")
 
 
 def _candidates(left: DataFrame, sim: Similarity) -> DataFrame:
@@ -271,7 +271,7 @@ def links(docs: DataFrame, classes: DataFrame, sim: Similarity, total: int) -> D
         cat = lambda x: pa.array(np.concatenate(x) if x else np.zeros(0, np.int64), pa.int64())
         return pa.table({"a": cat(us), "b": cat(vs)})
 
-    return near.join(grams.select("doc_id", "grams"), "doc_id").groupBy("unit").applyInArrow(judge, "a long, b long")
+    return near.join(grams.select("doc_id", "grams"), "doc_id").groupBy("unit").applyInArrow(T.tidy(judge), "a long, b long")
 
 
 def jaccard_components(docs: DataFrame, sim: Similarity = Similarity()) -> DataFrame:

@@ -16,7 +16,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from corridor.llm.texthash import small
+from corridor.llm.texthash import small, tidy
 
 SAMPLE_ROWS = 300  # labelled rows of each language, at most, that dictionaries are cut from
 SAMPLE_CHARS = 2000  # characters of each
@@ -115,7 +115,7 @@ def predict(docs: DataFrame, dictionaries: dict[str, bytes], least_margin: float
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array(no, pa.bool_())], [*batch.schema.names, "lang_pred", "score", "rejected"])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in plain_rows.schema) + ", lang_pred string, score double, rejected boolean"
-    return plain_rows.mapInArrow(run, schema)
+    return plain_rows.mapInArrow(tidy(run), schema)
 
 
 def identify(docs: DataFrame, least_margin: float = SETTLED) -> DataFrame:

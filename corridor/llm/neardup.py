@@ -18,6 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corridor.llm.components import components, spanning_stars
+from corridor.llm.texthash import tidy
 from corridor.runtime import cut
 
 BLOCK, TILE, EXACT_DIMS = 4096, 1024, 1024
@@ -120,7 +121,7 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.95, block: int = BL
         m = pa.array(np.concatenate([np.zeros(len(u), np.int64), *(s[1] for s in seen)]).astype(np.int64))
         return pa.table({"a": pa.array(a), "b": b, "n": m})
 
-    found = cut(dealt.repartition(max(spread, 64), "dims", "i", "j").groupBy("dims", "i", "j").applyInArrow(judge, "a long, b long, n long"))
+    found = cut(dealt.repartition(max(spread, 64), "dims", "i", "j").groupBy("dims", "i", "j").applyInArrow(tidy(judge), "a long, b long, n long"))
     counts = found.where("b is null").groupBy(F.col("a").alias("rep")).agg(F.sum("n").alias("found"))
     groups = components(found.where("b is not null").select("a", "b"))
     told = classes.join(counts, "rep", "left").join(groups, F.col("rep") == F.col("vertex"), "left")

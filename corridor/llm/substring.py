@@ -58,7 +58,7 @@ def prefix_counts(docs: DataFrame, window: int) -> np.ndarray:
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(CELLS, dtype=np.int32)), pa.array(total)], ["cell", "n"])
 
     out = np.zeros(CELLS, np.int64)
-    for cell, n in _plain(docs).mapInArrow(count, "cell int, n long").groupBy("cell").agg(F.sum("n")).collect():  # CELLS rows at most
+    for cell, n in _plain(docs).mapInArrow(T.tidy(count), "cell int, n long").groupBy("cell").agg(F.sum("n")).collect():  # CELLS rows at most
         out[cell] = n
     return out
 
@@ -162,8 +162,8 @@ def repeated_windows(docs: DataFrame, window: int, budget: int = GROUP_WINDOWS,
             for r in _packs(own % parts, own, h, True):
                 yield r.select(["part", "low", "ids", "labels"])
 
-    sent = _plain(docs).where("doc_id is not null and text is not null").mapInArrow(send, "key int, part long, low long, ids binary, labels binary")
-    found = sent.repartition(groups, "key").mapInArrow(subtree, "part long, low long, ids binary, labels binary")
+    sent = _plain(docs).where("doc_id is not null and text is not null").mapInArrow(T.tidy(send), "key int, part long, low long, ids binary, labels binary")
+    found = sent.repartition(groups, "key").mapInArrow(T.tidy(subtree), "part long, low long, ids binary, labels binary")
     return found, parts
 
 
@@ -216,6 +216,7 @@ def remove_repeats(docs: DataFrame, window: int = 13, cutter: Callable | None =
                     column.append(v)
         kinds = {"long": pa.int64(), "string": pa.string()}
         cols = [pa.array(v, kinds[c.split()[1]]) for v, c in zip(values, columns.split(", "), strict=True)]
+        T.release()
         return pa.Table.from_arrays([pa.array(ids, pa.int64()), *(left.column(f"__{i}") for i in range(len(carry))), *cols], ["doc_id", *carry, *names])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), *(F.col(c).alias(f"__{i}") for i, c in enumerate(carry)))

@@ -150,7 +150,7 @@ def gram_sets(w: Words, k: int) -> tuple[np.ndarray, np.ndarray]:
     return h, doc
 
 
-def slices(texts: pa.Array, limit: int = 1 << 21):
+def slices(texts: pa.Array, limit: int = 1 << 20):
     """Split a text column into slices of about ``limit`` bytes: (first row, end row)."""
     _, off = text_buffers(texts)
     at = 0
@@ -189,3 +189,34 @@ def even_keys(n: int) -> np.ndarray:
         out[first[gone]] = x[where[gone]]
         low += len(x)
     return out
+
+
+def tidy(f):
+    """A batch function that gives freed memory back to the system when it ends: idle workers of one stage stay beside the next one's."""
+
+    def run(*args):
+        out = f(*args)
+        if isinstance(out, pa.Table):
+            release()
+            return out
+        return _each(out)
+
+    def _each(batches):
+        try:
+            yield from batches
+        finally:
+            release()
+
+    return run
+
+
+def release() -> None:
+    import ctypes
+    import gc
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
