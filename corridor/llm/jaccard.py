@@ -90,6 +90,8 @@ def shared_counts(docs: DataFrame, sim: Similarity, total: int) -> DataFrame:
     """(s1, shared): for each set, how many of its shingles some other set has; at times a few too many, never too few."""
     tasks = max(8, total >> 21)
     parts, key_of = tasks, T.even_keys(tasks).astype(np.int32)
+    sums = max(8, tasks // 4)
+    sum_key = T.even_keys(sums).astype(np.int32)
 
     def send(batches):
         for batch in batches:
@@ -140,7 +142,7 @@ def shared_counts(docs: DataFrame, sim: Similarity, total: int) -> DataFrame:
                 marks.append(s.astype(np.uint64) | np.uint64(p) << U32)
             for c, n in zip(array(batch.column("known"), np.uint64), array(batch.column("n_known"), np.uint32), strict=True):
                 if len(c):  # settled where they were read
-                    yield pa.RecordBatch.from_arrays([pa.array(c.view(np.int64)), pa.array(n.astype(np.int64))], ["s1", "n"])
+                    yield dealt(c, n)
         if not keys:
             return
         key, own, mark = np.concatenate(keys), np.concatenate(sets), np.unique(np.concatenate(marks))
@@ -155,13 +157,38 @@ def shared_counts(docs: DataFrame, sim: Similarity, total: int) -> DataFrame:
         shared = np.minimum.reduceat(own, at) != np.maximum.reduceat(own, at)
         if len(mark):
             shared |= mark[np.minimum(np.searchsorted(mark, key[at]), len(mark) - 1)] == key[at]
-        c, n = np.unique(own[shared[run]], return_counts=True)
-        for i in range(0, len(c), 1 << 16):
-            yield pa.RecordBatch.from_arrays([pa.array(c[i : i + (1 << 16)].view(np.int64)), pa.array(n[i : i + (1 << 16)].astype(np.int64))], ["s1", "n"])
+        yield dealt(*np.unique(own[shared[run]], return_counts=True))
+
+    def dealt(sets: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
+        """Partial counts, packed by where their sets are summed."""
+        to = (sets % np.uint64(sums)).astype(np.int64)
+        order = np.argsort(to, kind="stable")
+        sets, n = sets[order], n[order].astype(np.uint32)
+        full, at = np.unique(to[order], return_index=True)
+        ends = np.append(at[1:], len(sets))
+        packed = [[x[a:b].tobytes() for a, b in zip(at, ends, strict=True)] for x in (sets, n)]
+        return pa.RecordBatch.from_arrays([pa.array(sum_key[full]), pa.array(packed[0], pa.binary()), pa.array(packed[1], pa.binary())], ["to", "sets", "n"])
+
+    def add(batches):
+        sets, n = [], []
+        for batch in batches:
+            sets += [np.frombuffer(x.as_buffer(), np.uint64) for x in batch.column("sets")]
+            n += [np.frombuffer(x.as_buffer(), np.uint32) for x in batch.column("n")]
+            if sum(map(len, sets)) > 1 << 21:  # keeps the state near the number of sets
+                sets, n = ([x] for x in total_of(sets, n))
+        if sets:
+            one, count = total_of(sets, n)
+            for i in range(0, len(one), 1 << 16):
+                yield pa.RecordBatch.from_arrays([pa.array(one[i : i + (1 << 16)].view(np.int64)), pa.array(count[i : i + (1 << 16)].astype(np.int64))], ["s1", "shared"])
+
+    def total_of(sets, n):
+        one, at = np.unique(np.concatenate(sets), return_inverse=True)
+        return one, np.bincount(at, np.concatenate(n)).astype(np.int64)
 
     schema = "part int, grams binary, sets binary, sizes binary, seen binary, known binary, n_known binary"
     packs = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).where("doc_id is not null").mapInArrow(T.tidy(send), schema)
-    return packs.repartition(tasks, "part").mapInArrow(T.tidy(meet), "s1 long, n long").groupBy("s1").agg(F.sum("n").alias("shared"))
+    partial = packs.repartition(tasks, "part").mapInArrow(T.tidy(meet), "to int, sets binary, n binary")
+    return partial.repartition(sums, "to").mapInArrow(T.tidy(add), "s1 long, shared long")
 
 
 def _with_grams(docs: DataFrame, wanted: DataFrame, sim: Similarity) -> DataFrame:

@@ -194,8 +194,8 @@ def even_keys(n: int) -> np.ndarray:
 def tidy(f):
     """A batch function that gives freed memory back to the system when it ends: idle workers of one stage stay beside the next one's."""
 
-    def run(*args):
-        out = f(*args)
+    def run(data):
+        out = f(data)
         if isinstance(out, pa.Table):
             release()
             return out
