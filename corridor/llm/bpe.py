@@ -13,6 +13,8 @@ from __future__ import annotations
 
 import base64
 import hashlib
+import re
+import struct
 from heapq import heappop, heappush
 
 import numpy as np
@@ -24,47 +26,15 @@ from pyspark.sql import functions as F
 from corridor.llm.texthash import small, tidy
 
 REMEMBERED, LONGEST = 1 << 17, 64
-
-
-class RankQueue:
-    """Positions by rank; pop gives the lowest rank, and of its positions the leftmost."""
-
-    def __init__(self) -> None:
-        self.buckets: dict[int, list[int]] = {}
-        self.words: dict[int, int] = {}
-        self.summary = 0
-
-    def push(self, rank: int, at: int) -> None:
-        bucket = self.buckets.get(rank)
-        if bucket is not None:
-            heappush(bucket, at)
-            return
-        self.buckets[rank] = [at]
-        w = rank >> 6
-        bits = self.words.get(w, 0)
-        if not bits:
-            self.summary |= 1 << w
-        self.words[w] = bits | 1 << (rank & 63)
-
-    def pop(self) -> tuple[int, int]:
-        top = self.summary & -self.summary
-        w = top.bit_length() - 1
-        bits = self.words[w]
-        low = bits & -bits
-        rank = (w << 6) + low.bit_length() - 1
-        bucket = self.buckets[rank]
-        at = heappop(bucket)
-        if not bucket:
-            del self.buckets[rank]
-            bits ^= low
-            self.words[w] = bits
-            if not bits:
-                self.summary ^= top
-        return rank, at
+MARKS = 1 << 21
 
 
 def merge(raw: bytes, ranks: dict[bytes, int]) -> list[int]:
-    """Ids of one pre-token."""
+    """Ids of one pre-token.
+
+    ``buckets`` has the waiting positions of each rank as a heap, so that the leftmost comes first; ``words`` has the used ranks as 64-bit
+    words, ``summary`` the used words.  Queue steps are written out in place: this is the innermost loop of encoding.
+    """
     whole = ranks.get(raw)
     if whole is not None:
         return [whole]
@@ -72,16 +42,44 @@ def merge(raw: bytes, ranks: dict[bytes, int]) -> list[int]:
     ids = [ranks[raw[i : i + 1]] for i in range(n)]
     after, before = list(range(1, n + 1)), list(range(-1, n - 1))
     waits = [-1] * n  # rank of the pair that starts here now
-    queue = RankQueue()
-    push, pop = queue.push, queue.pop
-    for i in range(n - 1):
-        r = get(raw[i : i + 2])
-        if r is not None:
+    buckets: dict[int, list[int]] = {}
+    words: dict[int, int] = {}
+    summary = 0
+    fresh = [(r, i) for i in range(n - 1) if (r := get(raw[i : i + 2])) is not None]
+    while True:
+        for r, i in fresh:  # into the queue
             waits[i] = r
-            push(r, i)
-    while queue.summary:
-        rank, i = pop()
-        if waits[i] != rank:
+            bucket = buckets.get(r)
+            if bucket is None:
+                buckets[r] = [i]
+                w = r >> 6
+                bits = words.get(w)
+                if bits:
+                    words[w] = bits | 1 << (r & 63)
+                else:
+                    words[w] = 1 << (r & 63)
+                    summary |= 1 << w
+            else:
+                heappush(bucket, i)
+        if not summary:
+            break
+        top = summary & -summary
+        w = top.bit_length() - 1
+        bits = words[w]
+        low = bits & -bits
+        rank = (w << 6) + low.bit_length() - 1
+        bucket = buckets[rank]
+        if len(bucket) > 1:
+            i = heappop(bucket)
+        else:
+            i = bucket[0]
+            del buckets[rank]
+            bits ^= low
+            words[w] = bits
+            if not bits:
+                summary ^= top
+        fresh = []
+        if waits[i] != rank:  # stale
             continue
         j = after[i]
         k = after[j]
@@ -90,16 +88,14 @@ def merge(raw: bytes, ranks: dict[bytes, int]) -> list[int]:
             before[k] = i
             r = get(raw[i : after[k]])
             if r is not None:
-                waits[i] = r
-                push(r, i)
+                fresh.append((r, i))
         h = before[i]
         if h >= 0:
             r = get(raw[h:k])
             if r is None:
                 waits[h] = -1
             elif waits[h] != r:
-                waits[h] = r
-                push(r, h)
+                fresh.append((r, h))
     out, i = [], 0
     while i < n:
         out.append(ids[i])
@@ -108,23 +104,59 @@ def merge(raw: bytes, ranks: dict[bytes, int]) -> list[int]:
 
 
 class _Memory(dict):
-    """Pre-token to ids as little-endian bytes; when full it becomes the elder generation, from which what is still in use comes back."""
+    """Pre-token to ids as little-endian bytes, for pre-tokens met more than once.
+
+    A mark by hash tells a first meeting, after which nothing is kept.  When full, this becomes the elder generation, from which what is
+    still in use comes back.
+    """
 
     def __init__(self, ranks: dict[bytes, int]) -> None:
-        self.ranks, self.elder = ranks, {}
+        self.ranks, self.elder, self.met = ranks, {}, bytearray(MARKS)
 
     def __missing__(self, token: str) -> bytes:
         ids = self.elder.get(token)
         if ids is None:
-            ids = np.array(merge(token.encode(), self.ranks), "<u4").tobytes()
-        if len(token) <= LONGEST:
-            if len(self) >= REMEMBERED:
-                self.elder = dict(self)
-                self.clear()
-            self[token] = ids
+            ids = pack(merge(token.encode(), self.ranks))
+            mark = hash(token) & (MARKS - 1)
+            if not self.met[mark] or len(token) > LONGEST:
+                self.met[mark] = 1
+                return ids
+        if len(self) >= REMEMBERED:
+            self.elder, self.met = dict(self), bytearray(MARKS)
+            self.clear()
+        self[token] = ids
         return ids
 
 
+def pack(ids: list[int]) -> bytes:
+    return struct.pack(f"<{len(ids)}I", *ids)
+
+
+def splitter(pattern: str):
+    """findall of a pattern.
+
+    Texts of Latin-1 characters, most of them, go to the standard library's quicker engine, with the classes that the pattern names
+    spelled out as they are in that range; others, and patterns with other escapes, to the full one.
+    """
+    full = regex.compile(pattern).findall
+    classes = {name: "".join(re.escape(c) for c in map(chr, range(256)) if regex.fullmatch(name, c)) for name in (r"\p{L}", r"\p{N}", r"\s")}
+    plain = pattern.replace(r"\S", f"[^{classes[chr(92) + 's']}]")
+    for name, members in classes.items():
+        plain = re.sub(r"(\[\^?(?:[^\]\\]|\\.(?:\{\w\})?)*\])|" + re.escape(name), lambda m, name=name, members=members: m[1].replace(name, members) if m[1] else f"[{members}]", plain)
+    if re.search(r"\\[a-zA-Z]", re.sub(r"\\[\t-\r\x1c-\x1f\x85\xa0 ]", "", plain)):
+        return full
+    latin = re.compile(plain).findall
+
+    def split(text: str) -> list[str]:
+        try:
+            text.encode("latin-1")
+        except UnicodeEncodeError:
+            return full(text)
+        return latin(text)
+
+    return split
+
+
 class Codec:
     """Encoder and decoder for one vocabulary of ranks and one pattern."""
 
@@ -134,7 +166,7 @@ class Codec:
         self.parts = [b""] * (max(self.ranks.values()) + 1)
         for raw, i in self.ranks.items():
             self.parts[i] = raw
-        self.split = regex.compile(pattern).findall
+        self.split = splitter(pattern)
         self.memory = _Memory(self.ranks)
 
     def encode(self, text: str) -> bytes:
