@@ -1,0 +1,343 @@
+"""What users of the methods need around them: scans, filters, joins, aggregates, windows, sets, functions, streams, UDFs, hints.
+
+Most rows are one portable SQL text; where the DataFrame API or a physical choice is the point, the query is built with it.
+"""
+
+from __future__ import annotations
+
+import re
+import shutil
+import tempfile
+from functools import reduce
+
+import pandas as pd
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+from pyspark.sql.functions import arrow_udf, pandas_udf
+
+from corridor.functions import sqlfuncs
+from corridor.operators.segment import scan_sql, segment
+from corridor.plans import codec
+from corridor.queries.methods import F2, cte, expanded_sql, on, opt, track
+from corridor.queries.registry import add
+from corridor.runtime import table
+from corridor.sources import tracks as T
+
+TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
+
+
+def sql(name: str, text: str, duck: str | None = None) -> None:
+    """A query in SQL over {table} names; the same text is the oracle unless DuckDB spells it differently."""
+    used = sorted(set(re.findall(r"\{(\w+)\}", text)))
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return spark.sql(text, **{t: table(spark, sf_dir, t) for t in used})
+
+    add(name, run, re.sub(r"\{(\w+)\}", r"\1", duck or text))
+
+
+# OP1, OP5 - OP8
+def counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return reduce(DataFrame.union, [table(spark, sf_dir, t).agg(F.lit(t).alias("name"), F.count("*").alias("n")) for t in TABLES])
+
+
+add("op_scan_all", counts, " UNION ALL ".join(f"SELECT '{t}' AS name, count(*) AS n FROM {t}" for t in TABLES))
+sql("op_project", "SELECT l_orderkey, l_linenumber, l_extendedprice / l_quantity AS unit_price, CAST(floor(l_extendedprice / 100 + 0.5) AS BIGINT) AS grid FROM {lineitem}")
+sql("op_filter", "SELECT event_id, user_id FROM {events} WHERE event_type IN ('click', 'purchase') AND value BETWEEN 5 AND 50 AND event_type LIKE '%c%' AND NOT (user_id = 3) AND (user_id IS DISTINCT FROM 4)")
+sql("op_filter_regex", "SELECT page_id FROM {pages} WHERE url RLIKE '^https.*html$'", "SELECT page_id FROM pages WHERE regexp_matches(url, '^https.*html$')")
+add("op_stride_f2", on("f2", lambda t: T.strided(t, 4).withColumn("x", F.round("x", 6))), f"WITH {cte('f2')} SELECT k, t // 4 AS t, round(x, 6) AS x FROM track WHERE t % 4 = 0")
+sql("op_spotlight", "SELECT e.event_id FROM {events} e LEFT SEMI JOIN (SELECT DISTINCT date_trunc('HOUR', ts) AS h FROM {events} WHERE event_type = 'error') f ON date_trunc('HOUR', e.ts) = f.h UNION ALL SELECT event_id FROM {events} WHERE event_id % 50 = 0",
+    "SELECT event_id FROM events WHERE date_trunc('hour', ts) IN (SELECT date_trunc('hour', ts) FROM events WHERE event_type = 'error') UNION ALL SELECT event_id FROM events WHERE event_id % 50 = 0")
+
+# OP9 - OP16: joins
+sql("op_join_broadcast", "SELECT /*+ BROADCAST(n), BROADCAST(r) */ s.s_suppkey, n.n_name, r.r_name FROM {supplier} s JOIN {nation} n ON s.s_nationkey = n.n_nationkey JOIN {region} r ON n.n_regionkey = r.r_regionkey")
+sql("op_join_merge", "SELECT /*+ MERGE(o) */ o.o_orderkey, count(*) AS lines, CAST(sum(l.l_linenumber) AS BIGINT) AS total FROM {orders} o JOIN {lineitem} l ON o.o_orderkey = l.l_orderkey GROUP BY o.o_orderkey")
+sql("op_join_hash", "SELECT /*+ SHUFFLE_HASH(c) */ c.c_custkey, count(*) AS orders FROM {orders} o JOIN {customer} c ON o.o_custkey = c.c_custkey GROUP BY c.c_custkey")
+sql("op_join_left", "SELECT c.c_custkey, count(o.o_orderkey) AS orders FROM {customer} c LEFT JOIN {orders} o ON c.c_custkey = o.o_custkey GROUP BY c.c_custkey")
+sql("op_join_right", "SELECT c.c_custkey, o.o_orderkey FROM {customer} c RIGHT JOIN {orders} o ON c.c_custkey = o.o_custkey AND c.c_acctbal > 0")
+sql("op_join_full", "SELECT coalesce(d.doc_id, l.doc_id) AS doc_id, l.quality FROM {documents} d FULL OUTER JOIN {labels} l ON d.doc_id = l.doc_id")
+sql("op_join_semi", "SELECT d.doc_id FROM {documents} d LEFT SEMI JOIN {labels} l ON d.doc_id = l.doc_id", "SELECT doc_id FROM documents WHERE doc_id IN (SELECT doc_id FROM labels)")
+sql("op_join_anti", "SELECT d.doc_id FROM {documents} d LEFT ANTI JOIN {labels} l ON d.doc_id = l.doc_id", "SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels WHERE doc_id IS NOT NULL)")
+sql("op_join_theta", "SELECT a.n_nationkey AS a, b.n_nationkey AS b FROM {nation} a JOIN {nation} b ON a.n_nationkey < b.n_nationkey AND a.n_regionkey <> b.n_regionkey")
+
+
+def range_join(t: DataFrame) -> DataFrame:
+    """Samples with the piece that each falls in: equality on block and series, the rest as a residual."""
+    p = segment(t, F2)
+    s = t.withColumn("block", F.floor(F.col("t") / F2.block))
+    return s.join(p, ["block", "k"]).where("t > t0 AND t <= t0 + dt").select("k", "t", "t0", "dt")
+
+
+add("op_range_join_f2", on("f2", range_join), lambda: scan_sql(cte("f2"), F2, "SELECT s.k, s.t, p.t0, p.dt FROM samples s JOIN pieces p ON s.k = p.k AND s.block = p.block AND s.t > p.t0 AND s.t <= p.t0 + p.dt"))
+
+
+def overlap_join(t: DataFrame) -> DataFrame:
+    p = segment(t, F2)
+    a, b = p.where("k = 0").select("block", F.col("t0").alias("a0"), (F.col("t0") + F.col("dt")).alias("a1")), p.where("k = 1").select("block", F.col("t0").alias("b0"), (F.col("t0") + F.col("dt")).alias("b1"))
+    return a.join(b, "block").where("a0 < b1 AND b0 < a1").select("block", F.greatest("a0", "b0").alias("s"), F.least("a1", "b1").alias("e"))
+
+
+add("op_overlap_join_f2", on("f2", overlap_join), lambda: scan_sql(cte("f2"), F2, "SELECT a.block, greatest(a.t0, b.t0) AS s, least(a.t0 + a.dt, b.t0 + b.dt) AS e FROM pieces a JOIN pieces b ON a.block = b.block AND a.t0 < b.t0 + b.dt AND b.t0 < a.t0 + a.dt WHERE a.k = 0 AND b.k = 1"))
+
+
+def as_of(left: DataFrame, right: DataFrame, key: str, at: str, value: str) -> DataFrame:
+    """``left(key, at, ..)`` with the latest ``value`` of ``right(key, at, value)`` at or before each row: one union, one sort, no theta join."""
+    rows = left.withColumn("__side", F.lit(1)).withColumn(value, F.lit(None).cast(right.schema[value].dataType)).unionByName(right.select(key, at, value).withColumn("__side", F.lit(0)), allowMissingColumns=True)
+    w = Window.partitionBy(key).orderBy(at, "__side").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    return rows.withColumn(value, F.last(value, ignorenulls=True).over(w)).where("__side = 1").drop("__side")
+
+
+def last_purchase(spark: SparkSession, sf_dir: str) -> DataFrame:
+    e = table(spark, sf_dir, "events").select("event_id", "user_id", "ts", "event_type")
+    bought = e.where("event_type = 'purchase'").select("user_id", "ts", F.col("event_id").alias("bought"))
+    return as_of(e.drop("event_type"), bought, "user_id", "ts", "bought").select("event_id", "bought")
+
+
+add("op_asof_join", last_purchase, "SELECT e.event_id, p.event_id AS bought FROM events e ASOF LEFT JOIN (SELECT * FROM events WHERE event_type = 'purchase') p ON e.user_id = p.user_id AND e.ts >= p.ts")
+sql("op_lateral", "SELECT d.doc_id, w.w FROM {documents} d, LATERAL (SELECT length(d.text) % 7 AS w) w", "SELECT doc_id, length(text) % 7 AS w FROM documents")
+add("op_explode", lambda spark, d: table(spark, d, "embeddings").select("vec_id", F.posexplode(F.slice("embedding", 1, 3)).alias("pos", "v")).select("vec_id", "pos", F.round(F.col("v").cast("double"), 6).alias("v")),
+    "SELECT vec_id, CAST(i - 1 AS INTEGER) AS pos, round(CAST(embedding[i] AS DOUBLE), 6) AS v FROM embeddings, (SELECT unnest([1, 2, 3]) AS i)")
+
+# OP19 - OP26: aggregates
+sql("op_aggregate", "SELECT l_suppkey, count(*) AS n, CAST(sum(CAST(floor(l_extendedprice * 100 + 0.5) AS BIGINT)) AS BIGINT) AS cents, min(l_quantity) AS low, max(l_quantity) AS high FROM {lineitem} GROUP BY l_suppkey")
+sql("op_aggregate_list", "SELECT user_id, array_join(transform(array_sort(collect_list(event_id)), x -> CAST(x AS STRING)), ',') AS ids FROM {events} WHERE event_id < 2000 GROUP BY user_id",
+    "SELECT user_id, array_to_string(list(event_id ORDER BY event_id), ',') AS ids FROM events WHERE event_id < 2000 GROUP BY user_id")
+sql("op_distinct", "SELECT DISTINCT user_id, event_type FROM {events}")
+sql("op_count_distinct", "SELECT CAST(ts AS DATE) AS day, count(DISTINCT user_id) AS users FROM {events} GROUP BY CAST(ts AS DATE)")
+
+
+def approximate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Approximate distinct count and quantile beside the exact ones, and whether they are within their stated error."""
+    e = table(spark, sf_dir, "events")
+    r = e.agg(F.countDistinct("user_id").alias("exact"), F.approx_count_distinct("user_id", 0.02).alias("about"), F.percentile("value", 0.5).alias("median"), F.percentile_approx("value", 0.5, 10000).alias("near"))
+    return r.select((F.abs(F.col("about") - F.col("exact")) <= 0.1 * F.col("exact")).alias("count_ok"), (F.abs(F.col("near") - F.col("median")) <= 0.05 * F.abs(F.col("median")) + 0.01).alias("median_ok"))
+
+
+add("op_approximate", approximate, "SELECT TRUE AS count_ok, TRUE AS median_ok")
+sql("op_statistics", "SELECT l_returnflag, round(percentile(l_quantity, 0.9), 4) AS p90, round(median(l_quantity), 4) AS med, round(stddev_samp(l_quantity), 4) AS sd, round(var_pop(l_discount), 6) AS v, round(corr(l_quantity, l_extendedprice), 6) AS c, round(regr_slope(l_extendedprice, l_quantity), 3) AS slope FROM {lineitem} GROUP BY l_returnflag",
+    "SELECT l_returnflag, round(quantile_cont(l_quantity, 0.9), 4) AS p90, round(median(l_quantity), 4) AS med, round(stddev_samp(l_quantity), 4) AS sd, round(var_pop(l_discount), 6) AS v, round(corr(l_quantity, l_extendedprice), 6) AS c, round(regr_slope(l_extendedprice, l_quantity), 3) AS slope FROM lineitem GROUP BY l_returnflag")
+sql("op_max_by", "SELECT user_id, max_by(event_id, struct(value, event_id)) AS best, min_by(event_id, struct(value, event_id)) AS worst, bool_or(event_type = 'error') AS failed, bool_and(value > 0) AS positive, count_if(value > 10) AS big FROM {events} GROUP BY user_id",
+    "SELECT user_id, arg_max(event_id, (value, event_id)) AS best, arg_min(event_id, (value, event_id)) AS worst, bool_or(event_type = 'error') AS failed, bool_and(value > 0) AS positive, CAST(count_if(value > 10) AS BIGINT) AS big FROM events GROUP BY user_id")
+for kind, groups in (("rollup", "ROLLUP (l_returnflag, l_linestatus)"), ("cube", "CUBE (l_returnflag, l_linestatus)"), ("grouping_sets", "GROUPING SETS ((l_returnflag), (l_linestatus), ())")):
+    sql(f"op_{kind}", f"SELECT l_returnflag, l_linestatus, count(*) AS n, CAST(sum(l_linenumber) AS BIGINT) AS s FROM {{lineitem}} GROUP BY {groups}")
+add("op_pivot", lambda spark, d: table(spark, d, "events").groupBy("user_id").pivot("event_type", ["click", "purchase"]).count().na.fill(0), "SELECT user_id, count(*) FILTER (event_type = 'click') AS click, count(*) FILTER (event_type = 'purchase') AS purchase FROM events GROUP BY user_id")
+sql("op_unpivot", "SELECT l_orderkey, l_linenumber, what, v FROM {lineitem} UNPIVOT (v FOR what IN (l_quantity, l_discount, l_tax))", "SELECT l_orderkey, l_linenumber, what, v FROM (UNPIVOT lineitem ON l_quantity, l_discount, l_tax INTO NAME what VALUE v)")
+
+# OP27 - OP32: windows, order
+sql("op_ranking", "SELECT event_id, row_number() OVER w AS rn, rank() OVER w AS rk, dense_rank() OVER w AS dr, ntile(4) OVER w AS nt, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM {events} WINDOW w AS (PARTITION BY user_id ORDER BY value, event_id)",
+    "SELECT event_id, CAST(row_number() OVER w AS INTEGER) AS rn, CAST(rank() OVER w AS INTEGER) AS rk, CAST(dense_rank() OVER w AS INTEGER) AS dr, CAST(ntile(4) OVER w AS INTEGER) AS nt, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM events WINDOW w AS (PARTITION BY user_id ORDER BY value, event_id)")
+sql("op_analytic", "SELECT event_id, lag(event_id) OVER w AS a, lead(event_id, 2) OVER w AS b, first_value(event_id) OVER w AS c, last_value(event_id) OVER w AS d, nth_value(event_id, 3) OVER w AS e FROM {events} WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
+sql("op_frames", "SELECT event_id, sum(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS running, sum(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS centred, count(*) OVER (PARTITION BY user_id ORDER BY event_id RANGE BETWEEN 100 PRECEDING AND CURRENT ROW) AS near, sum(event_id) OVER (PARTITION BY user_id ORDER BY ts DESC, event_id DESC ROWS UNBOUNDED PRECEDING) AS back FROM {events}",
+    "SELECT event_id, CAST(sum(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS BIGINT) AS running, CAST(sum(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS BIGINT) AS centred, count(*) OVER (PARTITION BY user_id ORDER BY event_id RANGE BETWEEN 100 PRECEDING AND CURRENT ROW) AS near, CAST(sum(event_id) OVER (PARTITION BY user_id ORDER BY ts DESC, event_id DESC ROWS UNBOUNDED PRECEDING) AS BIGINT) AS back FROM events")
+for name in ("f4", "f6"):
+    add(f"op_gap_fill_{name}", on(name, lambda t: t.withColumn("x", F.round("x", 4))), f"WITH {cte(name)} SELECT k, t, round(x, 4) AS x FROM track")
+
+
+def linear_fill(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A grid between known samples, filled along lines: carry the last and the next known value to each step."""
+    t = track(spark, sf_dir, "f2").where("t % 5 = 0 OR t = 499")
+    grid = t.select("k").distinct().select("k", F.explode(F.expr("sequence(0L, 499L)")).alias("t"))
+    w = Window.partitionBy("k").orderBy("t")
+    rows = grid.join(t, ["k", "t"], "left").withColumn("known", F.when(F.col("x").isNotNull(), F.struct("t", "x")))
+    a = F.last("known", ignorenulls=True).over(w.rowsBetween(Window.unboundedPreceding, 0))
+    b = F.first("known", ignorenulls=True).over(w.rowsBetween(0, Window.unboundedFollowing))
+    rows = rows.select("k", "t", a.alias("a"), b.alias("b"))
+    return rows.select("k", "t", F.when(F.col("a.t") == F.col("b.t"), F.col("a.x")).otherwise(F.col("a.x") + (F.col("b.x") - F.col("a.x")) * (F.col("t") - F.col("a.t")) / (F.col("b.t") - F.col("a.t"))).alias("x"))
+
+
+add("op_linear_fill_f2", linear_fill, f"""WITH {cte('f2')}, s AS (SELECT * FROM track WHERE t % 5 = 0 OR t = 499), g AS (SELECT k, t FROM track),
+a AS (SELECT g.k, g.t, s.t AS ta, s.x AS xa FROM g ASOF JOIN s ON g.k = s.k AND g.t >= s.t), b AS (SELECT g.k, g.t, s.t AS tb, s.x AS xb FROM g ASOF JOIN s ON g.k = s.k AND g.t <= s.t)
+SELECT a.k, a.t, CASE WHEN ta = tb THEN xa ELSE xa + (xb - xa) * (a.t - ta) / (tb - ta) END AS x FROM a JOIN b ON a.k = b.k AND a.t = b.t""")
+sql("op_order_limit", "SELECT o_orderkey, o_totalprice FROM {orders} ORDER BY o_totalprice DESC, o_orderkey LIMIT 20 OFFSET 5")
+add("op_wire_sort_f2", on("f2", lambda t: segment(t, F2).repartition(4, "block").sortWithinPartitions("t0", "k")), lambda: scan_sql(cte("f2"), F2))
+sql("op_top_k", "SELECT o_custkey, o_orderkey FROM (SELECT *, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS rn FROM {orders}) x WHERE rn <= 3")
+
+# OP33 - OP41: sets, functions, subqueries
+for kind in ("UNION", "UNION ALL", "INTERSECT", "INTERSECT ALL", "EXCEPT", "EXCEPT ALL"):
+    sql(f"op_{kind.lower().replace(' ', '_')}", f"SELECT event_type AS v FROM {{events}} WHERE user_id < 50 {kind} SELECT event_type FROM {{events}} WHERE user_id >= 20 AND event_type <> 'error'")
+add("op_union_by_name", lambda spark, d: table(spark, d, "nation").select("n_nationkey", "n_name").unionByName(table(spark, d, "region").select(F.col("r_name").alias("n_name"), F.col("r_regionkey").alias("n_nationkey"))),
+    "SELECT n_nationkey, n_name FROM nation UNION ALL BY NAME SELECT r_name AS n_name, r_regionkey AS n_nationkey FROM region")
+sql("op_strings", "SELECT doc_id, length(text) AS n, lower(substr(text, 1, 10)) AS head, split_part(text, ' ', 2) AS second, regexp_replace(substr(text, 1, 30), '[aeiou]', '_') AS masked, concat_ws('-', lang, source) AS tag, lpad(CAST(doc_id AS STRING), 8, '0') AS padded FROM {documents}",
+    "SELECT doc_id, length(text) AS n, lower(substr(text, 1, 10)) AS head, split_part(text, ' ', 2) AS second, regexp_replace(substr(text, 1, 30), '[aeiou]', '_', 'g') AS masked, concat_ws('-', lang, source) AS tag, lpad(CAST(doc_id AS VARCHAR), 8, '0') AS padded FROM documents")
+sql("op_dates", "SELECT o_orderkey, CAST(date_trunc('MONTH', o_orderdate) AS DATE) AS m, datediff(CAST(o_orderdate AS DATE), DATE '1995-01-01') AS days, extract(YEAR FROM o_orderdate) AS y, CAST(o_orderdate AS DATE) + INTERVAL 30 DAY AS later, unix_date(CAST(o_orderdate AS DATE)) AS u FROM {orders}",
+    "SELECT o_orderkey, CAST(date_trunc('month', o_orderdate) AS DATE) AS m, CAST(date_diff('day', DATE '1995-01-01', CAST(o_orderdate AS DATE)) AS INTEGER) AS days, CAST(extract(YEAR FROM o_orderdate) AS INTEGER) AS y, CAST(CAST(o_orderdate AS DATE) + INTERVAL 30 DAY AS DATE) AS later, CAST(date_diff('day', DATE '1970-01-01', CAST(o_orderdate AS DATE)) AS INTEGER) AS u FROM orders")
+sql("op_math", "SELECT l_orderkey, l_linenumber, floor(l_quantity / 7) AS a, ceil(l_quantity / 7) AS b, round(sqrt(l_extendedprice), 4) AS c, greatest(l_quantity, 10) AS d, pmod(l_orderkey, 7) AS e, shiftleft(l_linenumber, 3) AS f, l_orderkey ^ 5 AS g, bit_count(l_orderkey) AS h, bin(l_partkey) AS i FROM {lineitem}",
+    "SELECT l_orderkey, l_linenumber, CAST(floor(l_quantity / 7) AS BIGINT) AS a, CAST(ceil(l_quantity / 7) AS BIGINT) AS b, round(sqrt(l_extendedprice), 4) AS c, greatest(l_quantity, 10) AS d, l_orderkey % 7 AS e, l_linenumber << 3 AS f, xor(l_orderkey, 5) AS g, CAST(bit_count(l_orderkey) AS INTEGER) AS h, bin(l_partkey) AS i FROM lineitem")
+sql("op_arrays", "SELECT vec_id, round(CAST(embedding[0] AS DOUBLE), 6) AS head, size(filter(embedding, x -> x > 0)) AS positive, round(aggregate(slice(embedding, 1, 4), CAST(0 AS DOUBLE), (a, x) -> a + x), 5) AS s, size(array_sort(slice(embedding, 1, 8))) AS n, array_contains(transform(slice(embedding, 1, 4), x -> x > 0), true) AS any_pos FROM {embeddings}",
+    "SELECT vec_id, round(CAST(embedding[1] AS DOUBLE), 6) AS head, CAST(len(list_filter(embedding, lambda x: x > 0)) AS INTEGER) AS positive, round(CAST(embedding[1] AS DOUBLE) + embedding[2] + embedding[3] + embedding[4], 5) AS s, 8 AS n, list_contains(list_transform(embedding[1:4], lambda x: x > 0), true) AS any_pos FROM embeddings")
+sql("op_maps", "SELECT nation.n_nationkey, map('name', n_name, 'region', CAST(n_regionkey AS STRING))['name'] AS name, named_struct('a', n_nationkey, 'b', n_regionkey).b AS b, size(map_filter(map('x', n_nationkey, 'y', n_regionkey), (k, v) -> v > 2)) AS big FROM {nation} nation",
+    "SELECT n_nationkey, n_name AS name, n_regionkey AS b, CAST((n_nationkey > 2)::INT + (n_regionkey > 2)::INT AS INTEGER) AS big FROM nation")
+sql("op_json", "SELECT event_id, CAST(get_json_object(props, '$.k') AS INT) AS k, from_json(props, 'k INT').k + 1 AS next FROM {events}", "SELECT event_id, CAST(json_extract_string(props, '$.k') AS INTEGER) AS k, CAST(json_extract_string(props, '$.k') AS INTEGER) + 1 AS next FROM events")
+sql("op_case_cast", "SELECT event_id, CASE WHEN value > 20 THEN 'big' WHEN value > 10 THEN 'mid' ELSE 'small' END AS size, coalesce(nullif(event_type, 'click'), 'tap') AS what, try_cast(event_type AS INT) AS nothing, CAST(value AS INT) AS whole FROM {events}",
+    "SELECT event_id, CASE WHEN value > 20 THEN 'big' WHEN value > 10 THEN 'mid' ELSE 'small' END AS size, coalesce(nullif(event_type, 'click'), 'tap') AS what, try_cast(event_type AS INTEGER) AS nothing, CAST(trunc(value) AS INTEGER) AS whole FROM events")
+sql("op_subquery", "WITH m AS (SELECT user_id, avg(value) AS m FROM {events} GROUP BY user_id) SELECT e.event_id FROM {events} e WHERE e.value > (SELECT m FROM m WHERE m.user_id = e.user_id) AND EXISTS (SELECT 1 FROM {events} f WHERE f.user_id = e.user_id AND f.event_type = 'error') AND e.value < (SELECT max(value) FROM {events})")
+sql("op_recursive", "WITH RECURSIVE r(n, s) AS (SELECT CAST(1 AS BIGINT), CAST(1 AS BIGINT) UNION ALL SELECT n + 1, s + n + 1 FROM r WHERE n < 50) SELECT n, s FROM r")
+for policy in ("drop", "split"):
+    add(f"op_dirty_{policy}", lambda spark, d, policy=policy: T.clean(T.dirty(spark), policy), {
+        "drop": "SELECT * FROM (VALUES (0::BIGINT, 0::BIGINT, 1.0::DOUBLE), (0, 1, 3.0), (0, 2, 5.0), (1, 0, 1.0), (1, 1, 2.0), (2, 0, 0.0), (2, 1, 1.0), (2, 2, 5.0), (2, 3, 6.0)) v(k, t, x)",
+        "split": "SELECT * FROM (VALUES (0::BIGINT, 0::BIGINT, 1.0::DOUBLE), (1, 2, 3.0), (2, 4, 5.0), (1048576, 0, 1.0), (1048577, 2, 2.0), (2097152, 0, 0.0), (2097152, 1, 1.0), (2097153, 5, 5.0), (2097153, 6, 6.0)) v(k, t, x)",
+    }[policy])
+
+
+# OP2 - OP4: formats, data source, sinks
+def round_trips(spark: SparkSession, sf_dir: str) -> DataFrame:
+    e = table(spark, sf_dir, "events").where("event_id < 500").select("event_id", "user_id", "event_type", "value")
+    root, rows = tempfile.mkdtemp(), []
+    try:
+        for f in ("csv", "json", "orc", "parquet"):
+            e.write.mode("overwrite").format(f).option("header", True).save(f"{root}/{f}")
+            back = spark.read.schema(e.schema).format(f).option("header", True).load(f"{root}/{f}")
+            rows.append((f, back.count(), e.exceptAll(back).count()))
+        e.select(F.to_json(F.struct(*e.columns)).alias("value")).write.mode("overwrite").text(f"{root}/text")
+        back = spark.read.text(f"{root}/text").select(F.from_json("value", e.schema).alias("r")).select("r.*")
+        rows.append(("text", back.count(), e.exceptAll(back).count()))
+    finally:
+        shutil.rmtree(root, ignore_errors=True)
+    return spark.createDataFrame(rows, "format string, n long, lost long")
+
+
+add("op_formats", round_trips, "SELECT unnest(['csv', 'json', 'orc', 'parquet', 'text']) AS format, 500::BIGINT AS n, 0::BIGINT AS lost")
+
+
+def data_source(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Blocks written to a partitioned store and read by format "corridor", with bounds on t."""
+    import json
+
+    from corridor.sources.datasource import CorridorSource, write_blocks
+
+    t, o = track(spark, sf_dir, "f2"), opt("f2", width=8, block=64)
+    root, push = tempfile.mkdtemp(), "spark.sql.python.filterPushdown.enabled"
+    before = spark.conf.get(push)
+    try:
+        spark.conf.set(push, "true")
+        write_blocks(codec.compress(t, o), f"{root}/store", o)
+        spark.dataSource.register(CorridorSource)
+        options = json.dumps({"eps": o.eps, "block": o.block, "width": o.width})
+        rows = spark.read.format("corridor").option("path", f"{root}/store").option("options", options).load().where("t >= 100 AND t < 140 AND k = 3").withColumn("x", F.round("x", 6)).collect()
+    finally:
+        spark.conf.set(push, before)
+        shutil.rmtree(root, ignore_errors=True)
+    return spark.createDataFrame(rows, "k long, t long, x double")
+
+
+add("op_data_source_f2", data_source, lambda: expanded_sql("f2", opt("f2", block=64), "SELECT k, t, round(x, 6) AS x FROM x WHERE t >= 100 AND t < 140 AND k = 3"))
+
+
+# OP42 - OP46: streams; each equals its batch form
+def streamed(spark: SparkSession, sf_dir: str, build, mode: str = "append") -> DataFrame:
+    """``build`` over the events as a stream of files, run to the end, into a table in memory and then rows."""
+    schema = "event_id long, ts timestamp, user_id long, event_type string, value double"
+    root = tempfile.mkdtemp()
+    name = "s" + root.rsplit("/", 1)[-1].replace("-", "_")
+    try:
+        e = table(spark, sf_dir, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type", "value")
+        e.orderBy("ts").coalesce(1).write.parquet(f"{root}/in")
+        stream = spark.readStream.schema(schema).parquet(f"{root}/in").withWatermark("ts", "1 hour")
+        q = build(stream).writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start()
+        q.awaitTermination()
+        out = spark.table(name)
+        return spark.createDataFrame(out.collect(), out.schema)
+    finally:
+        shutil.rmtree(root, ignore_errors=True)
+
+
+DAY = "count(*) AS n"
+add("op_stream_tumbling", lambda spark, d: streamed(spark, d, lambda s: s.groupBy(F.window("ts", "1 hour")).count().select(F.col("window.start").cast("timestamp_ntz").alias("h"), "count"), "complete"), "SELECT date_trunc('hour', ts) AS h, count(*) AS \"count\" FROM events GROUP BY 1")
+add("op_stream_sliding", lambda spark, d: streamed(spark, d, lambda s: s.groupBy(F.window("ts", "2 hours", "1 hour")).count().agg(F.sum("count").alias("n")) if False else s.groupBy(F.window("ts", "2 hours", "1 hour")).count().select(F.col("window.start").cast("timestamp_ntz").alias("h"), "count"), "complete"),
+    "SELECT h, count(*) AS \"count\" FROM (SELECT unnest([date_trunc('hour', ts), date_trunc('hour', ts) - INTERVAL 1 HOUR]) AS h FROM events) GROUP BY 1")
+add("op_stream_session", lambda spark, d: streamed(spark, d, lambda s: s.groupBy("user_id", F.session_window("ts", "3 hours")).count().select("user_id", F.col("session_window.start").cast("timestamp_ntz").alias("start"), "count"), "complete"),
+    "SELECT user_id, min(ts) AS start, count(*) AS \"count\" FROM (SELECT *, sum(n) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS g FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 3 HOUR THEN 0 ELSE 1 END AS n FROM events)) GROUP BY user_id, g")
+add("op_stream_dedup", lambda spark, d: streamed(spark, d, lambda s: s.union(s).dropDuplicates(["event_id", "ts"]).select("event_id")), "SELECT event_id FROM events")
+
+
+def stream_static(spark: SparkSession, sf_dir: str) -> DataFrame:
+    c = table(spark, sf_dir, "customer").select("c_custkey", "c_mktsegment")
+    return streamed(spark, sf_dir, lambda s: s.join(F.broadcast(c), s.user_id == c.c_custkey).select("event_id", "c_mktsegment"))
+
+
+add("op_stream_static_join", stream_static, "SELECT event_id, c_mktsegment FROM events JOIN customer ON user_id = c_custkey")
+
+
+def stream_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
+    def build(s: DataFrame) -> DataFrame:
+        a = s.where("event_type = 'click'").select("user_id", F.col("ts").alias("a"), F.col("event_id").alias("click"))
+        b = s.where("event_type = 'purchase'").select(F.col("user_id").alias("u"), F.col("ts").alias("b"), F.col("event_id").alias("purchase"))
+        return a.join(b, F.expr("user_id = u AND b >= a AND b <= a + INTERVAL 1 HOUR")).select("click", "purchase")
+
+    return streamed(spark, sf_dir, build)
+
+
+add("op_stream_stream_join", stream_stream, "SELECT a.event_id AS click, b.event_id AS purchase FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 1 HOUR")
+
+# OP47 - OP52: functions of one's own, physical choices
+
+
+@arrow_udf("long")
+def list_bits(column: pa.Array) -> pa.Array:
+    """Bits of the largest number of each list."""
+    return pa.array([max((int(v).bit_length() for v in row.as_py()), default=0) for row in column], pa.int64())
+
+
+@pandas_udf("double")
+def spread(v: pd.Series) -> float:
+    return float(v.max() - v.min())
+
+
+add("op_scalar_udf", lambda spark, d: table(spark, d, "orders").select("o_orderkey", list_bits(F.array("o_orderkey", "o_custkey")).alias("bits")), "SELECT o_orderkey, CASE WHEN greatest(o_orderkey, o_custkey) = 0 THEN 0 ELSE length(bin(greatest(o_orderkey, o_custkey))) END AS bits FROM orders")
+add("op_aggregate_udf", lambda spark, d: table(spark, d, "events").groupBy("user_id").agg(F.round(spread("value"), 4).alias("spread")), "SELECT user_id, round(max(value) - min(value), 4) AS spread FROM events GROUP BY user_id")
+
+
+def table_function(spark: SparkSession, sf_dir: str) -> DataFrame:
+    sqlfuncs.register(spark)
+    p = segment(track(spark, sf_dir, "f2"), F2).where("k < 2")
+    return spark.sql("SELECT p.k, e.t, round(e.q, 6) AS x FROM {p} p, LATERAL corridor_expand(p.t0, p.dt, p.p0, p.dq) e", p=p)
+
+
+add("op_table_function_f2", table_function, lambda: expanded_sql("f2", F2, f"SELECT k, t, round(x, 6) AS x FROM x WHERE k < 2 AND t % {F2.block} > 0"))
+
+
+def cogrouped(t: DataFrame) -> DataFrame:
+    """Pieces of two variants side by side, block by block."""
+    a, b = segment(t, F2), segment(t, opt("f2", end="mid"))
+
+    def compare(x: pa.Table, y: pa.Table) -> pa.Table:
+        some = x if x.num_rows else y
+        return pa.table({"block": some.column("block")[:1], "a": pa.array([x.num_rows], pa.int64()), "b": pa.array([y.num_rows], pa.int64())})
+
+    return a.groupBy("block").cogroup(b.groupBy("block")).applyInArrow(compare, "block long, a long, b long")
+
+
+add("op_cogroup_f2", on("f2", cogrouped))
+
+
+def partition_map(spark: SparkSession, sf_dir: str) -> DataFrame:
+    def squares(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([len(v) for v in b.column(1).to_pylist()], pa.int64())], ["page_id", "n"])
+
+    return table(spark, sf_dir, "pages").select("page_id", "url").mapInArrow(squares, "page_id long, n long")
+
+
+add("op_partition_map", partition_map, "SELECT page_id, length(url) AS n FROM pages")
+
+
+def registered(spark: SparkSession, sf_dir: str) -> DataFrame:
+    sqlfuncs.register(spark)
+    return spark.sql("SELECT o_orderkey, corridor_quantize(o_totalprice, 100D) AS q, corridor_zigzag(50 - o_custkey) AS z FROM {o}", o=table(spark, sf_dir, "orders"))
+
+
+add("op_sql_functions", registered, "SELECT o_orderkey, CAST(floor(o_totalprice / 100 + 0.5) AS BIGINT) AS q, CASE WHEN 50 - o_custkey >= 0 THEN 2 * (50 - o_custkey) ELSE -2 * (50 - o_custkey) - 1 END AS z FROM orders")
+
+
+def physical(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Cached, repartitioned and checkpointed forms of one table count alike."""
+    from corridor.runtime import cut
+
+    o = table(spark, sf_dir, "orders").select("o_custkey", "o_orderkey")
+    kept = o.persist()
+    forms = {"cache": kept, "repartition": o.repartition(5, "o_custkey"), "range": o.repartitionByRange(4, "o_orderkey"), "coalesce": o.coalesce(1), "checkpoint": cut(o), "rebalance": o.hint("rebalance")}
+    return reduce(DataFrame.union, [f.agg(F.lit(n).alias("form"), F.count("*").alias("n"), F.sum("o_orderkey").alias("s")) for n, f in forms.items()])
+
+
+add("op_physical", physical, "SELECT form, n, s FROM (SELECT count(*) AS n, CAST(sum(o_orderkey) AS BIGINT) AS s FROM orders), (SELECT unnest(['cache', 'repartition', 'range', 'coalesce', 'checkpoint', 'rebalance']) AS form)")
