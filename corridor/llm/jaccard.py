@@ -65,7 +65,7 @@ def _sets(batch: pa.RecordBatch, sim: Similarity):
     texts = batch.column(1)
     for a, b in T.slices(texts):
         h, doc = T.gram_sets(T.words(texts[a:b], sim.lower), sim.k)
-        yield batch.column(0)[a:b].to_numpy(zero_copy_only=False).astype(np.int64), h, doc, *_identity(h, doc, b - a)
+        yield batch.column(0)[a:b].fill_null(0).to_numpy(zero_copy_only=False), h, doc, *_identity(h, doc, b - a)
 
 
 def profile(docs: DataFrame, sim: Similarity) -> DataFrame:
@@ -73,8 +73,11 @@ def profile(docs: DataFrame, sim: Similarity) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            for ids, _, _, n, s1, s2 in _sets(batch, sim):
-                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(n.astype(np.int64)), pa.array(s1.view(np.int64)), pa.array(s2.view(np.int64))], ["doc_id", "n_shingles", "s1", "s2"])
+            at = 0
+            for _, _, _, n, s1, s2 in _sets(batch, sim):
+                ids = batch.column(0)[at : at + len(n)]
+                at += len(n)
+                yield pa.RecordBatch.from_arrays([ids, pa.array(n.astype(np.int64)), pa.array(s1.view(np.int64)), pa.array(s2.view(np.int64))], ["doc_id", "n_shingles", "s1", "s2"])
 
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(T.tidy(run), "doc_id long, n_shingles long, s1 long, s2 long")
 
