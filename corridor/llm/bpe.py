@@ -23,9 +23,9 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corridor.llm.texthash import small, tidy
+from corridor.llm.texthash import bounded, small, tidy
 
-REMEMBERED, LONGEST = 1 << 17, 64
+REMEMBERED, LONGEST = 1 << 18, 64
 MARKS = 1 << 21
 
 
@@ -217,4 +217,4 @@ def encode_documents(docs: DataFrame, path: str | None = None, pattern: str | No
             yield pa.RecordBatch.from_arrays(columns, names)
 
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), schema)
+    return bounded(docs).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), schema)

@@ -160,7 +160,8 @@ def shared_counts(docs: DataFrame, sim: Similarity, total: int) -> DataFrame:
         shared = np.minimum.reduceat(own, at) != np.maximum.reduceat(own, at)
         if len(mark):
             shared |= mark[np.minimum(np.searchsorted(mark, key[at]), len(mark) - 1)] == key[at]
-        yield dealt(*np.unique(own[shared[run]], return_counts=True))
+        if shared.any():
+            yield dealt(*np.unique(own[shared[run]], return_counts=True))
 
     def dealt(sets: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
         """Partial counts, packed by where their sets are summed."""
@@ -311,6 +312,7 @@ def jaccard_components(docs: DataFrame, sim: Similarity = Similarity()) -> DataF
     shingles and are linked with nothing.  Rows that repeat a doc_id stay, each with the values of its own text; links
     of either count for the id.  A null doc_id gets a null component.  An empty table gives an empty one.
     """
+    docs = T.bounded(docs)
     own = cut(profile(docs, sim))
     classes = own.where("n_shingles > 0 and doc_id is not null").groupBy("n_shingles", "s1", "s2").agg(F.min("doc_id").alias("rep"))
     classes = cut(classes)

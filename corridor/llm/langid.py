@@ -16,7 +16,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from corridor.llm.texthash import small, tidy
+from corridor.llm.texthash import bounded, small, tidy
 
 SAMPLE_ROWS = 300  # labelled rows of each language, at most, that dictionaries are cut from
 SAMPLE_CHARS = 2000  # characters of each
@@ -103,7 +103,7 @@ def predict(docs: DataFrame, dictionaries: dict[str, bytes], least_margin: float
     best guess.  Only the text decides.  Without any learned language everything is ``und``.
     """
 
-    plain_rows = docs.drop("lang_pred", "score", "rejected").withColumn("text", F.col("text").cast("string"))
+    plain_rows = bounded(docs).drop("lang_pred", "score", "rejected").withColumn("text", F.col("text").cast("string"))
     at = plain_rows.columns.index("text")
 
     def run(batches):

@@ -178,6 +178,7 @@ def remove_repeats(docs: DataFrame, window: int = 13, cutter: Callable | None =
     theirs; rows that share a doc_id don't count as earlier than each other.
     cutter(words, keep mask) returns the values of ``columns`` for one text.
     """
+    docs = T.bounded(docs)
     found, parts = repeated_windows(docs, window)
     cutter = cutter or kept_text
     names = [c.split()[0] for c in columns.split(", ")]

@@ -11,6 +11,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+from pyspark.sql import DataFrame
 
 PIECE = 1 << 18
 BASE = np.uint64(0x9E3779B97F4A7C15)
@@ -161,6 +162,18 @@ def slices(texts: pa.Array, limit: int = 1 << 20):
         at = end
 
 
+BATCH_ROWS = 1000
+
+
+def bounded(df: DataFrame) -> DataFrame:
+    """``df``, with Arrow batches of its session bounded to BATCH_ROWS rows: documents are long, and a default batch of them isn't small."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    conf = df.sparkSession.conf
+    if not 0 < int(conf.get(name)) <= BATCH_ROWS:
+        conf.set(name, str(BATCH_ROWS))
+    return df
+
+
 def small(batches, rows: int = 1024):
     """The same rows in batches of at most ``rows``, so that what is made of one stays small."""
     for batch in batches:
