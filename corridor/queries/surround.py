@@ -224,6 +224,31 @@ def data_source(spark: SparkSession, sf_dir: str) -> DataFrame:
 add("op_data_source_f2", data_source, lambda: expanded_sql("f2", opt("f2", block=64), "SELECT k, t, round(x, 6) AS x FROM x WHERE t >= 100 AND t < 140 AND k = 3"))
 
 
+def sinks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Stored rows written by format "corridor", by foreachBatch over a stream, and by a partitioned Parquet sink; rows lost by each."""
+    from corridor.sources.datasource import CorridorSource, read_blocks, write_blocks
+
+    o = opt("f2", width=8, block=64)
+    stored = codec.compress(track(spark, sf_dir, "f2"), o).persist()
+    root, rows = tempfile.mkdtemp(), []
+    try:
+        spark.dataSource.register(CorridorSource)
+        stored.repartition("block").write.format("corridor").option("path", f"{root}/own").mode("append").save()
+        write_blocks(stored, f"{root}/plain", o)
+        stored.write.parquet(f"{root}/feed")
+        q = spark.readStream.schema(stored.schema).parquet(f"{root}/feed").writeStream.foreachBatch(lambda df, i: df.write.mode("append").partitionBy("bucket").parquet(f"{root}/each")).option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start()
+        q.awaitTermination()
+        for name, back in (("own", read_blocks(spark, f"{root}/own")), ("plain", read_blocks(spark, f"{root}/plain")), ("each", spark.read.parquet(f"{root}/each").select(*stored.columns))):
+            rows.append((name, back.count(), stored.exceptAll(back).count()))
+    finally:
+        stored.unpersist()
+        shutil.rmtree(root, ignore_errors=True)
+    return spark.createDataFrame([(n, lost) for n, _, lost in rows], "sink string, lost long")
+
+
+add("op_sinks_f2", sinks, "SELECT unnest(['own', 'plain', 'each']) AS sink, 0::BIGINT AS lost")
+
+
 # OP42 - OP46: streams; each equals its batch form
 def streamed(spark: SparkSession, sf_dir: str, build, mode: str = "append") -> DataFrame:
     """``build`` over the events as a stream of files, run to the end, into a table in memory and then rows."""

@@ -1,19 +1,23 @@
 """Stored blocks as a Spark data source: ``spark.read.format("corridor")`` decodes, with filters on t and k pushed to blocks.
 
-A store is a folder of Parquet rows as ``compress`` makes them, and its options.  Files are opened on executors by pyarrow's
-filesystems; the folder must be one that pyarrow can reach.
+A store is a folder of Parquet rows as ``compress`` makes them, and its options.  Files are opened on executors by pyarrow; the folder must
+be a path that all machines share.  ``write_blocks`` and ``read_blocks`` do the same by Spark's own files, for any store Spark knows.
 """
 
 from __future__ import annotations
 
 import json
+import uuid
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.dataset as ds
+import pyarrow.fs as fs
+import pyarrow.parquet as pq
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, GreaterThan, GreaterThanOrEqual, InputPartition, LessThan, LessThanOrEqual
+from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceWriter, EqualTo, GreaterThan, GreaterThanOrEqual, InputPartition, LessThan, LessThanOrEqual, WriterCommitMessage
 
 from corridor.options import Options
 from corridor.plans.codec import STORED, read_block
@@ -44,6 +48,47 @@ class CorridorSource(DataSource):
     def reader(self, schema) -> CorridorReader:
         return CorridorReader(self.options)
 
+    def writer(self, schema, overwrite: bool) -> CorridorWriter:
+        return CorridorWriter(self.options["path"])
+
+
+@dataclass
+class Written(WriterCommitMessage):
+    """A task's file, not yet under its final name."""
+
+    file: str | None
+
+
+class CorridorWriter(DataSourceWriter):
+    """Appends stored rows to a store, a file for each task; files get their names when all tasks are done."""
+
+    def __init__(self, path: str) -> None:
+        self.path = path
+
+    def write(self, iterator) -> Written:
+        rows = [r.asDict() for r in iterator]
+        if not rows:
+            return Written(None)
+        folder = f"{self.path}/block_range={rows[0]['block'] // BLOCKS_IN_RANGE}"
+        files = fs.LocalFileSystem()
+        files.create_dir(folder, recursive=True)
+        name = f"{folder}/_{uuid.uuid4().hex}.parquet"
+        types = [("block", pa.int64()), ("bucket", pa.int32()), ("seq", pa.int32()), ("n", pa.int32()), ("payload", pa.binary()), ("header", pa.binary())]
+        with files.open_output_stream(name) as out:
+            pq.write_table(pa.table([pa.array([r[c] for r in rows], t) for c, t in types], names=[c for c, _ in types]), out)
+        return Written(name)
+
+    def commit(self, messages) -> None:
+        for m in messages:
+            if m is not None and m.file:
+                folder, _, name = m.file.rpartition("/")
+                fs.LocalFileSystem().move(m.file, f"{folder}/{name[1:]}")
+
+    def abort(self, messages) -> None:
+        for m in messages:
+            if m is not None and m.file:
+                fs.LocalFileSystem().delete_file(m.file)
+
 
 class CorridorReader(DataSourceReader):
     def __init__(self, options: dict) -> None:
