@@ -40,9 +40,9 @@ def is_empty(c: Column) -> Column:
 
 
 def zigzag(i: Column, kind: str = "dense") -> Column:
-    """Signed to unsigned: ``dense`` uses every code, ``paper`` leaves code 1 out."""
+    """Signed to unsigned: ``dense`` uses every code, ``sparse`` leaves code 1 out."""
     i = i.cast("long")
-    return F.when(i >= 0, 2 * i).otherwise(-2 * i + (1 if kind == "paper" else -1))
+    return F.when(i >= 0, 2 * i).otherwise(-2 * i + (1 if kind == "sparse" else -1))
 
 
 def unzigzag(u: Column, kind: str = "dense") -> Column:

@@ -118,7 +118,7 @@ def unpack_fixed(raw: bytes, n: int, width: int) -> np.ndarray:
 
 def zigzag(i: np.ndarray, kind: str = "dense") -> np.ndarray:
     i = np.asarray(i, np.int64)
-    return np.where(i >= 0, 2 * i, -2 * i + (1 if kind == "paper" else -1)).astype(np.uint64)
+    return np.where(i >= 0, 2 * i, -2 * i + (1 if kind == "sparse" else -1)).astype(np.uint64)
 
 
 def unzigzag(u: np.ndarray, kind: str = "dense") -> np.ndarray:

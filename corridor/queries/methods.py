@@ -78,9 +78,9 @@ add("m3_cones_f2", on("f2", cones), f"""WITH {cte('f2')}, d AS (SELECT k, t, lea
 c AS (SELECT k, t, greatest((d1 - 0.05::DOUBLE) / 1.0::DOUBLE, (d2 - 0.05::DOUBLE) / 2.0::DOUBLE) AS lo, least((d1 + 0.05::DOUBLE) / 1.0::DOUBLE, (d2 + 0.05::DOUBLE) / 2.0::DOUBLE) AS hi FROM d WHERE d2 IS NOT NULL)
 SELECT k, t, round(lo, 8) AS lo, round(hi, 8) AS hi, lo > hi AS "none" FROM c""")
 
-for kind in ("dense", "paper"):
+for kind in ("dense", "sparse"):
     add(f"m11_zigzag_{kind}", lambda spark, d, kind=kind: spark.range(-5000, 5001).select(F.col("id").alias("i"), quant.zigzag(F.col("id"), kind).alias("u"), quant.unzigzag(quant.zigzag(F.col("id"), kind), kind).alias("back")),
-        f"SELECT i, CASE WHEN i >= 0 THEN 2 * i ELSE -2 * i {'+ 1' if kind == 'paper' else '- 1'} END AS u, i AS back FROM (SELECT unnest(range(-5000, 5001)) AS i)")
+        f"SELECT i, CASE WHEN i >= 0 THEN 2 * i ELSE -2 * i {'+ 1' if kind == 'sparse' else '- 1'} END AS u, i AS back FROM (SELECT unnest(range(-5000, 5001)) AS i)")
 
 # M4: segmentation on every track, then every variant on the smooth one
 for name in TRACKS:

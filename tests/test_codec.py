@@ -15,7 +15,7 @@ def rows(df):
     return sorted(map(tuple, df.collect()))
 
 
-@pytest.mark.parametrize("change", [{}, {"layout": "interleaved", "zigzag": "paper"}, {"layout": "forward"}], ids=str)
+@pytest.mark.parametrize("change", [{}, {"layout": "interleaved", "zigzag": "sparse"}, {"layout": "forward"}], ids=str)
 def test_round_trip(spark, sf, change):
     t = T.embed_walk(spark, sf, 8)
     o = Options(eps=1.0, block=64, chunk=50, width=4, **change)

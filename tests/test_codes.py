@@ -27,7 +27,7 @@ def test_shared_width_code(u):
 
 def test_sign_maps_are_injective():
     i = np.arange(-5000, 5001)
-    for kind in ("dense", "paper"):
+    for kind in ("dense", "sparse"):
         u = vwidth.zigzag(i, kind)
         assert len(set(u.tolist())) == len(i) and (vwidth.unzigzag(u, kind) == i).all()
 
