@@ -120,7 +120,7 @@ def int_sizes() -> str:
     """Sizes of whole numbers under each code, and the best Rice parameter."""
     u = "CAST(x AS BIGINT)"
     codes = " UNION ALL ".join(f"SELECT '{c}' AS code, CAST(sum({code_bits(c, 'u')}) AS BIGINT) AS bits FROM v" for c in ("varint", "unary", "gamma", "delta"))
-    rice = "SELECT concat('rice', CAST(r AS STRING)) AS code, bits FROM rice" if False else "SELECT 'rice' AS code, min(bits) AS bits FROM rice"
+    rice = "SELECT 'rice' AS code, min(bits) AS bits FROM rice"
     shifts = " UNION ALL ".join(f"SELECT {r} AS r, CAST(sum(CAST(floor(u / {1 << r}.0) AS BIGINT) + 1 + {r}) AS BIGINT) AS bits FROM v" for r in range(21))
     return f"""WITH v AS (SELECT {u} AS u FROM {{track}}), rice AS ({shifts})
 SELECT code, bits FROM ({codes} UNION ALL SELECT 'fixed' AS code, CAST(count(*) * {bitlen('max(u)')} + 6 AS BIGINT) AS bits FROM v UNION ALL {rice}) a"""

@@ -195,7 +195,6 @@ def queue_order(pieces: DataFrame, o: Options, dense: bool = False) -> DataFrame
         first: dict[int, int] = {}
         for a, b in zip(k.tolist(), t0.tolist(), strict=True):
             first[a] = min(b, first.get(a, b))
-        ends = dict.fromkeys(first)
         final = {a: 0 for a in first}
         for a, b in zip(k.tolist(), (t0 + dt).tolist(), strict=True):
             final[a] = max(final[a], b)
@@ -216,7 +215,6 @@ def queue_order(pieces: DataFrame, o: Options, dense: bool = False) -> DataFrame
                 d = waiting.pop((t, a))
                 if t + d < final[a]:
                     heapq.heappush(expected, (t + d, a))
-        del ends
         return pa.table({"block": pa.array([table.column("block")[0].as_py()] * len(out), pa.int64()), "k": pa.array([a for a, _ in out], pa.int64()), "t0": pa.array([t for _, t in out], pa.int64()), "place": pa.array(range(len(out)), pa.int64())})
 
     rows = pieces.withColumn("bucket", F.floor(F.col("k") / o.width).cast("int"))

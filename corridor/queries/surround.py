@@ -267,9 +267,8 @@ def streamed(spark: SparkSession, sf_dir: str, build, mode: str = "append") -> D
         shutil.rmtree(root, ignore_errors=True)
 
 
-DAY = "count(*) AS n"
 add("op_stream_tumbling", lambda spark, d: streamed(spark, d, lambda s: s.groupBy(F.window("ts", "1 hour")).count().select(F.col("window.start").cast("timestamp_ntz").alias("h"), "count"), "complete"), "SELECT date_trunc('hour', ts) AS h, count(*) AS \"count\" FROM events GROUP BY 1")
-add("op_stream_sliding", lambda spark, d: streamed(spark, d, lambda s: s.groupBy(F.window("ts", "2 hours", "1 hour")).count().agg(F.sum("count").alias("n")) if False else s.groupBy(F.window("ts", "2 hours", "1 hour")).count().select(F.col("window.start").cast("timestamp_ntz").alias("h"), "count"), "complete"),
+add("op_stream_sliding", lambda spark, d: streamed(spark, d, lambda s: s.groupBy(F.window("ts", "2 hours", "1 hour")).count().select(F.col("window.start").cast("timestamp_ntz").alias("h"), "count"), "complete"),
     "SELECT h, count(*) AS \"count\" FROM (SELECT unnest([date_trunc('hour', ts), date_trunc('hour', ts) - INTERVAL 1 HOUR]) AS h FROM events) GROUP BY 1")
 add("op_stream_session", lambda spark, d: streamed(spark, d, lambda s: s.groupBy("user_id", F.session_window("ts", "3 hours")).count().select("user_id", F.col("session_window.start").cast("timestamp_ntz").alias("start"), "count"), "complete"),
     "SELECT user_id, min(ts) AS start, count(*) AS \"count\" FROM (SELECT *, sum(n) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS g FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 3 HOUR THEN 0 ELSE 1 END AS n FROM events)) GROUP BY user_id, g")
