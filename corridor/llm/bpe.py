@@ -6,7 +6,7 @@ steps give the lowest rank.  The leftmost position of that bucket merges; its ne
 was queued for pairs that are gone is recognised by the position's present rank and skipped.  Each position
 enters a bucket a constant number of times per merge, so a pre-token of n bytes takes O(n log n) however long it is.
 
-Most pre-tokens of a corpus repeat, so each Python worker keeps the ids of those it has met lately, up to a fixed number.
+Most pre-tokens of a corpus repeat, so a task keeps the ids of those it has met lately, up to a fixed number.
 """
 
 from __future__ import annotations
@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 
 from corridor.llm.texthash import bounded, small, tidy
 
-REMEMBERED, LONGEST = 1 << 18, 64
+REMEMBERED, LONGEST = 1 << 17, 64
 MARKS = 1 << 21
 
 
@@ -199,6 +199,7 @@ def encode_documents(docs: DataFrame, path: str | None = None, pattern: str | No
 
     def run(batches):
         c = codec(path, pattern)
+        c.memory = _Memory(c.ranks)  # a task's own; it goes with the task
         for batch in small(batches):
             n, digest, back, ids = [], [], [], []
             for text in batch.column(1):
@@ -215,6 +216,7 @@ def encode_documents(docs: DataFrame, path: str | None = None, pattern: str | No
                 columns.append(pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.frombuffer(b"".join(ids), "<i4"))))
                 names.append("ids")
             yield pa.RecordBatch.from_arrays(columns, names)
+        c.memory = _Memory(c.ranks)
 
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
     return bounded(docs).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), schema)
