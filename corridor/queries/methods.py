@@ -18,8 +18,8 @@ from corridor.sources import tracks as T
 # track name: (builder, oracle's CTE, options that suit it)
 F2 = Options(eps=1.0, block=256)
 TRACKS = {
-    "f1": ("embed_raw", 16, Options(eps=0.1, block=256)),
-    "f2": ("embed_walk", 16, F2),
+    "f1": ("embed_raw", 64, Options(eps=0.1, block=256)),
+    "f2": ("embed_walk", 64, F2),
     "f3": ("event_walk", 0, Options(eps=10.0, block=64)),
     "f4": ("event_hourly", 0, Options(eps=10.0, block=256)),
     "f5": ("supplier_daily", 0, Options(eps=50.0, block=256)),
@@ -176,8 +176,8 @@ for agg in ("min", "max", "avg"):
 # M19, M21
 def by_buckets(t: DataFrame) -> DataFrame:
     out = None
-    for width in (16, 8, 4, 2, 1):
-        row = codec.packed_bits(codec.compress(t, opt("f2", width=width))).select(F.lit(16 // width).alias("buckets"), "packed_bits")
+    for width in (64, 32, 16, 8, 4, 2, 1):
+        row = codec.packed_bits(codec.compress(t, opt("f2", width=width))).select(F.lit(64 // width).alias("buckets"), "packed_bits")
         out = row if out is None else out.union(row)
     return out
 
@@ -199,7 +199,7 @@ add("b3_general_f2", on("f2", lambda t: codecs.general(t, F2)))
 add("b6a_native_full_f2", on("f2", lambda t: codecs.native_full(t, F2)))
 for order in (0, 1):
     add(f"b7_range_coder_{order}_f2", on("f2", lambda t, order=order: codecs.predictive_coder(t, F2, order)))
-add("b11_components_f2", on("f2", lambda t: codecs.pca(t, [1, 2, 4, 8, 16])))
+add("b11_components_f2", on("f2", lambda t: codecs.pca(t, [1, 2, 4, 8, 16, 32, 64])))
 add("b12_poly_window_f2", on("f2", lambda t: codecs.poly_window(t, F2)))
 add("b13_simplify_f2", on("f2", lambda t: codecs.simplify(t, F2)))
 REFEREE = opt("f2", block=64)
