@@ -28,7 +28,8 @@ def _blocks(track: DataFrame, o: Options, schema: str, make) -> DataFrame:
         columns = list(zip(*rows, strict=True)) or [[] for _ in fields]
         return pa.table([pa.array([block] * len(rows), pa.int64()), pa.array([bucket] * len(rows), pa.int32()), *(pa.array(c, types[t]) for c, (_, t) in zip(columns, fields, strict=True))], names=["block", "bucket", *(n for n, _ in fields)])
 
-    return cut_blocks(track, o).groupBy("block", "bucket").applyInArrow(run, f"block long, bucket int, {schema}")
+    tasks = 2 * track.sparkSession.sparkContext.defaultParallelism  # few bytes, much work: never merged into one task
+    return cut_blocks(track, o).repartition(tasks, "block", "bucket").groupBy("block", "bucket").applyInArrow(run, f"block long, bucket int, {schema}")
 
 
 def general(track: DataFrame, o: Options) -> DataFrame:
@@ -396,8 +397,21 @@ def optimal_pieces(track: DataFrame, o: Options, family: str = "free_line") -> D
     """Fewest disjoint pieces of a family within the line tolerance, by dynamic programming over the last piece; (k, pieces)."""
     g = o.slack + 1e-12
 
-    def fits(t, v):
-        return strip(t, v) <= g if family == "free_line" else float(v.max() - v.min()) / 2 <= g
+    def starts(v, b):
+        """First samples, from the last one down, of the pieces of the family that end before b; feasibility is inherited by shorter pieces."""
+        lo, hi, least, most = -np.inf, np.inf, np.inf, -np.inf
+        for a in range(b - 1, -1, -1):
+            if family == "free_line":  # a slope serves all samples if it serves each two of them
+                if a < b - 1:
+                    rise, run = v[a + 1 : b] - v[a], np.arange(1, b - a)
+                    lo, hi = max(lo, ((rise - 2 * g) / run).max()), min(hi, ((rise + 2 * g) / run).min())
+                if lo > hi:
+                    return
+            else:
+                least, most = min(least, v[a]), max(most, v[a])
+                if (most - least) / 2 > g:
+                    return
+            yield a
 
     def make(ids, t0, length, y):
         out = []
@@ -406,9 +420,7 @@ def optimal_pieces(track: DataFrame, o: Options, family: str = "free_line") -> D
             n = len(v)
             best = [0] + [n] * n
             for b in range(1, n + 1):
-                for a in range(b - 1, -1, -1):  # feasibility is inherited by shorter pieces
-                    if not fits(np.arange(a, b), v[a:b]):
-                        break
+                for a in starts(v, b):
                     best[b] = min(best[b], best[a] + 1)
             out.append((int(i), best[n]))
         return out

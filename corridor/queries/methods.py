@@ -149,22 +149,22 @@ add("m15_at_subset_f2", on("f2", lambda t: segquery.at(segment(t, F2), 300, F2,
 add("m15_between_f2", on("f2", lambda t: segquery.between(segment(t, F2), 250, 270, F2).withColumn("x", F.round("x", 6))), lambda: expanded_sql("f2", F2, "SELECT k, t, round(x, 6) AS x FROM x WHERE t BETWEEN 250 AND 270"))
 add("m16_velocity_f2", on("f2", lambda t: segquery.velocity(segment(t, F2), F2).select("k", "t0", "dt", F.round("v", 6).alias("v"))), lambda: scan_sql(cte("f2"), F2, f"SELECT k, t0, dt, round({F2.grid!r} * dq / dt, 6) AS v FROM pieces"))
 
-# Queries on pieces; all pairs of the first eight particles, in two dimensions
+# Queries on pieces; all pairs of particles, in two dimensions
 D2 = opt("f2", block=64)
 
 
-def some_pairs(t: DataFrame, n: int = 8) -> DataFrame:
-    ids = t.sparkSession.range(n)
-    return ids.select(F.col("id").alias("a")).join(ids.select(F.col("id").alias("b")), F.col("a") < F.col("b"))
+def all_pairs(t: DataFrame, d: int = 2) -> DataFrame:
+    ids = t.select(F.floor(F.col("k") / d).alias("a")).distinct()
+    return ids.join(ids.select(F.col("a").alias("b")), F.col("a") < F.col("b"))
 
 
 def distances_sql(select: str) -> str:
-    return expanded_sql("f2", D2, select.replace("{pairs}", "(SELECT a.k // 2 AS a, b.k // 2 AS b, a.t, sum((a.x - b.x) * (a.x - b.x)) AS d2 FROM x a JOIN x b ON a.t = b.t AND a.k % 2 = b.k % 2 AND a.k // 2 < b.k // 2 WHERE a.k < 16 AND b.k < 16 GROUP BY 1, 2, 3)"))
+    return expanded_sql("f2", D2, select.replace("{pairs}", "(SELECT a.k // 2 AS a, b.k // 2 AS b, a.t, sum((a.x - b.x) * (a.x - b.x)) AS d2 FROM x a JOIN x b ON a.t = b.t AND a.k % 2 = b.k % 2 AND a.k // 2 < b.k // 2 GROUP BY 1, 2, 3)"))
 
 
-add("m17_min_distance_f2", on("f2", lambda t: segquery.min_distance(segment(t, D2), some_pairs(t), 2, D2).select("a", "b", "sampled")), lambda: distances_sql("SELECT a, b, round(sqrt(min(d2)), 6) AS sampled FROM {pairs} GROUP BY a, b"))
-add("m17_min_distance_bounds_f2", on("f2", lambda t: segquery.min_distance(segment(t, D2), some_pairs(t), 2, D2)))
-add("m17_encounters_f2", on("f2", lambda t: segquery.encounters(segment(t, D2), some_pairs(t), 2, 0.5, D2)))
+add("m17_min_distance_f2", on("f2", lambda t: segquery.min_distance(segment(t, D2), all_pairs(t), 2, D2).select("a", "b", "sampled")), lambda: distances_sql("SELECT a, b, round(sqrt(min(d2)), 6) AS sampled FROM {pairs} GROUP BY a, b"))
+add("m17_min_distance_bounds_f2", on("f2", lambda t: segquery.min_distance(segment(t, D2), all_pairs(t), 2, D2)))
+add("m17_encounters_f2", on("f2", lambda t: segquery.encounters(segment(t, D2), all_pairs(t), 2, 0.5, D2)))
 add("m18_aggregates_f2", on("f2", lambda t: segquery.seg_agg(segment(t, F2), F2, 0.2537)), lambda: expanded_sql("f2", F2, f"""
 SELECT k, n, round(total, 4) AS total, round(low, 6) AS low, round(high, 6) AS high, above, round(integral, 4) AS integral, round({F2.grid!r}::DOUBLE * disp, 6) AS displacement, round({F2.grid!r}::DOUBLE * path, 6) AS path FROM
 (SELECT k, count(*) AS n, sum(x) AS total, min(x) AS low, max(x) AS high, count(CASE WHEN x > 0.2537 THEN 1 END) AS above FROM x WHERE t % {F2.block} > 0 GROUP BY k)
@@ -202,10 +202,10 @@ for order in (0, 1):
 add("b11_components_f2", on("f2", lambda t: codecs.pca(t, [1, 2, 4, 8, 16, 32, 64])))
 add("b12_poly_window_f2", on("f2", lambda t: codecs.poly_window(t, F2)))
 add("b13_simplify_f2", on("f2", lambda t: codecs.simplify(t, F2)))
-REFEREE = opt("f2", block=64)
+REFEREE = opt("f2", block=64, width=8)
 for family in ("free_line", "constant"):
-    add(f"b14_optimal_pieces_{family}_f2", on("f2", lambda t, family=family: codecs.optimal_pieces(t.where("k < 4"), REFEREE, family)))
-add("b14_optimal_cover_f2", on("f2", lambda t: codecs.optimal_cover(t.where("k < 2"), opt("f2", block=32), 3)))
+    add(f"b14_optimal_pieces_{family}_f2", on("f2", lambda t, family=family: codecs.optimal_pieces(t, REFEREE, family)))
+add("b14_optimal_cover_f2", on("f2", lambda t: codecs.optimal_cover(t, opt("f2", block=32, width=8), 3)))
 
 # measures
 COUNT = F.count("*").alias("n")

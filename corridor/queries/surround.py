@@ -101,8 +101,8 @@ add("op_explode", lambda spark, d: table(spark, d, "embeddings").select("vec_id"
 
 # OP19 - OP26: aggregates
 sql("op_aggregate", "SELECT l_suppkey, count(*) AS n, CAST(sum(CAST(floor(l_extendedprice * 100 + 0.5) AS BIGINT)) AS BIGINT) AS cents, min(l_quantity) AS low, max(l_quantity) AS high FROM {lineitem} GROUP BY l_suppkey")
-sql("op_aggregate_list", "SELECT user_id, array_join(transform(array_sort(collect_list(event_id)), x -> CAST(x AS STRING)), ',') AS ids FROM {events} WHERE event_id < 2000 GROUP BY user_id",
-    "SELECT user_id, array_to_string(list(event_id ORDER BY event_id), ',') AS ids FROM events WHERE event_id < 2000 GROUP BY user_id")
+sql("op_aggregate_list", "SELECT user_id, array_join(transform(array_sort(collect_list(event_id)), x -> CAST(x AS STRING)), ',') AS ids FROM {events} GROUP BY user_id",
+    "SELECT user_id, array_to_string(list(event_id ORDER BY event_id), ',') AS ids FROM events GROUP BY user_id")
 sql("op_distinct", "SELECT DISTINCT user_id, event_type FROM {events}")
 sql("op_count_distinct", "SELECT CAST(ts AS DATE) AS day, count(DISTINCT user_id) AS users FROM {events} GROUP BY CAST(ts AS DATE)")
 
@@ -182,7 +182,7 @@ for policy in ("drop", "split"):
 
 # OP2 - OP4: formats, data source, sinks
 def round_trips(spark: SparkSession, sf_dir: str) -> DataFrame:
-    e = table(spark, sf_dir, "events").where("event_id < 500").select("event_id", "user_id", "event_type", "value")
+    e = table(spark, sf_dir, "events").select("event_id", "user_id", "event_type", "value")
     root, rows = tempfile.mkdtemp(), []
     try:
         for f in ("csv", "json", "orc", "parquet"):
@@ -197,7 +197,7 @@ def round_trips(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "format string, n long, lost long")
 
 
-add("op_formats", round_trips, "SELECT unnest(['csv', 'json', 'orc', 'parquet', 'text']) AS format, 500::BIGINT AS n, 0::BIGINT AS lost")
+add("op_formats", round_trips, "SELECT unnest(['csv', 'json', 'orc', 'parquet', 'text']) AS format, (SELECT count(*) FROM events) AS n, 0::BIGINT AS lost")
 
 
 def data_source(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -314,11 +314,11 @@ add("op_aggregate_udf", lambda spark, d: table(spark, d, "events").groupBy("user
 
 def table_function(spark: SparkSession, sf_dir: str) -> DataFrame:
     sqlfuncs.register(spark)
-    p = segment(track(spark, sf_dir, "f2"), F2).where("k < 2")
+    p = segment(track(spark, sf_dir, "f2"), F2)
     return spark.sql("SELECT p.k, e.t, round(e.q, 6) AS x FROM {p} p, LATERAL corridor_expand(p.t0, p.dt, p.p0, p.dq) e", p=p)
 
 
-add("op_table_function_f2", table_function, lambda: expanded_sql("f2", F2, f"SELECT k, t, round(x, 6) AS x FROM x WHERE k < 2 AND t % {F2.block} > 0"))
+add("op_table_function_f2", table_function, lambda: expanded_sql("f2", F2, f"SELECT k, t, round(x, 6) AS x FROM x WHERE t % {F2.block} > 0"))
 
 
 def cogrouped(t: DataFrame) -> DataFrame:

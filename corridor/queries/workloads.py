@@ -15,7 +15,7 @@ from corridor.operators import measures, segquery
 from corridor.operators.segment import key_frames, scan_sql, segment
 from corridor.options import Options
 from corridor.plans import codec
-from corridor.queries.methods import F2, cte, on, opt, some_pairs, track
+from corridor.queries.methods import F2, all_pairs, cte, on, opt, track
 from corridor.queries.registry import add
 from corridor.sources import simulate
 from corridor.sources.tracks import event_walk, strided
@@ -159,20 +159,20 @@ add("w9_simulation", lambda spark, d: simulate.sim_wells(spark, 8, 50, 300, (1,
 add("w9_simulation_ratio", lambda spark, d: measures.metric(simulate.sim_wells(spark, 16, 50, 1000, dt=1e-2), Options(eps=0.01, block=1000), dims=3))
 
 
-def distances_both_ways(t: DataFrame) -> DataFrame:
+def distances_both_ways(t: DataFrame, o: Options) -> DataFrame:
     """Least distances from pieces and from expanded frames; their difference is rounding."""
     from corridor.operators.segment import expand
 
-    o = opt("f2", block=64)
-    p = segment(t, o)
-    quick = segquery.min_distance(p, some_pairs(t), 2, o).select("a", "b", "sampled")
-    x = expand(p, None, o).where("k < 16").select(F.floor(F.col("k") / 2).alias("particle"), (F.col("k") % 2).alias("axis"), "t", "x")
+    p = segment(t, o).persist()
+    quick = segquery.min_distance(p, all_pairs(t), 2, o).select("a", "b", "sampled")
+    x = expand(p, None, o).select(F.floor(F.col("k") / 2).alias("particle"), (F.col("k") % 2).alias("axis"), "t", "x")
     l, r = x.toDF("a", "axis", "t", "xa"), x.toDF("b", "axis", "t", "xb")  # noqa: E741
     slow = l.join(r, ["axis", "t"]).where("a < b").groupBy("a", "b", "t").agg(F.sum((F.col("xa") - F.col("xb")) * (F.col("xa") - F.col("xb"))).alias("d2")).groupBy("a", "b").agg(F.sqrt(F.min("d2")).alias("frames"))
     return quick.join(slow, ["a", "b"]).agg(F.count("*").alias("pairs"), F.round(F.max(F.abs(F.col("sampled") - F.col("frames"))), 5).alias("difference"))
 
 
-add("w10_distances_f2", on("f2", distances_both_ways), "SELECT 28::BIGINT AS pairs, 0.0::DOUBLE AS difference")
+for name in ("f2", "f3"):
+    add(f"w10_distances_{name}", on(name, lambda t, o=opt(name, block=64): distances_both_ways(t, o)), f"WITH {cte(name)} SELECT n * (n - 1) // 2 AS pairs, 0.0::DOUBLE AS difference FROM (SELECT count(DISTINCT k // 2) AS n FROM track)")
 
 
 def parallel(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -221,7 +221,7 @@ def stream_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
     before = spark.conf.get(provider)
     try:
         spark.conf.set(provider, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
-        t = event_walk(spark, sf_dir).where("k < 40")
+        t = event_walk(spark, sf_dir)
         half = t.agg(F.max("t")).first()[0] // 2
         t.where(F.col("t") <= half).coalesce(1).write.parquet(f"{root}/in/a")
         t.where(F.col("t") > half).coalesce(1).write.parquet(f"{root}/in/b")

@@ -17,3 +17,38 @@ def test_embedding_tracks_have_every_element(spark, sf):
     assert run(spark, sf, "m15_at_f2").count() == 64
     assert run(spark, sf, "b1_raw_f2").first()["n"] == 64 * 500
     assert sorted(r.buckets for r in run(spark, sf, "m19_buckets_f2").collect()) == [1, 2, 4, 8, 16, 32, 64]
+
+
+def test_queries_take_every_particle_series_and_event(spark, sf):
+    for name in ("m17_min_distance_f2", "m17_min_distance_bounds_f2"):
+        assert run(spark, sf, name).count() == 32 * 31 // 2
+    assert run(spark, sf, "m17_encounters_f2").where("b = 31").count() > 0
+    assert run(spark, sf, "w10_distances_f2").first().asDict() == {"pairs": 32 * 31 // 2, "difference": 0.0}
+    for name in ("b14_optimal_pieces_free_line_f2", "b14_optimal_pieces_constant_f2", "b14_optimal_cover_f2", "op_table_function_f2"):
+        assert run(spark, sf, name).agg(F.countDistinct("k")).first()[0] == 64
+    more = sf.replace("sf0.001", "sf0.01")
+    events = spark.read.parquet(f"{more}/events.parquet").count()
+    assert run(spark, more, "op_aggregate_list").agg(F.sum(F.size(F.split("ids", ",")))).first()[0] == events
+    assert {r.n for r in run(spark, more, "op_formats").collect()} == {events}
+    stream = run(spark, more, "stream_encoder_f3").first()
+    assert stream["different"] == 0 and stream["pieces"] == run(spark, more, "m4_segment_f3").count()
+
+
+def test_optimal_pieces_against_strips(spark):
+    """The slope test allows the same pieces as the least strip around the samples."""
+    import numpy as np
+
+    from corridor.baselines.codecs import optimal_pieces, strip
+    from corridor.options import Options
+
+    rng = np.random.default_rng(5)
+    x = rng.normal(size=(6, 40)).cumsum(axis=1)
+    o = Options(eps=2.0, block=64)
+    got = optimal_pieces(spark.createDataFrame([(k, t, float(x[k, t])) for k in range(6) for t in range(40)], "k long, t long, x double"), o)
+    want = {}
+    for k in range(6):
+        y, best = x[k] / o.grid, [0]
+        for b in range(1, 41):
+            best.append(min(best[a] + 1 for a in range(b) if strip(np.arange(a, b), y[a:b]) <= o.slack + 1e-12))
+        want[k] = best[-1]
+    assert {r.k: r.pieces for r in got.collect()} == want
