@@ -136,8 +136,10 @@ for name in ("f4", "f6"):
 
 def linear_fill(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A grid between known samples, filled along lines: carry the last and the next known value to each step."""
-    t = track(spark, sf_dir, "f2").where("t % 5 = 0 OR t = 499")
-    grid = t.select("k").distinct().select("k", F.explode(F.expr("sequence(0L, 499L)")).alias("t"))
+    t = track(spark, sf_dir, "f2")
+    ends = t.groupBy("k").agg(F.min("t").alias("first"), F.max("t").alias("last"))
+    grid = ends.select("k", F.explode(F.sequence("first", "last")).alias("t"))
+    t = t.join(ends, "k").where("t % 5 = 0 OR t = first OR t = last").select("k", "t", "x")
     w = Window.partitionBy("k").orderBy("t")
     rows = grid.join(t, ["k", "t"], "left").withColumn("known", F.when(F.col("x").isNotNull(), F.struct("t", "x")))
     a = F.last("known", ignorenulls=True).over(w.rowsBetween(Window.unboundedPreceding, 0))

@@ -52,3 +52,11 @@ def test_optimal_pieces_against_strips(spark):
             best.append(min(best[a] + 1 for a in range(b) if strip(np.arange(a, b), y[a:b]) <= o.slack + 1e-12))
         want[k] = best[-1]
     assert {r.k: r.pieces for r in got.collect()} == want
+
+
+def test_linear_fill_reaches_the_last_step(spark, tmp_path):
+    spark.createDataFrame([(i, [float(i % 7)] * 64) for i in range(703)], "vec_id long, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    rows = run(spark, str(tmp_path), "op_linear_fill_f2")
+    assert rows.count() == 64 * 703
+    r = rows.agg(F.min("t").alias("a"), F.max("t").alias("z"), F.sum(F.col("x").isNull().cast("int")).alias("none")).first()
+    assert (r.a, r.z, r.none) == (0, 702, 0)
