@@ -32,15 +32,16 @@ def _blocks(track: DataFrame, o: Options, schema: str, make) -> DataFrame:
     return cut_blocks(track, o).repartition(tasks, "block", "bucket").groupBy("block", "bucket").applyInArrow(run, f"block long, bucket int, {schema}")
 
 
-def general(track: DataFrame, o: Options) -> DataFrame:
-    """Raw doubles of each block through general-purpose compressors: raw and packed bytes, and whether they came back."""
+def general(track: DataFrame, o: Options, names: tuple[str, ...] = tuple(CODECS), check: bool = True) -> DataFrame:
+    """Raw doubles of each block through general-purpose compressors: raw and packed bytes, and whether they came back (null unchecked)."""
 
     def make(ids, t0, length, y):
         raw = (y * o.grid).astype("<f8").tobytes()
         out = []
-        for name, (pack, unpack) in CODECS.items():
+        for name in names:
+            pack, unpack = CODECS[name]
             packed = pack(raw)
-            out.append((name, len(raw), len(packed), unpack(packed) == raw))
+            out.append((name, len(raw), len(packed), unpack(packed) == raw if check else None))
         return out
 
     return _blocks(track, o, "codec string, raw_bytes long, packed_bytes long, lossless boolean", make)
@@ -118,7 +119,7 @@ def grid_deltas(y: np.ndarray, length: np.ndarray) -> np.ndarray:
     return zigzag(r.ravel()[: int(length.max()) * y.shape[1]])
 
 
-def native_full(track: DataFrame, o: Options) -> DataFrame:
+def native_full(track: DataFrame, o: Options, check: bool = True) -> DataFrame:
     """Differences, byte-wise code, Burrows-Wheeler, move to front, Lempel-Ziv and Huffman."""
 
     def make(ids, t0, length, y):
@@ -126,7 +127,7 @@ def native_full(track: DataFrame, o: Options) -> DataFrame:
         last, row = bwt(raw)
         moved = front(last)
         packed = zlib.compress(moved, 9)
-        return [(8 * int(length.sum()), len(raw), len(packed) + 8, unbwt(unfront(zlib.decompress(packed)), row) == raw)]
+        return [(8 * int(length.sum()), len(raw), len(packed) + 8, unbwt(unfront(zlib.decompress(packed)), row) == raw if check else None)]
 
     return _blocks(track, o, "raw_bytes long, varint_bytes long, packed_bytes long, lossless boolean", make)
 

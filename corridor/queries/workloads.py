@@ -84,8 +84,8 @@ def producing_loop(spark: SparkSession, sf_dir: str, n: int = 16, steps: int = 6
 add("w3_producing_loop", producing_loop)
 
 
-def throughput(spark: SparkSession, sf_dir: str, strides: tuple[int, ...] = (1, 8, 64)) -> DataFrame:
-    """Input MiB/s of compressing, by stride, for ours, the native class and a general compressor; the track is cached."""
+def throughput(spark: SparkSession, sf_dir: str, strides: tuple[int, ...] = tuple(1 << j for j in range(12))) -> DataFrame:
+    """Input MiB/s of compressing, by stride, for ours, the native class and bz2, all on the same cached track."""
     t = track(spark, sf_dir, "f5").persist()
     t.count()
     rows = []
@@ -93,9 +93,8 @@ def throughput(spark: SparkSession, sf_dir: str, strides: tuple[int, ...] = (1,
         s = strided(t, n).persist()
         mib = s.count() * 8 / 2**20
         o = opt("f5", block=2048)
-        for name, job in (("corridor", codec.compress(s, o)), ("native", codecs.native_full(s.where("k < 2"), o)), ("general", codecs.general(s, o))):
-            part = mib if name != "native" else s.where("k < 2").count() * 8 / 2**20
-            rows.append((name, n, round(part / timed(job), 4)))
+        for name, job in (("corridor", codec.compress(s, o)), ("native", codecs.native_full(s, o, check=False)), ("general", codecs.general(s, o, ("bz2",), check=False))):
+            rows.append((name, n, round(mib / timed(job), 4)))
         s.unpersist()
     t.unpersist()
     return spark.createDataFrame(rows, "method string, stride int, mib_s double")

@@ -60,3 +60,25 @@ def test_linear_fill_reaches_the_last_step(spark, tmp_path):
     assert rows.count() == 64 * 703
     r = rows.agg(F.min("t").alias("a"), F.max("t").alias("z"), F.sum(F.col("x").isNull().cast("int")).alias("none")).first()
     assert (r.a, r.z, r.none) == (0, 702, 0)
+
+
+def test_throughput_gives_every_codec_the_whole_track(spark, sf, monkeypatch):
+    from corridor.baselines import codecs
+    from corridor.queries import workloads
+    from corridor.queries.methods import track
+
+    seen = []
+    for name in ("native_full", "general"):
+        monkeypatch.setattr(codecs, name, lambda t, *a, f=getattr(codecs, name), **kw: seen.append(t.count()) or f(t, *a, **kw))
+    rows = workloads.throughput(spark, sf, (1, 512)).collect()
+    t = track(spark, sf, "f5")
+    assert seen == [t.count()] * 2 + [t.where("t % 512 = 0").count()] * 2
+    assert {(r.method, r.stride) for r in rows} == {(m, n) for m in ("corridor", "native", "general") for n in (1, 512)}
+
+
+def test_throughput_strides(spark):
+    import inspect
+
+    from corridor.queries import workloads
+
+    assert inspect.signature(workloads.throughput).parameters["strides"].default == tuple(2**j for j in range(12))
