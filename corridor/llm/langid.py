@@ -41,7 +41,8 @@ def held_out(doc_id: Column) -> Column:
 def learn(docs: DataFrame) -> dict[str, bytes]:
     """Dictionaries by language, from at most SAMPLE_ROWS labelled rows of each that aren't held out.
 
-    Rows are picked by a hash of the id, spread over the whole table; the pieces differ between languages, their sizes don't.
+    Rows are picked by a hash of the id, spread over the whole table.  Each language keeps the last DICTIONARY_BYTES of its own sample, or all of a
+    smaller one; how much another language has doesn't matter.
     """
     usable = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"))
     usable = usable.where(~held_out(F.col("doc_id")) & F.col("doc_id").isNotNull() & F.col("lang").isNotNull() & (F.col("lang") != UNKNOWN))
@@ -57,8 +58,7 @@ def learn(docs: DataFrame) -> dict[str, bytes]:
         if r.text and len(own) < SAMPLE_ROWS:
             own.append(plain(r.text).encode())
     joined = {lang: b"".join(x) for lang, x in pieces.items() if x}
-    size = min([DICTIONARY_BYTES, *(max(1024, len(x)) for x in joined.values())])
-    return {lang: x[-size:] for lang, x in sorted(joined.items())}
+    return {lang: x[-DICTIONARY_BYTES:] for lang, x in sorted(joined.items())}
 
 
 class Judge:
