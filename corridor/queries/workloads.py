@@ -51,7 +51,31 @@ def ratio_grid(t: DataFrame, o: Options, eps: tuple[float, ...], strides: tuple[
     return _union(rows)
 
 
-add("w1_ratio_grid_f2", on("f2", lambda t: ratio_grid(t, F2, (1.0, 0.1, 0.01), (1, 4, 16))))
+F9 = Options(eps=0.01, block=2048)
+SMOOTH = (1.0, 0.1, 0.01, 0.001, 0.0001)
+
+
+def wells(f):
+    """A query that applies f to F9, 64 particles over 8192 steps."""
+    return lambda spark, sf_dir: f(simulate.sim_wells(spark, 64, 500, 8192).persist())
+
+
+def halvings(t: DataFrame) -> tuple[int, ...]:
+    """Strides 1, 2, 4 and so on while at least 8 frames remain."""
+    n = t.agg(F.max("t")).first()[0] + 1
+    return tuple(1 << j for j in range(n.bit_length()) if j == 0 or n >> j >= 8)
+
+
+def ratio_grid_axes(t: DataFrame, o: Options) -> DataFrame:
+    """W1 on F5: quantities and revenues each at their own tolerances."""
+    t = t.persist()
+    strides, axes = halvings(t), (("quantity", (50.0, 5.0, 0.5)), ("revenue", (1e5, 1e4, 1e3)))
+    return _union([ratio_grid(t.where(F.col("k") % 2 == i), o, eps, strides).select(F.lit(axis).alias("axis"), "*") for i, (axis, eps) in enumerate(axes)])
+
+
+add("w1_ratio_grid_f2", on("f2", lambda t: ratio_grid(t, F2, SMOOTH, halvings(t))))
+add("w1_ratio_grid_f5", on("f5", lambda t: ratio_grid_axes(t, opt("f5", block=2048))))
+add("w1_ratio_grid_f9", wells(lambda t: ratio_grid(t, F9, SMOOTH, halvings(t))))
 add("w1_native_bits_f2", on("f2", lambda t: relational.run(t, relational.native_like(opt("f2", eps=0.1)))), relational.oracle(cte("f2"), relational.native_like(opt("f2", eps=0.1))))
 
 
@@ -62,6 +86,7 @@ def bits_per_sample(t: DataFrame, o: Options, eps: tuple[float, ...], dims: int)
 
 add("w2_bits_per_sample_f2", on("f2", lambda t: bits_per_sample(t, F2, (3.0, 1.0, 0.3, 0.1, 0.01), 2)))
 add("w2_bits_per_sample_f4", on("f4", lambda t: bits_per_sample(t, opt("f4"), (100.0, 10.0, 1.0), 1)))
+add("w2_bits_per_sample_f9", wells(lambda t: bits_per_sample(t, F9, SMOOTH, 3)))
 
 
 def timed(df: DataFrame) -> float:
@@ -70,12 +95,12 @@ def timed(df: DataFrame) -> float:
     return time.perf_counter() - at
 
 
-def producing_loop(spark: SparkSession, sf_dir: str, n: int = 16, steps: int = 600) -> DataFrame:
+def producing_loop(spark: SparkSession, sf_dir: str, n: int = 64, steps: int = 8192) -> DataFrame:
     """Seconds of a simulation alone, with the segment codec, and with the native class behind it."""
     rows = []
-    sim = lambda: simulate.sim_wells(spark, n, 50, steps, dt=2e-2)
+    sim = lambda: simulate.sim_wells(spark, n, 50, steps)
     timed(sim())
-    for e in (0.1, 0.01):
+    for e in SMOOTH:
         o = Options(eps=e, block=256)
         rows += [("none", e, timed(sim())), ("corridor", e, timed(codec.compress(sim(), o))), ("native", e, timed(relational.run(sim(), relational.native_like(o))))]
     return spark.createDataFrame([(m, e, round(s, 3)) for m, e, s in rows], "method string, eps double, seconds double")
@@ -135,6 +160,8 @@ def split_sweep(t: DataFrame, o: Options) -> DataFrame:
 
 
 add("w6_split_f2", on("f2", lambda t: split_sweep(t, F2)))
+add("w6_split_f5", on("f5", lambda t: split_sweep(t, opt("f5"))))
+add("w6_split_f9", wells(lambda t: split_sweep(t, F9)))
 BITS = "CAST(sum(2 * (length(bin(CASE WHEN dq >= 0 THEN 2 * dq ELSE -2 * dq - 1 END + 1)) - 1) + 1 + 2 * (length(bin(CAST(dt AS BIGINT))) - 1) + 1) AS BIGINT)"
 for lam in (0.1, 0.5, 0.9):
     o = replace(F2, lam=lam)
@@ -153,6 +180,7 @@ def against_predictive(t: DataFrame) -> DataFrame:
 
 
 add("w7_predictive_f2", on("f2", against_predictive))
+add("w7_predictive_f9", wells(against_predictive))
 add("w8_blocks_f2", on("f2", lambda t: _union([measures.metric(t, opt("f2", block=b, width=64)).select(F.lit(b).alias("block_length"), "packed_bits", "ratio", "frame_bits", "header_bits") for b in (64, 128, 256, 512)])))
 add("w9_simulation", lambda spark, d: simulate.sim_wells(spark, 8, 50, 300, (1, 2), dt=1e-2).groupBy("k").agg(F.count("*").alias("n"), F.round(F.min("x"), 3).alias("low"), F.round(F.max("x"), 3).alias("high")))
 add("w9_simulation_ratio", lambda spark, d: measures.metric(simulate.sim_wells(spark, 16, 50, 1000, dt=1e-2), Options(eps=0.01, block=1000), dims=3))
@@ -192,10 +220,10 @@ def parallel(spark: SparkSession, sf_dir: str) -> DataFrame:
 add("w11_buckets_f5", parallel)
 
 
-def same_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Pieces that differ between the dividing and the division-free test, on tracks with dyadic arithmetic."""
+def same_pieces(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("f2", "f3", "f4", "f7", "f8")) -> DataFrame:
+    """Pieces that differ between the dividing and the division-free test."""
     rows = []
-    for name in ("f2", "f3", "f4", "f7", "f8"):
+    for name in names:
         t, o = track(spark, sf_dir, name), opt(name, mode="inputs")
         a, b = segment(t, o), segment(t, replace(o, test="cross"))
         rows.append(a.exceptAll(b).union(b.exceptAll(a)).agg(F.lit(name).alias("track"), F.count("*").alias("different")))
@@ -203,6 +231,7 @@ def same_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 add("w12_division_free", same_pieces, "SELECT unnest(['f2', 'f3', 'f4', 'f7', 'f8']) AS track, 0::BIGINT AS different")
+add("w12_division_free_rest", lambda spark, d: same_pieces(spark, d, ("f1", "f5", "f6")))
 add("m4_segment_f5", on("f5", lambda t: segment(t, opt("f5", block=2048)).groupBy("k").agg(F.count("*").alias("pieces"), F.sum("dt").alias("steps"))),
     lambda: scan_sql(cte("f5"), opt("f5", block=2048), "SELECT k, count(*) AS pieces, CAST(sum(dt) AS BIGINT) AS steps FROM pieces GROUP BY k"))
 add("w_key_frames_f5", on("f5", lambda t: key_frames(t, opt("f5")).groupBy("block").agg(F.count("*").alias("series"))), f"WITH {cte('f5')} SELECT t // 256 AS block, count(DISTINCT k) AS series FROM track GROUP BY 1")

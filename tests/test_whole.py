@@ -92,3 +92,11 @@ def test_a_rare_language_leaves_the_other_dictionaries_alone(spark, sf):
     before, after = langid.learn(docs), langid.learn(docs.union(rare))
     assert 0 < len(after.pop("xx")) < 1024 and after == before
     assert {len(x) for x in before.values()} == {langid.DICTIONARY_BYTES}
+
+
+def test_workloads_cover_the_tracks_of_the_survey(spark):
+    from corridor.queries import registry, workloads
+
+    assert {"w1_ratio_grid_f5", "w1_ratio_grid_f9", "w2_bits_per_sample_f9", "w6_split_f5", "w6_split_f9", "w7_predictive_f9", "w12_division_free_rest"} <= set(registry.queries())
+    assert len(workloads.SMOOTH) == 5
+    assert workloads.halvings(spark.range(500).selectExpr("0L AS k", "id AS t", "0D AS x")) == (1, 2, 4, 8, 16, 32)
