@@ -5,6 +5,7 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import LongType
 
 from corridor.functions import vwidth
 
@@ -27,7 +28,7 @@ class Expand:
             yield t0 + s, p0 + dq * s / dt
 
 
-@pandas_udf("long")
+@pandas_udf(LongType())  # a type, not its name: parsing a name asks for a session
 def vwidth_bits(u: pd.Series) -> int:
     """Bits of a group's numbers under the shared-width code, in the order they come."""
     return vwidth.size(u.to_numpy())

@@ -208,9 +208,8 @@ for family in ("free_line", "constant"):
 add("b14_optimal_cover_f2", on("f2", lambda t: codecs.optimal_cover(t, opt("f2", block=32, width=8), 3)))
 
 # measures
-COUNT = F.count("*").alias("n")
 add("a1_ratio_f2", on("f2", lambda t: measures.metric(t, opt("f2", width=64), dims=2)))
-add("a1_ratio_gamma_f2", on("f2", lambda t: measures.gamma_metric(segment(t, F2), key_frames(t, F2), t.agg(COUNT), F2)), lambda: scan_sql(cte("f2"), F2, f"""
+add("a1_ratio_gamma_f2", on("f2", lambda t: measures.gamma_metric(segment(t, F2), key_frames(t, F2), t.agg(F.count("*").alias("n")), F2)), lambda: scan_sql(cte("f2"), F2, f"""
 SELECT pieces, dq_bits, dt_bits, frame_bits, dq_bits + dt_bits + frame_bits AS packed_bits, round(n * 64 / (dq_bits + dt_bits + frame_bits), 4) AS ratio, round((dq_bits + dt_bits + frame_bits) / n, 4) AS bits_per_value FROM
 (SELECT count(*) AS pieces, CAST(sum(2 * (length(bin(CASE WHEN dq >= 0 THEN 2 * dq ELSE -2 * dq - 1 END + 1)) - 1) + 1) AS BIGINT) AS dq_bits, CAST(sum(2 * (length(bin(CAST(dt AS BIGINT))) - 1) + 1) AS BIGINT) AS dt_bits FROM pieces),
 (SELECT CAST(sum(c * CASE WHEN s = 0 THEN 0 ELSE length(bin(s)) END) AS BIGINT) AS frame_bits FROM (SELECT s.block, count(*) AS c, CAST(max(floor(y + 0.5)) - min(floor(y + 0.5)) AS BIGINT) AS s FROM samples s JOIN ends e ON s.k = e.k AND s.block = e.block AND s.t = e.a GROUP BY 1)),

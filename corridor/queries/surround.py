@@ -15,6 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.functions import arrow_udf, pandas_udf
+from pyspark.sql.types import DoubleType, LongType
 
 from corridor.functions import sqlfuncs
 from corridor.operators.segment import scan_sql, segment
@@ -299,13 +300,13 @@ add("op_stream_stream_join", stream_stream, "SELECT a.event_id AS click, b.event
 # OP47 - OP52: functions of one's own, physical choices
 
 
-@arrow_udf("long")
+@arrow_udf(LongType())
 def list_bits(column: pa.Array) -> pa.Array:
     """Bits of the largest number of each list."""
     return pa.array([max((int(v).bit_length() for v in row.as_py()), default=0) for row in column], pa.int64())
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def spread(v: pd.Series) -> float:
     return float(v.max() - v.min())
 

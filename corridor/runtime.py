@@ -20,13 +20,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def ship_package(spark: SparkSession) -> None:
     """Make this package importable in Python workers that don't have the repository on their path."""
     sc = spark.sparkContext
-    paths = os.environ.get("PYTHONPATH", "").split(os.pathsep)
-    if str(ROOT.parent) in paths or Path.cwd() == ROOT.parent or getattr(sc, "_corridor_shipped", False):
-        return
+    if sc.master.split("[")[0] == "local" or getattr(sc, "_corridor_shipped", False):
+        return  # workers of a local session run on this machine, under the driver's path
     target = os.path.join(tempfile.mkdtemp(), "corridor_package.zip")
     with zipfile.ZipFile(target, "w") as z:
-        for p in ROOT.rglob("*.py"):
-            z.write(p, p.relative_to(ROOT.parent))
+        for p in ROOT.rglob("*"):
+            if p.is_file() and "__pycache__" not in p.parts:
+                z.write(p, p.relative_to(ROOT.parent))
     sc.addPyFile(target)
     sc._corridor_shipped = True
 

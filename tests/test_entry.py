@@ -44,6 +44,29 @@ def test_library_stands_alone(monkeypatch):
     assert "m4_segment_f2" in e.queries() and "pipeline" not in e.queries()
 
 
+def test_queries_need_no_session():
+    """A fresh process lists queries and oracles without starting Spark."""
+    import os
+    import subprocess
+
+    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    code = "import __spark_entry__ as e; from pyspark import SparkContext; assert e.queries() and e.oracle_sql(); assert SparkContext._active_spark_context is None; print(len(e.queries()))"
+    done = subprocess.run([sys.executable, "-c", code], cwd=root, capture_output=True, text=True, timeout=120)
+    assert done.returncode == 0, done.stderr[-2000:]
+
+
+def test_package_is_shipped_to_clusters(monkeypatch):
+    """A cluster's executors get the package even where the driver runs in the repository; local sessions need none."""
+    from types import SimpleNamespace
+
+    from corridor.runtime import ship_package
+
+    for master, n in (("local[4]", 0), ("local-cluster[3,2,1024]", 1), ("spark://host:7077", 1)):
+        sent = []
+        ship_package(SimpleNamespace(sparkContext=SimpleNamespace(master=master, addPyFile=sent.append)))
+        assert len(sent) == n
+
+
 def test_stream_equals_batch(spark, sf):
     from corridor.queries import registry
 
