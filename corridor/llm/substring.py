@@ -1,21 +1,27 @@
 """Removal of word sequences that also occur in an earlier document, by prefix-partitioned suffix trees.
 
-Symbols are words, suffixes start at words.  Three steps:
+Symbols are words, suffixes start at words, and only nodes at least a window deep matter.  Documents are dealt once, by a hash
+of their id, to parts of bounded bytes; every step reads that one exchange.
 
 1. Prefix counts.  Suffixes are counted by a cell of their first ``PREFIX`` words, over all documents, in a table of fixed
    size.  Cells are dealt to groups until a group's budget is full; a cell above the budget is extended, that is, its
    suffixes are told apart by all words of the window (the longer prefix) and go to several groups.
-2. Subtrees.  A group holds its suffixes as path labels, the hash of the window's words, and sorts them: equal labels are the
-   internal nodes at window depth, so deeper repeats are runs of such nodes at consecutive words.  For each node it finds
-   the smallest document below it and tells the others.  A slice of input sends a node once, for the smallest
-   document it has; for its other documents the answer is known there, and passes through the group unsorted.
-3. Cutting.  Told labels meet their documents again, and the words they cover go; adjoining windows make one maximal repeat.
+2. Lone suffixes go.  A part sends a short print of each of its windows once; a window whose print no other document has
+   can't lie under a node of two leaves, and isn't sent on.  Prints that meet by chance only let a suffix through.
+3. Subtrees.  The suffixes left go to the group of their prefix as the words themselves, down to the window's depth, coded by a
+   dictionary that comes along.  A group sorts its suffixes by words, takes the longest common prefix of each with the one
+   before, and so has the subtree: suffixes between which it never falls below the window are the leaves of one deep
+   internal node.  Of each node it finds the smallest document and tells the others.  A part sends a path once, for the smallest
+   document it has; its other documents with that path have a smaller one beside them.
+4. Cutting.  Told windows meet their part again, which finds those with a smaller document beside them itself; the words they
+   cover go.  Nodes of adjoining suffixes make one maximal repeat.
 """
 
 from __future__ import annotations
 
 import hashlib
 from collections.abc import Callable
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -27,40 +33,50 @@ from corridor.llm import texthash as T
 
 PREFIX, CELLS = 3, 1 << 14
 GROUP_WINDOWS = 1 << 20
-PENDING = -1  # part of a pair that its group has yet to decide
+PART_BYTES, LEAST_PARTS = 4 << 20, 64
+PRINT_GROUP = 1 << 21  # prints that a task of step 2 gets, about
+U32 = np.uint64(32)
 
 
-def _plain(docs: DataFrame) -> DataFrame:
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+def _runs(keys: np.ndarray) -> np.ndarray:
+    """Marks the first item of each run of a sorted array."""
+    new = np.ones(len(keys), bool)
+    new[1:] = keys[1:] != keys[:-1]
+    return new
 
 
-def _labels(texts: pa.Array, window: int):
-    """Windows of a slice: label, cell of the prefix, document index, first word."""
-    w = T.words(texts)
-    h, at = T.windows(w, window)
-    doc = np.searchsorted(w.first, at, side="right") - 1
-    p, first = T.windows(w, min(PREFIX, window))
-    cell = (p[np.searchsorted(first, at)] & np.uint64(CELLS - 1)).astype(np.int64)
-    return w, h, cell, doc, at
+def _spans(keys: np.ndarray) -> tuple[np.ndarray, list[tuple[int, int]]]:
+    """The values of a sorted array, and where each begins and ends."""
+    full, at = np.unique(keys, return_index=True)
+    bounds = [*at.tolist(), len(keys)]
+    return full, list(zip(bounds, bounds[1:]))
 
 
-def prefix_counts(docs: DataFrame, window: int) -> np.ndarray:
-    """Number of windows in each cell, over all documents."""
+def prefix_counts(docs: DataFrame, window: int) -> tuple[np.ndarray, int]:
+    """Number of windows in each cell, and bytes of text, over all documents."""
 
     def count(batches):
-        total, seen = np.zeros(CELLS, np.int64), False
+        total, size = np.zeros(CELLS + 1, np.int64), 0
         for batch in batches:
-            for a, b in T.slices(batch.column(1)):
-                _, _, cell, _, _ = _labels(batch.column(1)[a:b], window)
-                total += np.bincount(cell, minlength=CELLS)
-                seen = True
-        if seen:
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(CELLS, dtype=np.int32)), pa.array(total)], ["cell", "n"])
-
-    out = np.zeros(CELLS, np.int64)
-    for cell, n in _plain(docs).mapInArrow(T.tidy(count), "cell int, n long").groupBy("cell").agg(F.sum("n")).collect():  # CELLS rows at most
+            for a, b in T.slices(batch.column(0)):
+                w = T.words(batch.column(0)[a:b])
+                _, at = T.windows(w, window)
+                total += np.bincount(_cells(w, at, window), minlength=CELLS + 1)
+                size += len(w.data)
+        if size:
+            total[CELLS] = size
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(CELLS + 1, dtype=np.int32)), pa.array(total)], ["cell", "n"])
+
+    out = np.zeros(CELLS + 1, np.int64)
+    for cell, n in docs.select(F.col("text").cast("string")).mapInArrow(T.tidy(count), "cell int, n long").groupBy("cell").agg(F.sum("n")).collect():  # CELLS + 1 rows at most
         out[cell] = n
-    return out
+    return out[:CELLS], int(out[CELLS])
+
+
+def _cells(w: T.Words, at: np.ndarray, window: int) -> np.ndarray:
+    """Cell of the prefix of the window at each of the words ``at``."""
+    p, first = T.windows(w, min(PREFIX, window))
+    return (p[np.searchsorted(first, at)] & np.uint64(CELLS - 1)).astype(np.int64)
 
 
 def deal(counts: np.ndarray, budget: int, least: int) -> tuple[np.ndarray, np.ndarray, int]:
@@ -80,91 +96,209 @@ def deal(counts: np.ndarray, budget: int, least: int) -> tuple[np.ndarray, np.nd
     return first, width, group + 1
 
 
-def repeated_windows(docs: DataFrame, window: int, budget: int = GROUP_WINDOWS, least: int = 128) -> tuple[DataFrame, int]:
-    """(part, ids, labels): packed pairs of a document and a window that starts in a smaller document too; number of parts."""
-    counts = prefix_counts(docs, window)
-    first, width, groups = deal(counts, budget, least)
-    parts = max(least, int(counts.sum()) // (1 << 21))
+def laid_out(docs: DataFrame, parts: int, carry: tuple[str, ...] = ()) -> DataFrame:
+    """(part, doc_id, text, carried columns): equal ids share a part unless their texts differ; a null id goes by its text."""
+    doc_id, text = F.col("doc_id").cast("long"), F.col("text").cast("string")
+    part = F.pmod(F.xxhash64(doc_id, text), F.lit(parts)).cast("int")
+    return docs.select(part.alias("part"), doc_id.alias("doc_id"), text.alias("text"), *(F.col(c).alias(f"__{i}") for i, c in enumerate(carry)))
+
+
+class PartWindows:
+    """Windows of the documents of a part that have an id: word index, 64-bit label and document id of each."""
+
+    def __init__(self, table: pa.Table, window: int) -> None:
+        texts = table.column("text").combine_chunks() if table.num_rows else pa.array([], pa.string())
+        ids = table.column("doc_id").combine_chunks()
+        self.w = T.words(texts)
+        h, at = T.windows(self.w, window)
+        doc = np.searchsorted(self.w.first, at, side="right") - 1
+        has = ids.is_valid().to_numpy(zero_copy_only=False)[doc]
+        self.label, self.at = h[has], at[has]
+        self.own = ids.fill_null(0).to_numpy(zero_copy_only=False)[doc[has]]
+
+    def shared(self) -> tuple[np.ndarray, np.ndarray]:
+        """Sorted labels, and whether more than one document of the part has each."""
+        order = np.lexsort((self.own, self.label))
+        h, own = self.label[order], self.own[order]
+        at = np.flatnonzero(_runs(h))
+        last = np.append(at[1:], len(h)) - 1 if len(at) else at
+        return h[at], own[at] != own[last]
+
+    def paths(self, keep: np.ndarray, window: int) -> Paths:
+        """The windows of this mask, sorted by label and document, and the words on their paths."""
+        i = np.flatnonzero(keep)
+        i = i[np.lexsort((self.own[i], self.label[i]))]
+        used, path = np.unique(self.at[i][:, None] + np.arange(window), return_inverse=True)
+        words = _words_of(self.w, used).dictionary_encode()
+        path = words.indices.to_numpy(zero_copy_only=False)[path.reshape(-1, window)]
+        new = _runs(self.label[i])
+        new[1:] |= (path[1:] != path[:-1]).any(axis=1)  # one label, other words: a path of its own
+        low = self.own[i][new][np.cumsum(new) - 1] if len(i) else self.own[i]
+        return Paths(i, path, words.dictionary, new, low)
+
+
+@dataclass
+class Paths:
+    """Windows in path order: index, word codes, the dictionary, first of each path, smallest document on the path."""
+
+    index: np.ndarray
+    codes: np.ndarray
+    words: pa.Array
+    new: np.ndarray
+    low: np.ndarray
+
+
+def _words_of(w: T.Words, at: np.ndarray) -> pa.Array:
+    """The words at these indices, as one binary array."""
+    lengths = w.ends[at] - w.starts[at]
+    offsets = np.concatenate([[0], np.cumsum(lengths)])
+    source = np.arange(offsets[-1]) + np.repeat(w.starts[at] - offsets[:-1], lengths)
+    return pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(at), [None, pa.py_buffer(offsets.astype(np.int64).tobytes()), pa.py_buffer(w.data[source].tobytes())])
+
+
+def _blob(words: pa.Array) -> tuple[bytes, bytes]:
+    """Lengths and bytes of a freshly taken binary array."""
+    _, offsets, data = words.buffers()
+    off = np.frombuffer(offsets, np.int64)[words.offset : words.offset + len(words) + 1]
+    return np.diff(off).astype(np.uint32).tobytes(), data.to_pybytes()[off[0] : off[-1]] if data is not None else b""
+
+
+def _unblob(lengths: bytes, data: bytes) -> pa.Array:
+    off = np.concatenate([[0], np.cumsum(np.frombuffer(lengths, np.uint32).astype(np.int64))])
+    return pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(off) - 1, [None, pa.py_buffer(off.tobytes()), pa.py_buffer(data)])
+
+
+def _narrow(x: np.ndarray) -> bytes:
+    """Numbers from 0 as 2 or 4 bytes each; a leading byte says which."""
+    kind = np.uint16 if not x.size or x.max() < 1 << 16 else np.uint32
+    return bytes([kind().itemsize]) + x.astype(kind).tobytes()
+
+
+def _wide(raw: bytes) -> np.ndarray:
+    return np.frombuffer(raw, np.uint16 if raw[0] == 2 else np.uint32, offset=1).astype(np.int64)
+
+
+SENT = "key int, part int, ids binary, labels binary, codes binary, lengths binary, words binary"
+
+
+def prints(laid: DataFrame, window: int, groups: int) -> DataFrame:
+    """(part, prints): sorted 64-bit places of the windows that may occur in a document of another part too."""
     key_of = T.even_keys(groups).astype(np.int32)
 
-    def send(batches):
+    def send(table: pa.Table) -> pa.Table:
+        part = table.column("part")[0].as_py()
+        h, sure = PartWindows(table, window).shared()
+        to = (h % np.uint64(groups)).astype(np.int64)
+        order = np.argsort(to, kind="stable")
+        h, sure, to = (h[order] >> U32).astype(np.uint32), sure[order], to[order]
+        full, spans = _spans(to)
+        one, many = ([h[a:b][m[a:b]].tobytes() for a, b in spans] for m in (~sure, sure))
+        T.release()
+        return pa.table({"key": pa.array(key_of[full]), "to": pa.array(full.astype(np.int32)), "part": pa.array([part] * len(full), pa.int32()), "one": pa.array(one, pa.binary()), "many": pa.array(many, pa.binary())})
+
+    def meet(batches):
+        one, many = [], []
         for batch in batches:
-            for a, b in T.slices(batch.column(1)):
-                ids = batch.column(0)[a:b].to_numpy(zero_copy_only=False)
-                _, h, cell, doc, _ = _labels(batch.column(1)[a:b], window)
-                if not len(h):
-                    continue
-                own = ids[doc]
-                order = np.lexsort((own, h))
-                h, own, cell = h[order], own[order], cell[order]
-                new = np.ones(len(h), bool)
-                new[1:] = h[1:] != h[:-1]
-                least_own = own[new][np.cumsum(new) - 1]
-                told = own > least_own
-                once = np.ones(len(h), bool)
-                once[1:] = new[1:] | (own[1:] != own[:-1])
-                told &= once
-                group = first[cell[new]] + (h[new] >> np.uint64(20)).astype(np.int64) % width[cell[new]]
-                yield from _packs(group, own[new], h[new], False)
-                if told.any():
-                    yield from _packs(own[told] % parts, own[told], h[told], True)
-
-    def _packs(key, own, h, known):
-        order = np.lexsort((own, key))
-        key, own, h = key[order], own[order], h[order]
-        full, at = np.unique(key, return_index=True)
-        ends = np.append(at[1:], len(key))
-        low = own[at]
-        rel = own - np.repeat(low, ends - at)
-        kind = np.uint32 if not len(rel) or rel.max() < 1 << 32 else np.int64
-        rel = rel.astype(kind)
-        yield pa.RecordBatch.from_arrays(
-            [
-                pa.array(key_of[full % groups]),
-                pa.array(full.astype(np.int64) if known else np.full(len(full), PENDING)),
-                pa.array(low),
-                pa.array([rel[x:y].tobytes() for x, y in zip(at, ends, strict=True)], pa.binary()),
-                pa.array([h[x:y].tobytes() for x, y in zip(at, ends, strict=True)], pa.binary()),
-            ],
-            ["key", "part", "low", "ids", "labels"],
-        )
-
-    def pairs(low, ids, labels):
-        own, h = [], []
-        for a, x, y in zip(low.to_pylist(), ids, labels, strict=True):
-            h.append(np.frombuffer(y.as_buffer(), np.uint64))
-            raw = x.as_buffer()
-            own.append(np.frombuffer(raw, np.uint32 if raw.size == 4 * len(h[-1]) else np.int64).astype(np.int64) + a)
-        return (np.concatenate(own), np.concatenate(h)) if own else (np.zeros(0, np.int64), np.zeros(0, np.uint64))
+            for to, part, x, y in zip(*(batch.column(c).to_pylist() for c in ("to", "part", "one", "many")), strict=True):
+                one.append((part, np.frombuffer(x, np.uint32).astype(np.uint64) | np.uint64(to) << U32))
+                many.append(np.frombuffer(y, np.uint32).astype(np.uint64) | np.uint64(to) << U32)
+        if not one:
+            return
+        key = np.concatenate([x for _, x in one])
+        part = np.repeat(np.array([p for p, _ in one]), [len(x) for _, x in one])
+        sure = np.unique(np.concatenate(many))
+        order = np.argsort(key, kind="stable")
+        key, part = key[order], part[order]
+        new = _runs(key)
+        again = ~new
+        again[:-1] |= ~new[1:]
+        if len(sure):
+            again |= sure[np.minimum(np.searchsorted(sure, key), len(sure) - 1)] == key
+        key, part = key[again], part[again]
+        order = np.argsort(part, kind="stable")
+        key, part = key[order], part[order]
+        full, spans = _spans(part)
+        if len(full):
+            yield pa.RecordBatch.from_arrays([pa.array(full.astype(np.int32)), pa.array([key[a:b].tobytes() for a, b in spans], pa.binary())], ["part", "prints"])
+
+    sent = laid.groupBy("part").applyInArrow(send, "key int, to int, part int, one binary, many binary")
+    return sent.repartition(groups, "key").mapInArrow(T.tidy(meet), "part int, prints binary")
+
+
+def repeated_windows(laid: DataFrame, window: int, counts: np.ndarray, budget: int = GROUP_WINDOWS, least: int = 128) -> DataFrame:
+    """(part, ids, labels): packed pairs of a document id and a window's label, where the window starts in a smaller document too."""
+    first, width, groups = deal(counts, budget, least)
+    print_groups = max(LEAST_PARTS, int(counts.sum()) // PRINT_GROUP)
+    key_of = T.even_keys(groups).astype(np.int32)
+
+    def send(key, left: pa.Table, right: pa.Table) -> pa.Table:
+        rows = []
+        if left.num_rows:
+            windows = PartWindows(left, window)
+            h, sure = windows.shared()
+            if right.num_rows:
+                met = np.sort(np.concatenate([np.frombuffer(x.as_buffer(), np.uint64) for x in right.column("prints")]))
+                place = (h >> U32) | (h % np.uint64(print_groups)) << U32
+                sure |= met[np.minimum(np.searchsorted(met, place), len(met) - 1)] == place
+            if sure.any():
+                rows = packs(left.column("part")[0].as_py(), windows, windows.paths(sure[np.searchsorted(h, windows.label)], window))
+        columns = list(zip(*rows, strict=True)) if rows else [()] * 7
+        T.release()
+        return pa.Table.from_arrays([pa.array(columns[0], pa.int32()), pa.array(columns[1], pa.int32()), *(pa.array(c, pa.binary()) for c in columns[2:])], [c.split()[0] for c in SENT.split(", ")])
+
+    def packs(part: int, windows: PartWindows, p: Paths) -> list[tuple]:
+        """A path of the part once, by group."""
+        i, path = p.index[p.new], p.codes[p.new]
+        label, own = windows.label[i], windows.own[i]
+        cell = _cells(windows.w, windows.at[i], window)
+        group = first[cell] + (label >> np.uint64(20)).astype(np.int64) % width[cell]
+        order = np.argsort(group, kind="stable")
+        rows = []
+        for g, (x, y) in zip(*_spans(group[order]), strict=True):
+            mine = order[x:y]
+            codes, local = np.unique(path[mine], return_inverse=True)
+            rows.append((int(key_of[g % groups]), part, own[mine].tobytes(), label[mine].tobytes(), _narrow(local.ravel()), *_blob(p.words.take(pa.array(codes)))))
+        return rows
 
     def subtree(batches):
         mine = []
         for batch in batches:
-            known = pc.not_equal(batch.column("part"), PENDING)
-            told = batch.filter(known)
-            if len(told):  # already decided where they were read
-                yield told.select(["part", "low", "ids", "labels"])
-            rest = batch.filter(pc.invert(known))
-            if len(rest):
-                mine.append(pairs(*(rest.column(c) for c in ("low", "ids", "labels"))))
+            mine += [tuple(r.values()) for r in batch.select(["part", "ids", "labels", "codes", "lengths", "words"]).to_pylist()]
         if not mine:
             return
-        own, h = np.concatenate([x for x, _ in mine]), np.concatenate([x for _, x in mine])
+        words = pa.concat_arrays([_unblob(r[4], r[5]) for r in mine]).dictionary_encode()
+        rank = np.empty(len(words.dictionary), np.int32)
+        rank[pc.sort_indices(words.dictionary).to_numpy()] = np.arange(len(rank), dtype=np.int32)
+        symbol = rank[words.indices.to_numpy(zero_copy_only=False)]
+        at, paths = 0, []
+        for r in mine:
+            paths.append(symbol[_wide(r[3]) + at].reshape(-1, window))
+            at += len(r[4]) // 4
+        path = np.concatenate(paths)
+        own, label = (np.concatenate([np.frombuffer(r[c], kind) for r in mine]) for c, kind in ((1, np.int64), (2, np.uint64)))
+        part = np.repeat(np.array([r[0] for r in mine]), [len(r[1]) // 8 for r in mine])
         mine.clear()
-        order = np.argsort(h, kind="stable")
-        h, own = h[order], own[order]
-        new = np.ones(len(h), bool)
-        new[1:] = h[1:] != h[:-1]
-        low = np.minimum.reduceat(own, np.flatnonzero(new))
-        told = own > low[np.cumsum(new) - 1]
-        own, h = own[told], h[told]
-        if len(h):
-            for r in _packs(own % parts, own, h, True):
-                yield r.select(["part", "low", "ids", "labels"])
-
-    sent = _plain(docs).where("doc_id is not null and text is not null").mapInArrow(T.tidy(send), "key int, part long, low long, ids binary, labels binary")
-    found = sent.repartition(groups, "key").mapInArrow(T.tidy(subtree), "part long, low long, ids binary, labels binary")
-    return found, parts
+        paths.clear()
+        order = np.lexsort((own, *path.T[::-1]))  # suffixes by words, of equal ones the smallest document first
+        path, own, label, part = path[order], own[order], label[order], part[order]
+        common = np.zeros(len(path), np.int64)  # words that a suffix shares with the one before
+        common[1:] = np.logical_and.accumulate(path[1:] == path[:-1], axis=1).sum(axis=1)
+        node = np.cumsum(common < window) - 1  # leaves of one node at the window's depth or below
+        later = own > own[common < window][node]
+        own, label, part = own[later], label[later], part[later]
+        order = np.argsort(part, kind="stable")
+        rows = [(int(p), own[order[x:y]].tobytes(), label[order[x:y]].tobytes()) for p, (x, y) in zip(*_spans(part[order]), strict=True)]
+        if rows:
+            p, o, lab = zip(*rows, strict=True)
+            yield pa.RecordBatch.from_arrays([pa.array(p, pa.int32()), pa.array(o, pa.binary()), pa.array(lab, pa.binary())], ["part", "ids", "labels"])
+
+    met = prints(laid, window, print_groups)
+    sent = laid.groupBy("part").cogroup(met.groupBy("part")).applyInArrow(send, SENT)
+    return sent.repartition(groups, "key").mapInArrow(T.tidy(subtree), "part int, ids binary, labels binary")
+
+
+def _pair(own: np.ndarray, label: np.ndarray) -> np.ndarray:
+    return T.mix(own.view(np.uint64)) ^ label
 
 
 def remove_repeats(docs: DataFrame, window: int = 13, cutter: Callable | None = None, columns: str = "n_words long, n_removed long, kept string", carry: tuple[str, ...] = ()) -> DataFrame:
@@ -175,54 +309,39 @@ def remove_repeats(docs: DataFrame, window: int = 13, cutter: Callable | None =
     A word goes if it lies in a window of ``window`` consecutive words that also starts in a document with a smaller doc_id,
     judged on the input.  Kept words are joined by one space.  Null, empty and blank texts have no words and stay
     empty; texts shorter than the window keep all words; rows with a null doc_id neither lose words nor cost others
-    theirs; rows that share a doc_id don't count as earlier than each other.
+    theirs; rows that share a doc_id don't count as earlier than each other.  An empty table gives an empty one.
     cutter(words, keep mask) returns the values of ``columns`` for one text.
     """
     docs = T.bounded(docs)
-    found, parts = repeated_windows(docs, window)
+    counts, size = prefix_counts(docs, window)
+    parts = max(LEAST_PARTS, size // PART_BYTES)
+    laid = laid_out(docs, parts, carry)
+    found = repeated_windows(laid, window, counts)
     cutter = cutter or kept_text
     names = [c.split()[0] for c in columns.split(", ")]
     carried = docs.select(*carry).schema.fields
     schema = ", ".join(["doc_id long", *(f"`{f.name}` {f.dataType.simpleString()}" for f in carried), columns])
 
     def cut_out(key, left: pa.Table, right: pa.Table) -> pa.Table:
-        own, h = [], []
-        for low, ids, labels in zip(right.column("low").to_pylist(), right.column("ids"), right.column("labels"), strict=True):
-            h.append(np.frombuffer(labels.as_buffer(), np.uint64))
-            raw = ids.as_buffer()
-            own.append(np.frombuffer(raw, np.uint32 if raw.size == 4 * len(h[-1]) else np.int64).astype(np.int64) + low)
-        own = np.concatenate(own) if own else np.zeros(0, np.int64)
-        h = np.concatenate(h) if h else np.zeros(0, np.uint64)
-        order = np.argsort(own, kind="stable")
-        own, h = own[order], h[order]
-        values: list[list] = [[] for _ in names]
-        texts = left.column("text").combine_chunks() if left.num_rows else pa.array([], pa.string())
-        ids = left.column("doc_id").to_pylist()
-        for a, b in T.slices(texts):
-            w = T.words(texts[a:b])
-            label, at = T.windows(w, window)
-            lo, hi = np.searchsorted(at, w.first[:-1]), np.searchsorted(at, w.first[1:])
-            for i in range(b - a):
-                x, y = w.first[i], w.first[i + 1]
-                keep = np.ones(y - x, bool)
-                if ids[a + i] is not None:
-                    s, e = np.searchsorted(own, (ids[a + i], ids[a + i] + 1))
-                    if e > s:
-                        hit = at[lo[i] : hi[i]][np.isin(label[lo[i] : hi[i]], h[s:e])] - x
-                        cover = np.zeros(y - x + 1, np.int64)
-                        np.add.at(cover, hit, 1)
-                        np.add.at(cover, np.minimum(hit + window, y - x), -1)
-                        keep = np.cumsum(cover)[:-1] == 0
-                for column, v in zip(values, cutter(w, x, y, keep), strict=True):
-                    column.append(v)
+        windows = PartWindows(left, window)
+        own, label = (np.concatenate([np.zeros(0, kind), *(np.frombuffer(x.as_buffer(), kind) for x in right.column(c))]) for c, kind in (("ids", np.int64), ("labels", np.uint64)))
+        gone = np.isin(_pair(windows.own, windows.label), _pair(own, label))
+        h, sure = windows.shared()
+        if sure.any():
+            p = windows.paths(sure[np.searchsorted(h, windows.label)], window)
+            gone[p.index[windows.own[p.index] > p.low]] = True
+        w = windows.w
+        cover = np.zeros(len(w.hashes) + 1, np.int64)
+        cover[windows.at[gone]] += 1
+        np.subtract.at(cover, windows.at[gone] + window, 1)
+        keep = np.cumsum(cover)[:-1] == 0
+        columns_of = list(zip(*(cutter(w, x, y, keep[x:y]) for x, y in zip(w.first[:-1], w.first[1:], strict=True)), strict=True)) or [[] for _ in names]
         kinds = {"long": pa.int64(), "string": pa.string()}
-        cols = [pa.array(v, kinds[c.split()[1]]) for v, c in zip(values, columns.split(", "), strict=True)]
+        cols = [pa.array(v, kinds[c.split()[1]]) for v, c in zip(columns_of, columns.split(", "), strict=True)]
         T.release()
-        return pa.Table.from_arrays([pa.array(ids, pa.int64()), *(left.column(f"__{i}") for i in range(len(carry))), *cols], ["doc_id", *carry, *names])
+        return pa.Table.from_arrays([left.column("doc_id"), *(left.column(f"__{i}") for i in range(len(carry))), *cols], ["doc_id", *carry, *names])
 
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), *(F.col(c).alias(f"__{i}") for i, c in enumerate(carry)))
-    keyed = rows.withColumn("part", F.coalesce(F.pmod(F.col("doc_id"), F.lit(parts)), F.pmod(F.xxhash64("text"), F.lit(parts))))
-    return keyed.groupBy("part").cogroup(found.groupBy("part")).applyInArrow(cut_out, schema)
+    return laid.groupBy("part").cogroup(found.groupBy("part")).applyInArrow(cut_out, schema)
 
 
 def _kept(w: T.Words, x: int, y: int, keep: np.ndarray) -> bytes:

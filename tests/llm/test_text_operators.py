@@ -101,15 +101,57 @@ def removal(rows, n=13):
     return sorted(out)
 
 
+DIGEST = "n_words long, n_removed long, kept_sha256 string"
+
+
 @pytest.mark.parametrize("budget", [substring.GROUP_WINDOWS, 50])
 def test_substring_removal(docs, budget, monkeypatch):
     plain = substring.repeated_windows
-    monkeypatch.setattr(substring, "repeated_windows", lambda d, w: plain(d, w, budget, 8))
-    got = substring.remove_repeats(docs, 13, substring.kept_digest, "n_words long, n_removed long, kept_sha256 string").collect()
+    monkeypatch.setattr(substring, "repeated_windows", lambda d, w, c: plain(d, w, c, budget, 8))
+    got = substring.remove_repeats(docs, 13, substring.kept_digest, DIGEST).collect()
     assert sorted((repr(r[0]), *r[1:]) for r in got) == removal(fixture())
     assert sum(r.n_removed > 0 for r in got) > 10
 
 
+def test_substring_compares_words_not_hashes(docs, monkeypatch):
+    """With hashes of 8 bits nearly all labels and prints meet by chance; the words on the paths still tell suffixes apart in parts and groups."""
+    plain = T.windows
+
+    def coarse(w, k):
+        h, at = plain(w, k)
+        return h & np.uint64(0xFF00000000), at
+
+    rows = [(i, " ".join(f"w{(i * 31 + j) % 97}" for j in range(40))) for i in range(30)]
+    monkeypatch.setattr(T, "windows", coarse)
+    own = pa.table({"part": pa.array([0] * 30, pa.int32()), "doc_id": pa.array([r[0] for r in rows]), "text": pa.array([r[1] for r in rows])})
+    windows = substring.PartWindows(own, 13)
+    p = windows.paths(np.ones(len(windows.at), bool), 13)
+    starts = {}
+    for i, text in rows:
+        for j in range(28):
+            starts.setdefault(tuple(text.split()[j : j + 13]), set()).add(i)
+    for x, (new, low) in enumerate(zip(p.new, p.low, strict=True)):
+        path = tuple(p.words[c].as_py().decode() for c in p.codes[x])
+        assert int(low) in starts[path] and (new or (p.codes[x] == p.codes[x - 1]).all())
+
+
+def test_substring_parts_are_even(spark):
+    """Ids that share a factor, and a large table of texts shorter than a window, are spread over all parts."""
+    rows = [(i * 128, f"text number {i} is short") for i in range(4000)]
+    laid = substring.laid_out(spark.createDataFrame(rows, "doc_id long, text string"), 128)
+    load = [r["count"] for r in laid.groupBy("part").count().collect()]
+    assert len(load) == 128 and max(load) < 3 * 4000 / 128
+
+
+def test_substring_of_nothing(spark):
+    empty = spark.createDataFrame([], SCHEMA)
+    got = substring.remove_repeats(empty, 13, substring.kept_digest, DIGEST)
+    assert got.count() == 0 and got.columns == ["doc_id", "n_words", "n_removed", "kept_sha256"]
+    rows = [(1, None), (2, ""), (3, "a b"), (None, "a " * 20), (4, "a " * 20), (4, "a " * 20), (5, "a " * 14)]
+    got = substring.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string"), 13, substring.kept_digest, DIGEST).collect()
+    assert sorted((repr(r[0]), *r[1:]) for r in got) == removal(rows)
+
+
 def test_substring_carries_columns(docs):
     got = substring.remove_repeats(docs, 13, carry=("part", "component", "text"))
     assert got.columns == ["doc_id", "part", "component", "text", "n_words", "n_removed", "kept"] and got.count() == len(fixture())
