@@ -1,17 +1,20 @@
 """Lossless WebP: a decoder for the whole lossless bit stream, and an encoder for byte payloads.
 
 The decoder reads prefix codes (one group, or many by an entropy image), back-references with the plane distance codes, the
-colour cache, and inverts the predictor, cross-colour, subtract-green and palette transforms.  Where a stream has
-one group, no cache and no back-references, and each channel's code gives all its symbols one length, pixels lie at
-a constant stride and are read as whole arrays; every other stream is read pixel by pixel.
-
-The encoder writes such constant-stride streams: three payload bytes make a pixel, each channel has a complete code
-of the shortest length that holds the bytes in use.  A payload longer than one picture may be is a row of pictures.
+colour cache, and inverts the predictor, cross-colour, subtract-green and palette transforms.  With one group it works
+on arrays: the length of the token that would start at each bit is looked up for all bits of a stretch, the starts that are
+real are then followed one by one, and the tokens there are read together.  With many groups it reads pixel by pixel.
+
+The encoder stores a payload as 8-bit samples, one to a pixel, and chooses from what the payload has: few different
+bytes make a palette with several samples to a pixel, sequences that rise or repeat above each other a predictor, and repeats become
+back-references.  Where three bytes to a pixel and a colour cache come out shorter by estimate, it stores that.  All prefix codes are
+fitted to the counts.  A payload longer than one picture may be is a row of pictures.
 """
 
 from __future__ import annotations
 
 import hashlib
+import heapq
 import zlib
 
 import numpy as np
@@ -34,8 +37,14 @@ PLANE_OFFSETS = (
     (-6, 7), (7, 6), (-7, 6), (8, 5), (7, 7), (-7, 7), (8, 6), (8, 7),
 )
 CACHE_MULTIPLIER = 0x1E35A7BD
-ROW_BYTES, WIDTH, MAX_SIDE = 576, 192, 1 << 14
 LITERALS, LENGTH_CODES, DISTANCE_CODES = 256, 24, 40
+MOST_LENGTH, MOST_DISTANCE = 4096, (1 << 20) - 120
+
+ROW_BYTES = 576  # a row of samples
+COLOURS = 192  # pixels of a row where three bytes make one
+PICTURE_ROWS = 2048
+MIN_MATCH, LONGEST_CODE, CACHE_BITS = 6, 12, 8
+STRETCH = 1 << 15  # bytes of a stream that are looked at together
 
 
 class Bits:
@@ -68,42 +77,35 @@ class Bits:
 
 
 class PrefixCode:
-    """Canonical code from lengths; ``uniform`` is the common length if there is one."""
+    """Canonical code from lengths, as tables by the next ``most`` bits: symbol and length."""
 
     def __init__(self, lengths: list[int]) -> None:
-        used = [(n, s) for s, n in enumerate(lengths) if n]
-        self.symbols = [s for _, s in used]
-        if not used:
-            used, self.symbols = [(0, 0)], [0]
-        if len(used) == 1:
-            self.most, self.uniform, self.table = 0, 0, None
+        used = sorted((n, s) for s, n in enumerate(lengths) if n) or [(1, 0)]
+        if len(used) == 1:  # takes no bits
+            self.most, self.symbols, self.lengths = 0, np.array([used[0][1]], np.int32), np.zeros(1, np.int32)
             return
-        kinds = {n for n, _ in used}
+        self.most = used[-1][0]
         if sum(1 << (15 - n) for n, _ in used) != 1 << 15:
             raise ValueError("the code isn't complete")
-        self.most = max(kinds)
-        self.uniform = self.most if len(kinds) == 1 else None
-        self._used, self.table = used, None
-
-    def build(self) -> None:
-        self.table = [(0, 0)] * (1 << self.most)
+        self.symbols, self.lengths = np.zeros(1 << self.most, np.int32), np.zeros(1 << self.most, np.int32)
         code, before = 0, 0
-        for n, s in sorted(self._used):
+        for n, s in used:
             code <<= n - before
             before = n
             start = int(f"{code:0{n}b}"[::-1], 2)
-            self.table[start :: 1 << n] = [(n, s)] * (1 << (self.most - n))
+            self.symbols[start :: 1 << n] = s
+            self.lengths[start :: 1 << n] = n
             code += 1
 
     def read(self, bits: Bits) -> int:
-        if not self.most:
-            return self.symbols[0]
-        if self.table is None:
-            self.build()
-        n, s = self.table[bits.peek(self.most)]
-        bits.window >>= n
-        bits.have -= n
-        return s
+        at = bits.peek(self.most)
+        bits.read(int(self.lengths[at]))
+        return int(self.symbols[at])
+
+    def at(self, window: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Symbols and lengths of the codes that these windows of bits begin with."""
+        i = window & ((1 << self.most) - 1)
+        return self.symbols[i], self.lengths[i]
 
 
 def read_code(bits: Bits, size: int) -> PrefixCode:
@@ -157,8 +159,8 @@ def read_pixels(bits: Bits, width: int, height: int, top: bool) -> np.ndarray:
         meta = (read_pixels(bits, -(-width >> shift), -(-height >> shift), False) >> 8) & 0xFFFF
     groups = [_group(bits, cache_bits) for _ in range(int(meta.max()) + 1 if meta is not None else 1)]
     g = groups[0]
-    if meta is None and not cache_bits and all(c.uniform is not None for c in g[:4]) and max(g[0].symbols) < LITERALS:
-        return _strided(bits, g, width, height)
+    if meta is None:
+        return read_group(bits, g, cache_bits, width, height)
     out = [0] * (width * height)
     cache = [0] * (1 << cache_bits) if cache_bits else []
     cache_shift = 32 - cache_bits
@@ -193,27 +195,108 @@ def read_pixels(bits: Bits, width: int, height: int, top: bool) -> np.ndarray:
     return np.array(out, np.uint32).reshape(height, width)
 
 
-def _strided(bits: Bits, group: list[PrefixCode], width: int, height: int) -> np.ndarray:
-    """Pixels whose channels all have codes of constant length."""
-    n = width * height
-    lengths = [c.uniform for c in group[:4]]
-    stride, start = sum(lengths), bits.place()
-    end = start + n * stride
-    raw = np.frombuffer(bits.data, np.uint8)[start >> 3 : (end + 7) >> 3]
-    flat = np.unpackbits(raw, bitorder="little")[start & 7 : (start & 7) + n * stride].reshape(n, stride)
-    out, at = np.zeros(n, np.uint32), 0
-    for code, length, shift in zip(group[:4], lengths, (8, 16, 0, 24), strict=True):
-        if length:
-            index = np.packbits(flat[:, at : at + length], axis=1)[:, 0] >> (8 - length)
-            out |= np.array(code.symbols, np.uint32)[index] << np.uint32(shift)
+_EXTRA = np.array([0, 0, 0, 0, *((p - 2) >> 1 for p in range(4, DISTANCE_CODES))])  # bits after a length or distance prefix
+_FIRST = np.array([1, 2, 3, 4, *(((2 + (p & 1)) << ((p - 2) >> 1)) + 1 for p in range(4, DISTANCE_CODES))])  # the value if they are 0
+_PLANE_X, _PLANE_Y = np.array(PLANE_OFFSETS).T
+
+
+def read_group(bits: Bits, group: list[PrefixCode], cache_bits: int, width: int, height: int) -> np.ndarray:
+    """Pixels whose codes are all of one group."""
+    green, red, blue, alpha, far = group
+    total, done, place = width * height, 0, bits.place()
+    out = np.zeros(total, np.uint32)
+    if not (green.most or red.most or blue.most or alpha.most):  # no bits at all
+        if green.symbols[0] < LITERALS:
+            out[:] = _argb(green.symbols, red.symbols, blue.symbols, alpha.symbols)[0]
+        return out.reshape(height, width)
+    cache = [0] * (1 << cache_bits) if cache_bits else []
+    cached = 0
+    data = np.frombuffer(bits.data, np.uint8)
+    while done < total:
+        byte = place >> 3
+        n = max(1, min(STRETCH, len(data) - byte + 1, (total - done) * 8 + 8))
+        raw = np.zeros(n + 32, np.uint32)  # past the end there are zeros
+        part = data[byte : byte + n + 32]
+        raw[: len(part)] = part
+        quad = raw[:-3] | raw[1:-2] << np.uint32(8) | raw[2:-1] << np.uint32(16) | raw[3:] << np.uint32(24)
+        window = (quad[:, None] >> np.arange(8, dtype=np.uint32)).ravel().astype(np.int64)  # 25 bits and more from each bit on
+        kind, step = green.at(window[: 8 * n])
+        first = np.arange(8 * n) + step  # where what follows the green code starts
+        after = first.copy()
+        for code in (red, blue, alpha):
+            if code.most:
+                after += code.at(window[after])[1]
+        back = np.flatnonzero(kind >= LITERALS)
+        after[back] = first[back]
+        back = back[kind[back] < LITERALS + LENGTH_CODES]
+        after[back] += _EXTRA[kind[back] - LITERALS]
+        prefix, step = far.at(window[after[back]])
+        after[back] += step + _EXTRA[prefix]
+        starts, at, end, following = [], place - 8 * byte, 8 * n, after.tolist()
+        for _ in range(total - done):
+            if at >= end:
+                break
+            starts.append(at)
+            at = following[at]
+        token = np.array(starts)
+        kind = kind[token]
+        size = np.ones(len(token), np.int64)
+        back = np.flatnonzero((kind >= LITERALS) & (kind < LITERALS + LENGTH_CODES))
+        p, q = kind[back] - LITERALS, first[token[back]]
+        size[back] = _FIRST[p] + (window[q] & ((1 << _EXTRA[p]) - 1))
+        q = q + _EXTRA[p]
+        p, step = far.at(window[q])
+        q = q + step
+        distance = _FIRST[p] + (window[q] & ((1 << _EXTRA[p]) - 1))
+        near = distance <= len(PLANE_OFFSETS)
+        i = distance[near] - 1
+        distance -= len(PLANE_OFFSETS)
+        distance[near] = np.maximum(1, _PLANE_X[i] + _PLANE_Y[i] * width)
+        to = done + np.cumsum(size)
+        here = int(np.searchsorted(to, total)) + 1  # tokens that are still in the picture
+        if here <= len(to):
+            place = 8 * byte + following[starts[here - 1]]
+            if to[here - 1] > total:
+                raise ValueError("a back-reference leaves the picture")
         else:
-            out |= np.uint32(code.symbols[0] << shift)
-        at += length
-    bits.at, bits.window, bits.have = end >> 3, 0, 0
-    bits.read(end & 7)
+            place = 8 * byte + at
+        begin = to - size
+        literal = np.flatnonzero(kind[:here] < LITERALS)
+        q = first[token[literal]]
+        channels = [kind[literal]]
+        for code in (red, blue, alpha):
+            value, step = code.at(window[q])
+            channels.append(value)
+            q = q + step
+        out[begin[literal]] = _argb(*channels)
+        back = np.stack([back, distance], axis=1)[back < here]
+        if ((back[:, 1] > begin[back[:, 0]])).any():
+            raise ValueError("a back-reference leaves the picture")
+        events = [(int(begin[t]), int(size[t]), int(d)) for t, d in back]
+        if cache_bits:
+            asked = np.flatnonzero(kind[:here] >= LITERALS + LENGTH_CODES)
+            events = sorted([*events, *zip(begin[asked].tolist(), [0] * len(asked), (kind[asked] - LITERALS - LENGTH_CODES).tolist(), strict=True)])
+        for i, n, d in events:
+            if n > d:  # repeats what it writes
+                out[i : i + n] = np.resize(out[i - d : i], n)
+            elif n:
+                out[i : i + n] = out[i - d : i - d + n]
+            else:  # the cache takes in pixels when it is asked
+                for v in out[cached:i].tolist():
+                    cache[(CACHE_MULTIPLIER * v & 0xFFFFFFFF) >> (32 - cache_bits)] = v
+                cached = i
+                out[i] = cache[d]
+        done = min(total, int(to[min(here, len(to)) - 1]))
+    bits.at, bits.window, bits.have = place >> 3, 0, 0
+    bits.read(place & 7)
     return out.reshape(height, width)
 
 
+def _argb(green, red, blue, alpha) -> np.ndarray:
+    g, r, b, a = (np.asarray(x).astype(np.uint32) for x in (green, red, blue, alpha))
+    return a << np.uint32(24) | r << np.uint32(16) | g << np.uint32(8) | b
+
+
 def _channels(pixels: np.ndarray) -> np.ndarray:
     return np.ascontiguousarray(pixels.astype("<u4")).view(np.uint8).reshape(*pixels.shape, 4).astype(np.int32)  # b, g, r, a
 
@@ -254,6 +337,12 @@ def invert_predictor(pixels: np.ndarray, modes: np.ndarray, shift: int) -> np.nd
     c[0, 0] = (c[0, 0] + (0, 0, 0, 255)) & 255
     c[0] = np.cumsum(c[0], axis=0) & 255
     kinds = (modes >> 8) & 15
+    if (kinds == 2).all():
+        return _pixels(np.cumsum(c, axis=0))
+    if (kinds == 1).all():
+        c[:, 0] = np.cumsum(c[:, 0], axis=0) & 255
+        c[1:] = np.cumsum(c[1:], axis=1)
+        return _pixels(c)
     for y in range(1, height):
         row, up = c[y], c[y - 1]
         row[0] = (row[0] + up[0]) & 255
@@ -348,23 +437,208 @@ class BitWriter:
         return np.unpackbits(raw, bitorder="little")[: self.n]
 
 
-def _put_code(out: BitWriter, symbols: np.ndarray, length: int, size: int) -> None:
-    """A complete code in which all ``symbols`` have one length; a single symbol takes no bits."""
-    if length == 0:
+def code_lengths(counts: np.ndarray, longest: int) -> list[int]:
+    """Lengths of a complete prefix code fitted to the counts, none above ``longest``; a single symbol has length 1."""
+    used = np.flatnonzero(counts).tolist()
+    out = [0] * len(counts)
+    if len(used) < 2:
+        out[used[0] if used else 0] = 1
+        return out
+    weights = [int(counts[s]) for s in used]
+    while True:
+        heap = [(w, i) for i, w in enumerate(weights)]
+        heapq.heapify(heap)
+        up, n = [0] * (2 * len(used) - 1), len(used)
+        while len(heap) > 1:
+            a = heapq.heappop(heap)
+            b = heap[0]
+            up[a[1]] = up[b[1]] = n
+            heapq.heapreplace(heap, (a[0] + b[0], n))
+            n += 1
+        depth = [0] * n
+        for i in range(n - 2, -1, -1):
+            depth[i] = depth[up[i]] + 1
+        if max(depth[: len(used)]) <= longest:
+            break
+        weights = [(w + 1) // 2 + 1 for w in weights]  # flatter until it fits
+    for s, d in zip(used, depth, strict=False):
+        out[s] = d
+    return out
+
+
+def canonical(lengths: list[int]) -> tuple[np.ndarray, np.ndarray]:
+    """For each symbol its code, first bit lowest, and the bits it takes: none where it is the only one."""
+    codes, sizes = np.zeros(len(lengths), np.int64), np.zeros(len(lengths), np.int64)
+    used = sorted((n, s) for s, n in enumerate(lengths) if n)
+    code, before = 0, 0
+    for n, s in used if len(used) > 1 else ():
+        code <<= n - before
+        before = n
+        codes[s], sizes[s] = int(f"{code:0{n}b}"[::-1], 2), n
+        code += 1
+    return codes, sizes
+
+
+def _runs(lengths: list[int]) -> list[tuple[int, int, int]]:
+    """Code lengths as (symbol, extra, extra bits): runs of zeros and of the last length are shortened."""
+    out, at, last = [], 0, 8
+    while at < len(lengths):
+        n, end = lengths[at], at + 1
+        while end < len(lengths) and lengths[end] == n:
+            end += 1
+        left = end - at
+        at = end
+        if n and n != last:
+            out.append((n, 0, 0))
+            left, last = left - 1, n
+        while left:
+            if n == 0 and left > 2:
+                take = min(left, 138)
+                out.append((18, take - 11, 7) if take > 10 else (17, take - 3, 3))
+            elif n and left > 2:
+                take = min(left, 6)
+                out.append((16, take - 3, 2))
+            else:
+                take = 1
+                out.append((n, 0, 0))
+            left -= take
+    return out
+
+
+def put_code(out: BitWriter, lengths: list[int]) -> None:
+    used = [s for s, n in enumerate(lengths) if n]
+    if len(used) <= 2 and used[-1] < LITERALS:
         out.put(1, 1)
-        out.put(0, 1)
+        out.put(len(used) - 1, 1)
         out.put(1, 1)
-        out.put(int(symbols[0]), 8)
+        for s in used:
+            out.put(s, 8)
         return
     out.put(0, 1)
-    n = CODE_LENGTH_ORDER.index(length) + 1
+    runs = _runs(lengths)
+    own = code_lengths(np.bincount([s for s, _, _ in runs], minlength=19), 7)
+    codes, sizes = (x.tolist() for x in canonical(own))
+    n = max(4, max(i + 1 for i, s in enumerate(CODE_LENGTH_ORDER) if own[s]))
     out.put(n - 4, 4)
-    for s in CODE_LENGTH_ORDER[:n]:  # code lengths 0 and ``length`` take a bit each
-        out.put(int(s in (0, length)), 3)
+    for s in CODE_LENGTH_ORDER[:n]:
+        out.put(own[s], 3)
     out.put(0, 1)
-    has = np.zeros(size, np.uint8)
-    has[symbols] = 1
-    out.put(int.from_bytes(np.packbits(has, bitorder="little").tobytes(), "little"), size)
+    for s, extra, bits in runs:
+        out.put(codes[s] | extra << sizes[s], sizes[s] + bits)
+
+
+def pack(values: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """Bits of values that take ``sizes`` bits each, lowest first."""
+    out = []
+    for a in range(0, len(values), 1 << 16):
+        v, n = values[a : a + (1 << 16)], sizes[a : a + (1 << 16)]
+        ends = np.cumsum(n)
+        place = np.arange(ends[-1] if len(ends) else 0) - np.repeat(ends - n, n)
+        out.append((np.repeat(v, n) >> place & 1).astype(np.uint8))
+    return np.concatenate(out) if out else np.zeros(0, np.uint8)
+
+
+def prefixes(values: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Prefix, extra bits' value and their number for lengths or distance codes from 1."""
+    u = np.maximum(values - 1, 1)
+    top = np.frexp(u.astype(np.float64))[1].astype(np.int64) - 1
+    bits = np.where(values <= 4, 0, top - 1)
+    return np.where(values <= 4, values - 1, 2 * top + (u >> np.maximum(top - 1, 0) & 1)), np.where(values <= 4, 0, u & ((1 << np.maximum(bits, 0)) - 1)), bits
+
+
+def matches(data: bytes) -> np.ndarray:
+    """Repeats worth a back-reference, from left to right: start, length, distance."""
+    x = np.frombuffer(data, np.uint8).astype(np.uint64)
+    n = len(x)
+    if n <= MIN_MATCH:
+        return np.zeros((0, 3), np.int64)
+    key = x[: n - MIN_MATCH + 1].copy()
+    for j in range(1, MIN_MATCH):
+        key |= x[j : n - MIN_MATCH + 1 + j] << np.uint64(8 * j)
+    order = np.argsort(key, kind="stable")
+    same = np.flatnonzero(key[order[1:]] == key[order[:-1]])
+    before = np.full(len(key), -1, np.int64)
+    before[order[same + 1]] = order[same]
+    before[np.arange(len(key)) - before > MOST_DISTANCE] = -1
+    found, end = [], 0
+    at = np.flatnonzero(before >= 0)
+    for i, j in zip(at.tolist(), before[at].tolist(), strict=True):
+        if i < end:
+            continue
+        k, most = MIN_MATCH, min(MOST_LENGTH, n - i)
+        while k + 32 <= most and data[i + k : i + k + 32] == data[j + k : j + k + 32]:
+            k += 32
+        while k < most and data[i + k] == data[j + k]:
+            k += 1
+        found.append((i, k, i - j))
+        end = i + k
+    return np.array(found, np.int64).reshape(-1, 3)
+
+
+_plane_codes: dict[int, dict[int, int]] = {}
+
+
+def _distance_codes(distances: np.ndarray, width: int) -> np.ndarray:
+    if width not in _plane_codes:
+        near: dict[int, int] = {}
+        for code, (x, y) in enumerate(PLANE_OFFSETS, 1):
+            near.setdefault(max(1, x + y * width), code)
+        _plane_codes[width] = near
+    near = _plane_codes[width]
+    return np.array([near.get(d, d + len(PLANE_OFFSETS)) for d in distances.tolist()], np.int64)
+
+
+def _put_picture(out: BitWriter, top: bool, channels: list[np.ndarray], cache_bits: int = 0, found: np.ndarray | None = None, asked: np.ndarray | None = None, width: int = 1) -> np.ndarray:
+    """Header of an entropy-coded picture into ``out``; returns the bits of its pixels.
+
+    channels: green, red, blue and alpha of all pixels; found: back-references; asked: for each pixel its cache entry or -1.
+    """
+    n = len(channels[0])
+    literal = np.ones(n, bool)
+    kind = channels[0].astype(np.int64)
+    token = np.ones(n, bool)
+    far = np.zeros((n, 3), np.int64)
+    length = np.zeros((n, 3), np.int64)
+    if found is not None and len(found):
+        start, size, distance = found.T
+        cover = np.zeros(n + 1, np.int64)
+        cover[start] += 1
+        np.subtract.at(cover, start + size, 1)
+        token = np.cumsum(cover)[:-1] == 0
+        literal &= token
+        token[start] = True
+        length[start] = np.stack(prefixes(size), axis=1)
+        far[start] = np.stack(prefixes(_distance_codes(distance, width)), axis=1)
+        kind[start] = LITERALS + length[start, 0]
+    if asked is not None:
+        hit = asked >= 0
+        literal &= ~hit
+        kind[hit] = LITERALS + LENGTH_CODES + asked[hit]
+    back = token & (kind >= LITERALS) & (kind < LITERALS + LENGTH_CODES)
+    out.put(int(cache_bits > 0), 1)
+    if cache_bits:
+        out.put(cache_bits, 4)
+    if top:
+        out.put(0, 1)  # one group
+    values, sizes = [], []
+    columns = [(kind, LITERALS + LENGTH_CODES + (1 << cache_bits if cache_bits else 0), token)]
+    columns += [(c, LITERALS, literal) for c in channels[1:]] + [(far[:, 0], DISTANCE_CODES, back)]
+    for column, size, mask in columns:
+        lengths = code_lengths(np.bincount(column[mask], minlength=size), LONGEST_CODE)
+        put_code(out, lengths)
+        codes, widths = canonical(lengths)
+        column = np.where(mask, column, 0)
+        values.append(np.where(mask, codes[column], 0))
+        sizes.append(np.where(mask, widths[column], 0))
+    # a token's parts in the order they are read: green or length, its extra bits, red, blue, alpha, distance, its extra bits
+    values = [values[0], length[:, 1], *values[1:], far[:, 1]]
+    sizes = [sizes[0], length[:, 2], *sizes[1:], far[:, 2]]
+    return pack(np.stack(values, axis=1)[token].ravel(), np.stack(sizes, axis=1)[token].ravel())
+
+
+def _entropy(counts: np.ndarray) -> float:
+    c = counts[counts > 0].astype(np.float64)
+    return float((c * np.log2(c.sum() / c)).sum())
 
 
 def file_of(bits: np.ndarray) -> bytes:
@@ -382,58 +656,133 @@ def head(out: BitWriter, width: int, height: int) -> None:
 
 
 def encode_rows(rows: np.ndarray) -> bytes:
-    """One picture of payload rows, each of ROW_BYTES bytes."""
-    used = np.flatnonzero(np.bincount(rows.ravel(), minlength=256))
-    length = (len(used) - 1).bit_length()
-    if len(used) < 1 << length:
-        spare = np.setdiff1d(np.arange(256), used)[: (1 << length) - len(used)]
-        used = np.sort(np.concatenate([used, spare]))
+    """One picture of payload rows, each of ROW_BYTES bytes, in the form that comes out shortest by estimate."""
+    flat = rows.ravel()
+    counts = np.bincount(flat, minlength=256)
+    used = np.flatnonzero(counts)
     out = BitWriter()
-    head(out, WIDTH, len(rows))
-    out.put(0, 3)  # no transform, no colour cache, one group
-    for size in (LITERALS + LENGTH_CODES, LITERALS, LITERALS):
-        _put_code(out, used, length, size)
-    _put_code(out, np.array([255]), 0, LITERALS)
-    _put_code(out, np.array([0]), 0, DISTANCE_CODES)
-    if not length:
-        return file_of(out.bits())
-    codes = np.zeros((256, length), np.uint8)
-    codes[used] = (np.arange(1 << length)[:, None] >> np.arange(length - 1, -1, -1)) & 1
-    order = rows.reshape(-1, 3)[:, [1, 0, 2]]  # green, red, blue
-    return file_of(np.concatenate([out.bits(), codes[order].ravel()]))
+    if len(used) <= 16:
+        return _with_palette(out, rows, used)
+    steps = {0: counts}
+    for mode, axis in ((1, 1), (2, 0)):
+        steps[mode] = np.bincount(np.diff(rows, axis=axis).ravel(), minlength=256) if rows.shape[axis] > 1 else counts
+    mode = min(steps, key=lambda m: _entropy(steps[m]) * (1.0 if m == 0 else flat.size / max(1, steps[m].sum()) * 1.1))
+    if mode:
+        rows = _residual(rows, mode)
+        flat = rows.ravel()
+    data = flat.tobytes()
+    found = matches(data)
+    cover = np.zeros(len(data) + 1, np.int64)
+    cover[found[:, 0]] += 1
+    np.subtract.at(cover, found[:, 0] + found[:, 1], 1)
+    lone = flat[np.cumsum(cover)[:-1] == 0]
+    cost = _entropy(np.bincount(lone)) + 20 * len(found)
+    if not mode:  # three bytes to a pixel and a cache may be shorter
+        with_cache = _with_cache(rows, cost)
+        if with_cache is not None:
+            return with_cache
+    head(out, ROW_BYTES, len(rows))
+    if mode:
+        out.put(1, 1)
+        out.put(0, 2)
+        out.put(7, 3)  # one mode for blocks of 512 pixels, all the same
+        blocks = -(-ROW_BYTES // 512) * -(-len(rows) // 512)
+        _put_picture(out, False, _channels_of(np.full(blocks, mode)))  # one symbol: no bits follow
+    out.put(0, 1)
+    bits = _put_picture(out, True, _channels_of(flat, 0 if mode else 255), found=found, width=ROW_BYTES)  # a predictor starts from opaque black
+    return file_of(np.concatenate([out.bits(), bits]))
+
+
+def _channels_of(green: np.ndarray, alpha: int = 0) -> list[np.ndarray]:
+    """Samples in green, one alpha, nothing else."""
+    nothing = np.zeros(len(green), np.int64)
+    return [green.astype(np.int64), nothing, nothing, nothing + alpha]
+
+
+def _residual(rows: np.ndarray, mode: int) -> np.ndarray:
+    """What predictor 1, from the left, or 2, from above, leaves of the samples."""
+    out = rows.copy()
+    if mode == 2:
+        out[1:] = rows[1:] - rows[:-1]
+        out[0, 1:] = rows[0, 1:] - rows[0, :-1]
+    else:
+        out[:, 1:] = rows[:, 1:] - rows[:, :-1]
+        out[1:, 0] = rows[1:, 0] - rows[:-1, 0]
+    return out
+
+
+def _with_palette(out: BitWriter, rows: np.ndarray, used: np.ndarray) -> bytes:
+    """At most 16 different bytes: two, four or eight samples to a pixel, as indices of a palette."""
+    head(out, ROW_BYTES, len(rows))
+    out.put(1, 1)
+    out.put(3, 2)
+    out.put(len(used) - 1, 8)
+    steps = np.diff(used, prepend=0)
+    opaque = _channels_of(steps)
+    opaque[3] = np.where(np.arange(len(used)) == 0, 255, 0)
+    bits = _put_picture(out, False, opaque)
+    for bit in bits.tolist():
+        out.put(bit, 1)
+    shift = 3 if len(used) <= 2 else 2 if len(used) <= 4 else 1
+    per, size = 1 << shift, 8 >> shift
+    place = np.zeros(256, np.uint8)
+    place[used] = np.arange(len(used))
+    index = place[rows].reshape(len(rows), -1, per).astype(np.uint16) << (np.arange(per, dtype=np.uint16) * size)
+    index = index.sum(axis=2).astype(np.uint8)
+    out.put(0, 1)
+    found = matches(index.tobytes()) if len(used) > 1 else None
+    bits = _put_picture(out, True, _channels_of(index.ravel()), found=found, width=index.shape[1])
+    return file_of(np.concatenate([out.bits(), bits]))
+
+
+def _with_cache(rows: np.ndarray, cost: float) -> bytes | None:
+    """Three bytes to a pixel with a colour cache, if that takes fewer bits than ``cost`` by estimate."""
+    colours = rows.reshape(-1, 3).astype(np.int64)
+    argb = 0xFF << 24 | colours[:, 0] << 16 | colours[:, 1] << 8 | colours[:, 2]
+    entry = (argb * CACHE_MULTIPLIER & 0xFFFFFFFF) >> (32 - CACHE_BITS)
+    order = np.argsort(entry, kind="stable")
+    hit = np.zeros(len(argb), bool)
+    hit[order[1:]] = argb[order[1:]] == argb[order[:-1]]  # one colour has one entry
+    kinds = np.concatenate([colours[~hit, 1], LITERALS + entry[hit]])
+    if _entropy(np.bincount(kinds)) + sum(_entropy(np.bincount(colours[~hit, c])) for c in (0, 2)) >= cost:
+        return None
+    out = BitWriter()
+    head(out, COLOURS, len(rows))
+    out.put(0, 1)
+    bits = _put_picture(out, True, [colours[:, 1], colours[:, 0], colours[:, 2], np.full(len(argb), 255)], CACHE_BITS, asked=np.where(hit, entry, -1))
+    return file_of(np.concatenate([out.bits(), bits]))
 
 
 def store(payload: np.ndarray) -> bytes:
     """A payload of a positive multiple of ROW_BYTES bytes as one or more pictures."""
     rows = payload.reshape(-1, ROW_BYTES)
-    return b"".join(encode_rows(rows[a : a + MAX_SIDE]) for a in range(0, len(rows), MAX_SIDE))
+    return b"".join(encode_rows(rows[a : a + PICTURE_ROWS]) for a in range(0, len(rows), PICTURE_ROWS))
 
 
 def load(media: bytes) -> np.ndarray:
-    """The payload back from its pictures: height x WIDTH x (red, green, blue)."""
+    """The payload's rows back from its pictures."""
     out, at = [], 0
     while at < len(media):
         size = 8 + int.from_bytes(media[at + 4 : at + 8], "little")
         p = decode(media[at : at + size])
-        out.append(np.stack([p >> 16, p >> 8, p], axis=-1).astype(np.uint8))
+        out.append((p >> 8).astype(np.uint8) if p.shape[1] == ROW_BYTES else np.stack([p >> 16, p >> 8, p], axis=-1).astype(np.uint8).reshape(len(p), ROW_BYTES))
         at += size
     return np.concatenate(out)
 
 
-def feature(pixels: np.ndarray) -> str:
-    """Size, channel means and mean step to the right neighbour, in hundredths, from the pixels read back."""
-    p = pixels.astype(np.int64)
-    n = p.shape[0] * p.shape[1]
-    means = p.sum(axis=(0, 1)) * 100 // n
-    steps = np.abs(np.diff(p, axis=1)).sum(axis=(0, 1)) * 100 // (p.shape[0] * (p.shape[1] - 1))
-    return f"{p.shape[1]}x{p.shape[0]} mean {' '.join(map(str, means))} step {' '.join(map(str, steps))}"
+def feature(rows: np.ndarray) -> str:
+    """Size, mean sample and mean step to the right neighbour, in hundredths, from the samples read back."""
+    mean = int(rows.sum(dtype=np.int64)) * 100 // rows.size
+    step = int(np.abs(np.diff(rows.astype(np.int16), axis=1)).sum(dtype=np.int64)) * 100 // (len(rows) * (ROW_BYTES - 1))
+    return f"{ROW_BYTES}x{len(rows)} mean {mean} step {step}"
 
 
 def media_columns(docs: DataFrame, with_media: bool = True) -> DataFrame:
     """Payload and picture figures of every row of ``docs(doc_id, text)``, and the stored bytes if wanted.
 
     The text's UTF-8 bytes (none if null) are padded with 255 to a positive multiple of 576, stored, read back from the
-    stored bytes, and described from what was read.  Equal texts give equal values; a null doc_id stays null.
+    stored bytes, and described from what was read.  Equal texts give equal values; a null doc_id stays null; an empty table gives an
+    empty one.
     """
     names = ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"] + ["media"] * with_media
     kinds = [pa.int64()] * 3 + [pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()] + [pa.binary()] * with_media
@@ -445,9 +794,9 @@ def media_columns(docs: DataFrame, with_media: bool = True) -> DataFrame:
                 raw = (text.as_py() or "").encode()
                 whole = max(1, -(-len(raw) // ROW_BYTES)) * ROW_BYTES
                 media = store(np.frombuffer(raw + b"\xff" * (whole - len(raw)), np.uint8))
-                pixels = load(media)
-                back = pixels.tobytes()
-                values = (i, len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-32:]), len(media), hashlib.sha256(media).hexdigest(), feature(pixels), media)
+                rows = load(media)
+                back = rows.tobytes()
+                values = (i, len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-32:]), len(media), hashlib.sha256(media).hexdigest(), feature(rows), media)
                 for c, v in zip(columns, values, strict=False):
                     c.append(v)
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names)

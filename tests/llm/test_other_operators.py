@@ -96,6 +96,182 @@ def test_languages(spark, sf):
     assert langid.predict(odd, {}).where("lang_pred <> 'und'").count() == 0
 
 
+# --- a WebP decoder of its own, bit by bit and pixel by pixel, for what the encoder writes ---
+class PlainReader:
+    def __init__(self, raw):
+        self.raw, self.at = raw, 0
+
+    def bit(self):
+        out = self.raw[self.at >> 3] >> (self.at & 7) & 1 if self.at >> 3 < len(self.raw) else 0
+        self.at += 1
+        return out
+
+    def number(self, n):
+        return sum(self.bit() << i for i in range(n))
+
+    def code(self, lengths):
+        """(bits as text) -> symbol."""
+        used = [(n, s) for s, n in enumerate(lengths) if n]
+        if len(used) <= 1:
+            return {"": used[0][1] if used else 0}
+        out, code, last = {}, 0, 0
+        for n, s in sorted(used):
+            code <<= n - last
+            last = n
+            out[format(code, f"0{n}b")] = s
+            code += 1
+        return out
+
+    def symbol(self, code):
+        key = ""
+        while key not in code:
+            key += str(self.bit())
+            assert len(key) < 16
+        return code[key]
+
+    def read_lengths(self, size):
+        lengths = [0] * size
+        if self.bit():
+            two, wide = self.bit(), self.bit()
+            lengths[self.number(8 if wide else 1)] = 1
+            if two:
+                lengths[self.number(8)] = 1
+            return lengths
+        own = [0] * 19
+        for i in range(self.number(4) + 4):
+            own[(17, 18, 0, 1, 2, 3, 4, 5, 16, 6, 7, 8, 9, 10, 11, 12, 13, 14, 15)[i]] = self.number(3)
+        assert not self.bit()  # the encoder never stops early
+        code, i, last = self.code(own), 0, 8
+        while i < size:
+            s = self.symbol(code)
+            n = 1 if s < 16 else self.number((2, 3, 7)[s - 16]) + (3, 3, 11)[s - 16]
+            value = s if s < 16 else last if s == 16 else 0
+            lengths[i : i + n] = [value] * n
+            last = value or last
+            i += n
+        assert i == size
+        return lengths
+
+    def value(self, p):
+        if p < 4:
+            return p + 1
+        return ((2 + (p & 1)) << ((p - 2) >> 1)) + self.number((p - 2) >> 1) + 1
+
+    def picture(self, w, h, top):
+        bits = self.number(4) if self.bit() else 0
+        assert not (top and self.bit())
+        codes = [self.code(self.read_lengths(n)) for n in (280 + (bits and 1 << bits), 256, 256, 256, 40)]
+        out, cache = [], [0] * (1 << bits)
+        used = {"references": 0, "cache": 0}
+        while len(out) < w * h:
+            s = self.symbol(codes[0])
+            if s < 256:
+                r, b, a = (self.symbol(c) for c in codes[1:4])
+                new = [(a, r, s, b)]
+            elif s < 280:
+                used["references"] += 1
+                n, d = self.value(s - 256), self.value(self.symbol(codes[4]))
+                if d > 120:
+                    d -= 120
+                else:
+                    x, y = webp.PLANE_OFFSETS[d - 1]
+                    d = max(1, x + y * w)
+                new = []
+                for i in range(n):
+                    new.append(out[len(out) + i - d] if i < d else new[i - d])
+            else:
+                used["cache"] += 1
+                new = [cache[s - 280]]
+            for a, r, g, b in new:
+                out.append((a, r, g, b))
+                if bits:
+                    cache[((a << 24 | r << 16 | g << 8 | b) * 0x1E35A7BD & 0xFFFFFFFF) >> (32 - bits)] = (a, r, g, b)
+        return out, used
+
+
+def plainly_decoded(raw):
+    """(rows of samples, names of the features used) of a file of the encoder's."""
+    size = int.from_bytes(raw[16:20], "little")
+    assert raw[:4] == b"RIFF" and raw[8:16] == b"WEBPVP8L" and int.from_bytes(raw[4:8], "little") + 8 == len(raw) and size + size % 2 + 20 == len(raw)
+    r = PlainReader(raw[20 : 20 + size])
+    assert r.number(8) == 0x2F
+    width, height = r.number(14) + 1, r.number(14) + 1
+    assert r.number(4) == 0
+    w, mode, palette, pack, names = width, None, None, 0, set()
+    while r.bit():
+        kind = r.number(2)
+        if kind == 0:
+            block = r.number(3) + 2
+            px, _ = r.picture(-(-w >> block), -(-height >> block), False)
+            (mode,) = {p[2] for p in px}
+            names.add("predictor")
+        else:
+            assert kind == 3
+            n = r.number(8) + 1
+            steps, _ = r.picture(n, 1, False)
+            palette, now = [], (0, 0, 0, 0)
+            for p in steps:
+                now = tuple((a + b) & 255 for a, b in zip(now, p, strict=True))
+                palette.append(now)
+            pack = 3 if n <= 2 else 2 if n <= 4 else 1 if n <= 16 else 0
+            w = -(-w >> pack)
+            names.add("palette")
+    px, used = r.picture(w, height, True)
+    names |= {k for k, n in used.items() if n}
+    if mode is not None:
+        for i in range(len(px)):
+            x, y = i % w, i // w
+            before = (255, 0, 0, 0) if i == 0 else px[i - 1] if y == 0 or (mode == 1 and x) else px[i - w]
+            px[i] = tuple((a + b) & 255 for a, b in zip(px[i], before, strict=True))
+    if palette is not None:
+        px = [palette[px[y * w + (x >> pack)][2] >> ((x & (1 << pack) - 1) * (8 >> pack)) & (1 << (8 >> pack)) - 1] for y in range(height) for x in range(width)]
+    flat = [p[2] for p in px] if width == 576 else [v for p in px for v in (p[1], p[2], p[3])]
+    return bytes(flat), names
+
+
+def payload_of(raw):
+    return raw + b"\xff" * (max(1, -(-len(raw) // 576)) * 576 - len(raw))
+
+
+def stored_cases():
+    rng = np.random.default_rng(11)
+    word = ["".join(rng.choice(list("abcdefghijklmnop"), rng.integers(2, 8))) for _ in range(60)]
+    prose = " ".join(rng.choice(word, 900)).encode()
+    trio = rng.integers(0, 256, (40, 3)).astype(np.uint8)
+    return {
+        "prose": (prose, {"references"}), "copies": (prose[:700] * 9, {"references"}), "empty": (b"", {"palette"}), "one letter": (b"\xff" * 5000, {"palette"}), "two letters": (bytes(rng.choice([65, 66], 3000).astype(np.uint8)), {"palette"}),
+        "four": (bytes(rng.choice([1, 7, 65, 255], 1500).astype(np.uint8)), {"palette"}), "sixteen": (bytes(rng.integers(240, 256, 2000).astype(np.uint8)), {"palette"}), "rising": (bytes((np.cumsum(rng.integers(0, 3, 576 * 20)) & 255).astype(np.uint8)), {"predictor"}),
+        "columns": (bytes(((np.arange(576) * 37)[None] + np.cumsum(rng.integers(0, 2, (30, 576)), axis=0) & 255).astype(np.uint8).ravel()), {"predictor"}), "colours": (trio[rng.integers(0, 40, 192 * 12)].tobytes(), {"cache"}), "noise": (rng.integers(0, 256, 3000).astype(np.uint8).tobytes(), set()),
+        "all bytes": (bytes(range(256)) * 5, set()), "odd": ("é ü 漢字 🙂 \x00\x01".encode() * 40, {"references"}),
+    }
+
+
+def test_stored_form_by_an_independent_decoder():
+    """Each stored form uses what its payload calls for; both decoders give the payload back."""
+    for name, (raw, wanted) in stored_cases().items():
+        payload = payload_of(raw)
+        media = webp.store(np.frombuffer(payload, np.uint8))
+        back, used = plainly_decoded(media)
+        assert back == payload and webp.load(media).tobytes() == payload, name
+        assert wanted <= used, (name, used)
+        if name == "prose":
+            assert len(media) < 0.5 * len(payload)
+
+
+def test_feature_of_known_samples():
+    rows = np.zeros((2, 576), np.uint8)
+    rows[:, ::2] = 200
+    assert webp.feature(rows) == "576x2 mean 10000 step 20000"
+
+
+def test_long_streams_are_read_in_stretches(monkeypatch):
+    payload = payload_of(stored_cases()["prose"][0] * 3 + bytes(range(256)) * 9)
+    media = webp.store(np.frombuffer(payload, np.uint8))
+    for n in (1, 7, 64):
+        monkeypatch.setattr(webp, "STRETCH", n)
+        assert webp.load(media).tobytes() == payload
+
+
 # --- a WebP writer for the features that the stored form doesn't use ---
 def canonical(lengths):
     code, last, out = 0, 0, {}
@@ -328,11 +504,13 @@ def test_media_columns(spark):
         payload = raw + b"\xff" * (max(1, -(-len(raw) // 576)) * 576 - len(raw))
         assert (r.n_bytes, r.payload_bytes) == (len(raw), len(payload)) and r.payload_sha256 == hashlib.sha256(payload).hexdigest()
         assert r.tail_crc32 == zlib.crc32(payload[-32:]) and r.media_bytes == len(r.media) and r.media_sha256 == hashlib.sha256(r.media).hexdigest()
+        assert r.feature == webp.feature(np.frombuffer(payload, np.uint8).reshape(-1, 576))
     assert got[0][1:] == got[1][1:] and got[4][1:] == got[5][1:]
+    assert webp.media_columns(spark.createDataFrame([], "doc_id long, text string")).count() == 0
 
 
 def test_media_of_more_than_one_picture(monkeypatch):
-    monkeypatch.setattr(webp, "MAX_SIDE", 4)
+    monkeypatch.setattr(webp, "PICTURE_ROWS", 4)
     payload = np.random.default_rng(1).integers(0, 256, 576 * 11).astype(np.uint8)
     media = webp.store(payload)
     assert media.count(b"VP8L") >= 3 and webp.load(media).tobytes() == payload.tobytes()
