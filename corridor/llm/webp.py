@@ -633,7 +633,10 @@ def _put_picture(out: BitWriter, top: bool, channels: list[np.ndarray], cache_bi
     # a token's parts in the order they are read: green or length, its extra bits, red, blue, alpha, distance, its extra bits
     values = [values[0], length[:, 1], *values[1:], far[:, 1]]
     sizes = [sizes[0], length[:, 2], *sizes[1:], far[:, 2]]
-    return pack(np.stack(values, axis=1)[token].ravel(), np.stack(sizes, axis=1)[token].ravel())
+    real = [i for i, x in enumerate(sizes) if x.any()]
+    if not real:
+        return np.zeros(0, np.uint8)
+    return pack(np.stack([values[i][token] for i in real], axis=1).ravel(), np.stack([sizes[i][token] for i in real], axis=1).ravel())
 
 
 def _entropy(counts: np.ndarray) -> float:
