@@ -16,6 +16,7 @@ from __future__ import annotations
 import hashlib
 import heapq
 import zlib
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -43,7 +44,7 @@ MOST_LENGTH, MOST_DISTANCE = 4096, (1 << 20) - 120
 ROW_BYTES = 576  # a row of samples
 COLOURS = 192  # pixels of a row where three bytes make one
 PICTURE_ROWS = 2048
-MIN_MATCH, LONGEST_CODE, CACHE_BITS = 6, 12, 8
+MIN_MATCH, LONGEST_CODE, CACHE_BITS = 8, 12, 8
 STRETCH = 1 << 15  # bytes of a stream that are looked at together
 
 
@@ -76,36 +77,43 @@ class Bits:
         return self.at * 8 - self.have
 
 
+_TURNED = [int(f"{i:015b}"[::-1], 2) for i in range(1 << 15)]  # 15 bits in the other order
+
+
 class PrefixCode:
     """Canonical code from lengths, as tables by the next ``most`` bits: symbol and length."""
 
     def __init__(self, lengths: list[int]) -> None:
         used = sorted((n, s) for s, n in enumerate(lengths) if n) or [(1, 0)]
+        self.table = None
         if len(used) == 1:  # takes no bits
-            self.most, self.symbols, self.lengths = 0, np.array([used[0][1]], np.int32), np.zeros(1, np.int32)
+            self.most, self.symbols, self.lengths = 0, np.array([used[0][1]]), np.zeros(1, np.int64)
             return
         self.most = used[-1][0]
         if sum(1 << (15 - n) for n, _ in used) != 1 << 15:
             raise ValueError("the code isn't complete")
-        self.symbols, self.lengths = np.zeros(1 << self.most, np.int32), np.zeros(1 << self.most, np.int32)
+        self.symbols, self.lengths = np.zeros(1 << self.most, np.int64), np.zeros(1 << self.most, np.int64)
         code, before = 0, 0
         for n, s in used:
             code <<= n - before
             before = n
-            start = int(f"{code:0{n}b}"[::-1], 2)
+            start = _TURNED[code] >> (15 - n)
             self.symbols[start :: 1 << n] = s
             self.lengths[start :: 1 << n] = n
             code += 1
 
     def read(self, bits: Bits) -> int:
-        at = bits.peek(self.most)
-        bits.read(int(self.lengths[at]))
-        return int(self.symbols[at])
+        if self.table is None:
+            self.table = list(zip(self.lengths.tolist(), self.symbols.tolist(), strict=True))
+        n, s = self.table[bits.peek(self.most)]
+        bits.window >>= n
+        bits.have -= n
+        return s
 
     def at(self, window: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Symbols and lengths of the codes that these windows of bits begin with."""
         i = window & ((1 << self.most) - 1)
-        return self.symbols[i], self.lengths[i]
+        return self.symbols.take(i), self.lengths.take(i)
 
 
 def read_code(bits: Bits, size: int) -> PrefixCode:
@@ -197,6 +205,7 @@ def read_pixels(bits: Bits, width: int, height: int, top: bool) -> np.ndarray:
 
 _EXTRA = np.array([0, 0, 0, 0, *((p - 2) >> 1 for p in range(4, DISTANCE_CODES))])  # bits after a length or distance prefix
 _FIRST = np.array([1, 2, 3, 4, *(((2 + (p & 1)) << ((p - 2) >> 1)) + 1 for p in range(4, DISTANCE_CODES))])  # the value if they are 0
+_EIGHT = np.arange(8)
 _PLANE_X, _PLANE_Y = np.array(PLANE_OFFSETS).T
 
 
@@ -219,26 +228,25 @@ def read_group(bits: Bits, group: list[PrefixCode], cache_bits: int, width: int,
         part = data[byte : byte + n + 32]
         raw[: len(part)] = part
         quad = raw[:-3] | raw[1:-2] << np.uint32(8) | raw[2:-1] << np.uint32(16) | raw[3:] << np.uint32(24)
-        window = (quad[:, None] >> np.arange(8, dtype=np.uint32)).ravel().astype(np.int64)  # 25 bits and more from each bit on
-        kind, step = green.at(window[: 8 * n])
-        first = np.arange(8 * n) + step  # where what follows the green code starts
+        window = (quad.astype(np.int64)[:, None] >> _EIGHT).ravel()  # 25 bits and more from each bit on
+        kind, first = green.at(window[: 8 * n])
+        first += np.arange(8 * n)  # where what follows the green code starts
         after = first.copy()
         for code in (red, blue, alpha):
             if code.most:
-                after += code.at(window[after])[1]
+                after += code.at(window.take(after))[1]
         back = np.flatnonzero(kind >= LITERALS)
         after[back] = first[back]
         back = back[kind[back] < LITERALS + LENGTH_CODES]
         after[back] += _EXTRA[kind[back] - LITERALS]
         prefix, step = far.at(window[after[back]])
         after[back] += step + _EXTRA[prefix]
-        starts, at, end, following = [], place - 8 * byte, 8 * n, after.tolist()
-        for _ in range(total - done):
-            if at >= end:
-                break
-            starts.append(at)
+        starts, at, end, following = array("q"), place - 8 * byte, 8 * n, memoryview(after)
+        see = starts.append
+        while at < end:  # past the picture's end this reads on in vain; what it finds there is cut off below
+            see(at)
             at = following[at]
-        token = np.array(starts)
+        token = np.frombuffer(starts, np.int64)
         kind = kind[token]
         size = np.ones(len(token), np.int64)
         back = np.flatnonzero((kind >= LITERALS) & (kind < LITERALS + LENGTH_CODES))
@@ -265,14 +273,18 @@ def read_group(bits: Bits, group: list[PrefixCode], cache_bits: int, width: int,
         q = first[token[literal]]
         channels = [kind[literal]]
         for code in (red, blue, alpha):
+            if not code.most:
+                channels.append(code.symbols)
+                continue
             value, step = code.at(window[q])
             channels.append(value)
             q = q + step
         out[begin[literal]] = _argb(*channels)
-        back = np.stack([back, distance], axis=1)[back < here]
-        if ((back[:, 1] > begin[back[:, 0]])).any():
+        inside = int(np.searchsorted(back, here))
+        back, distance = back[:inside], distance[:inside]
+        if (distance > begin[back]).any():
             raise ValueError("a back-reference leaves the picture")
-        events = [(int(begin[t]), int(size[t]), int(d)) for t, d in back]
+        events = list(zip(begin[back].tolist(), size[back].tolist(), distance.tolist(), strict=True))
         if cache_bits:
             asked = np.flatnonzero(kind[:here] >= LITERALS + LENGTH_CODES)
             events = sorted([*events, *zip(begin[asked].tolist(), [0] * len(asked), (kind[asked] - LITERALS - LENGTH_CODES).tolist(), strict=True)])
@@ -466,15 +478,15 @@ def code_lengths(counts: np.ndarray, longest: int) -> list[int]:
     return out
 
 
-def canonical(lengths: list[int]) -> tuple[np.ndarray, np.ndarray]:
+def canonical(lengths: list[int]) -> tuple[list[int], list[int]]:
     """For each symbol its code, first bit lowest, and the bits it takes: none where it is the only one."""
-    codes, sizes = np.zeros(len(lengths), np.int64), np.zeros(len(lengths), np.int64)
+    codes, sizes = [0] * len(lengths), [0] * len(lengths)
     used = sorted((n, s) for s, n in enumerate(lengths) if n)
     code, before = 0, 0
     for n, s in used if len(used) > 1 else ():
         code <<= n - before
         before = n
-        codes[s], sizes[s] = int(f"{code:0{n}b}"[::-1], 2), n
+        codes[s], sizes[s] = _TURNED[code] >> (15 - n), n
         code += 1
     return codes, sizes
 
@@ -517,7 +529,7 @@ def put_code(out: BitWriter, lengths: list[int]) -> None:
     out.put(0, 1)
     runs = _runs(lengths)
     own = code_lengths(np.bincount([s for s, _, _ in runs], minlength=19), 7)
-    codes, sizes = (x.tolist() for x in canonical(own))
+    codes, sizes = canonical(own)
     n = max(4, max(i + 1 for i, s in enumerate(CODE_LENGTH_ORDER) if own[s]))
     out.put(n - 4, 4)
     for s in CODE_LENGTH_ORDER[:n]:
@@ -538,38 +550,49 @@ def pack(values: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     return np.concatenate(out) if out else np.zeros(0, np.uint8)
 
 
-def prefixes(values: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Prefix, extra bits' value and their number for lengths or distance codes from 1."""
+def _prefix(values: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     u = np.maximum(values - 1, 1)
     top = np.frexp(u.astype(np.float64))[1].astype(np.int64) - 1
     bits = np.where(values <= 4, 0, top - 1)
     return np.where(values <= 4, values - 1, 2 * top + (u >> np.maximum(top - 1, 0) & 1)), np.where(values <= 4, 0, u & ((1 << np.maximum(bits, 0)) - 1)), bits
 
 
+_PREFIXES = _prefix(np.arange(1 << 14))
+
+
+def prefixes(values: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Prefix, extra bits' value and their number for lengths or distance codes from 1."""
+    if values.max() >= len(_PREFIXES[0]):
+        return _prefix(values)
+    return _PREFIXES[0].take(values), _PREFIXES[1].take(values), _PREFIXES[2].take(values)
+
+
 def matches(data: bytes) -> np.ndarray:
     """Repeats worth a back-reference, from left to right: start, length, distance."""
-    x = np.frombuffer(data, np.uint8).astype(np.uint64)
-    n = len(x)
+    n = len(data)
     if n <= MIN_MATCH:
         return np.zeros((0, 3), np.int64)
-    key = x[: n - MIN_MATCH + 1].copy()
-    for j in range(1, MIN_MATCH):
-        key |= x[j : n - MIN_MATCH + 1 + j] << np.uint64(8 * j)
-    order = np.argsort(key, kind="stable")
+    key = np.ndarray(n - MIN_MATCH + 1, "<u8", data, strides=(1,)).copy()  # MIN_MATCH bytes from each on
+    order = np.argsort((key * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(48)).astype(np.uint16), kind="stable")
     same = np.flatnonzero(key[order[1:]] == key[order[:-1]])
     before = np.full(len(key), -1, np.int64)
     before[order[same + 1]] = order[same]
-    before[np.arange(len(key)) - before > MOST_DISTANCE] = -1
+    if n > MOST_DISTANCE:
+        before[np.arange(len(key)) - before > MOST_DISTANCE] = -1
     found, end = [], 0
     at = np.flatnonzero(before >= 0)
+    number = int.from_bytes
     for i, j in zip(at.tolist(), before[at].tolist(), strict=True):
         if i < end:
             continue
         k, most = MIN_MATCH, min(MOST_LENGTH, n - i)
-        while k + 32 <= most and data[i + k : i + k + 32] == data[j + k : j + k + 32]:
-            k += 32
-        while k < most and data[i + k] == data[j + k]:
-            k += 1
+        while k < most:
+            differ = number(data[i + k : i + k + 24], "little") ^ number(data[j + k : j + k + 24], "little")
+            if differ:
+                k += (differ & -differ).bit_length() - 1 >> 3
+                break
+            k += 24
+        k = min(k, most)
         found.append((i, k, i - j))
         end = i + k
     return np.array(found, np.int64).reshape(-1, 3)
@@ -588,55 +611,62 @@ def _distance_codes(distances: np.ndarray, width: int) -> np.ndarray:
     return np.array([near.get(d, d + len(PLANE_OFFSETS)) for d in distances.tolist()], np.int64)
 
 
-def _put_picture(out: BitWriter, top: bool, channels: list[np.ndarray], cache_bits: int = 0, found: np.ndarray | None = None, asked: np.ndarray | None = None, width: int = 1) -> np.ndarray:
+def _put_picture(out: BitWriter, top: bool, channels: list, cache_bits: int = 0, found: np.ndarray | None = None, asked: np.ndarray | None = None, width: int = 1) -> np.ndarray:
     """Header of an entropy-coded picture into ``out``; returns the bits of its pixels.
 
-    channels: green, red, blue and alpha of all pixels; found: back-references; asked: for each pixel its cache entry or -1.
+    channels: green of all pixels, then red, blue and alpha, or a number that all pixels have; found: back-references; asked: for each pixel
+    its cache entry or -1.
     """
-    n = len(channels[0])
-    literal = np.ones(n, bool)
     kind = channels[0].astype(np.int64)
-    token = np.ones(n, bool)
-    far = np.zeros((n, 3), np.int64)
-    length = np.zeros((n, 3), np.int64)
+    token = None
     if found is not None and len(found):
         start, size, distance = found.T
-        cover = np.zeros(n + 1, np.int64)
+        cover = np.zeros(len(kind) + 1, np.int64)
         cover[start] += 1
         np.subtract.at(cover, start + size, 1)
         token = np.cumsum(cover)[:-1] == 0
-        literal &= token
         token[start] = True
-        length[start] = np.stack(prefixes(size), axis=1)
-        far[start] = np.stack(prefixes(_distance_codes(distance, width)), axis=1)
-        kind[start] = LITERALS + length[start, 0]
+        lengths, far = prefixes(size), prefixes(_distance_codes(distance, width))
+        kind[start] = LITERALS + lengths[0]
     if asked is not None:
-        hit = asked >= 0
-        literal &= ~hit
-        kind[hit] = LITERALS + LENGTH_CODES + asked[hit]
-    back = token & (kind >= LITERALS) & (kind < LITERALS + LENGTH_CODES)
+        kind = np.where(asked >= 0, LITERALS + LENGTH_CODES + asked, kind)
+    if token is not None:
+        kind = kind[token]
+        back = np.flatnonzero((kind >= LITERALS) & (kind < LITERALS + LENGTH_CODES))
     out.put(int(cache_bits > 0), 1)
     if cache_bits:
         out.put(cache_bits, 4)
     if top:
         out.put(0, 1)  # one group
-    values, sizes = [], []
-    columns = [(kind, LITERALS + LENGTH_CODES + (1 << cache_bits if cache_bits else 0), token)]
-    columns += [(c, LITERALS, literal) for c in channels[1:]] + [(far[:, 0], DISTANCE_CODES, back)]
-    for column, size, mask in columns:
-        lengths = code_lengths(np.bincount(column[mask], minlength=size), LONGEST_CODE)
-        put_code(out, lengths)
-        codes, widths = canonical(lengths)
-        column = np.where(mask, column, 0)
-        values.append(np.where(mask, codes[column], 0))
-        sizes.append(np.where(mask, widths[column], 0))
+
+    def coded(symbols: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
+        own = code_lengths(np.bincount(symbols, minlength=size), LONGEST_CODE)
+        put_code(out, own)
+        codes, sizes = canonical(own)
+        return np.array(codes).take(symbols), np.array(sizes).take(symbols)
+
     # a token's parts in the order they are read: green or length, its extra bits, red, blue, alpha, distance, its extra bits
-    values = [values[0], length[:, 1], *values[1:], far[:, 1]]
-    sizes = [sizes[0], length[:, 2], *sizes[1:], far[:, 2]]
-    real = [i for i, x in enumerate(sizes) if x.any()]
-    if not real:
-        return np.zeros(0, np.uint8)
-    return pack(np.stack([values[i][token] for i in real], axis=1).ravel(), np.stack([sizes[i][token] for i in real], axis=1).ravel())
+    parts = [coded(kind, LITERALS + LENGTH_CODES + (1 << cache_bits if cache_bits else 0))]
+    if token is not None:
+        parts.append(_placed(len(kind), back, lengths[1], lengths[2]))
+    for c in channels[1:]:
+        if isinstance(c, int):
+            put_code(out, [0] * c + [1])
+            continue
+        literal = np.flatnonzero(kind < LITERALS)
+        parts.append(_placed(len(kind), literal, *coded((c if token is None else c[token])[literal], LITERALS)))
+    if token is None:
+        put_code(out, [1])
+    else:
+        parts += [_placed(len(kind), back, *coded(far[0], DISTANCE_CODES)), _placed(len(kind), back, far[1], far[2])]
+    return pack(np.stack([v for v, _ in parts], axis=1).ravel(), np.stack([n for _, n in parts], axis=1).ravel())
+
+
+def _placed(n: int, at: np.ndarray, values: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Values and sizes at these of n tokens; nothing at the others."""
+    v, s = np.zeros(n, np.int64), np.zeros(n, np.int64)
+    v[at], s[at] = values, sizes
+    return v, s
 
 
 def _entropy(counts: np.ndarray) -> float:
@@ -696,10 +726,9 @@ def encode_rows(rows: np.ndarray) -> bytes:
     return file_of(np.concatenate([out.bits(), bits]))
 
 
-def _channels_of(green: np.ndarray, alpha: int = 0) -> list[np.ndarray]:
+def _channels_of(green: np.ndarray, alpha: int = 0) -> list:
     """Samples in green, one alpha, nothing else."""
-    nothing = np.zeros(len(green), np.int64)
-    return [green.astype(np.int64), nothing, nothing, nothing + alpha]
+    return [green, 0, 0, alpha]
 
 
 def _residual(rows: np.ndarray, mode: int) -> np.ndarray:
@@ -742,7 +771,10 @@ def _with_cache(rows: np.ndarray, cost: float) -> bytes | None:
     """Three bytes to a pixel with a colour cache, if that takes fewer bits than ``cost`` by estimate."""
     colours = rows.reshape(-1, 3).astype(np.int64)
     argb = 0xFF << 24 | colours[:, 0] << 16 | colours[:, 1] << 8 | colours[:, 2]
-    entry = (argb * CACHE_MULTIPLIER & 0xFFFFFFFF) >> (32 - CACHE_BITS)
+    mixed = argb * CACHE_MULTIPLIER & 0xFFFFFFFF
+    if 4 * np.count_nonzero(np.bincount(mixed >> 20)) > len(argb):  # most colours are new
+        return None
+    entry = mixed >> (32 - CACHE_BITS)
     order = np.argsort(entry, kind="stable")
     hit = np.zeros(len(argb), bool)
     hit[order[1:]] = argb[order[1:]] == argb[order[:-1]]  # one colour has one entry
@@ -752,7 +784,7 @@ def _with_cache(rows: np.ndarray, cost: float) -> bytes | None:
     out = BitWriter()
     head(out, COLOURS, len(rows))
     out.put(0, 1)
-    bits = _put_picture(out, True, [colours[:, 1], colours[:, 0], colours[:, 2], np.full(len(argb), 255)], CACHE_BITS, asked=np.where(hit, entry, -1))
+    bits = _put_picture(out, True, [colours[:, 1], colours[:, 0], colours[:, 2], 255], CACHE_BITS, asked=np.where(hit, entry, -1))
     return file_of(np.concatenate([out.bits(), bits]))
 
 
