@@ -93,7 +93,21 @@ def test_languages(spark, sf):
     assert [r[i].lang_pred for i in (1, 2, 3)] == ["und"] * 3 and all(r[i].rejected and r[i].score == 0 for i in (1, 2, 3))
     assert r[4].lang_pred == "en" and 0 <= r[None].score <= 1
     assert langid.identify(spark.createDataFrame([], "doc_id long, text string, lang string")).count() == 0
-    assert langid.predict(odd, {}).where("lang_pred <> 'und'").count() == 0
+    assert langid.predict(odd, langid.Languages()).where("lang_pred <> 'und'").count() == 0
+    # rejected rows are few, and fewer of the others are wrong
+    no = [i for i in out if got[i].rejected]
+    wrong = [i for i in out if got[i].lang_pred != truth[i] and not got[i].rejected]
+    assert d.margin >= langid.LEAST_MARGIN and len(no) / len(out) < 0.02 and len(wrong) / len(out) < 0.005
+
+
+def test_language_margin_is_learned():
+    right, wrong = [(0.1 + i / 1000, True) for i in range(1000)], [(0.002, False), (0.03, False), (0.0, False), (0.9, False)]
+    assert langid.narrow(right) == langid.LEAST_MARGIN and langid.narrow([]) == langid.LEAST_MARGIN
+    assert 0.03 < langid.narrow(right + wrong) < 0.031  # the error at 0.9 would cost too many right ones
+    judge = langid.Judge({"a": b" uno dos tres cuatro " * 20, "b": b" uno dos tres cuatro " * 20, "c": b" one two three four " * 20})
+    told, score = judge.predict("uno dos tres")
+    assert score == 0.0 and told in ("a", "b")  # a tie, whatever the words say
+    assert judge.predict("one two three four one two three")[0] == "c"
 
 
 # --- a WebP decoder of its own, bit by bit and pixel by pixel, for what the encoder writes ---
