@@ -10,8 +10,11 @@ dropped one, and of all such choices the one with the highest sum of log-odds is
 from __future__ import annotations
 
 import html
+import json
 import random
 import re
+from collections import defaultdict
+from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
@@ -43,13 +46,16 @@ TALK = frozenset("comment comments reply replies respond discussion disqus feedb
 _TAG = re.compile(r"<!--.*?(?:-->|\Z)|<![^>]*>|<\?[^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*+)>|<(/?)([a-zA-Z][^\s/>]*)([^>]*)>", re.S)
 _TOKENS = re.compile(r"\b(?:class|id|role|itemprop|aria-label)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
 _CAMEL = re.compile(r"[A-Z]?[a-z]+|[A-Z]+|\d+")
+_COMMENT = re.compile(r"<!--.*", re.S)  # after the last >, only an unclosed comment is markup
+_UNSEEN = re.compile(r"(?:^|\s)hidden(?=[\s/=]|$)(?!\s*=\s*[\"']?(?:until|false))|\baria-hidden\s*=\s*[\"']?true|\bstyle\s*=\s*[\"'][^\"']*display\s*:\s*none", re.I)
+INLINE, HIDDEN, GAP = -1, -2, -3
 _GONE = re.compile(r"\b(?:hidden\b(?!\s*=\s*[\"']?(?:until|false))|aria-hidden\s*=\s*[\"']?true)|display\s*:\s*none", re.I)
 
 TAG_KINDS = {
     "p": 1, "h1": 2, "h2": 3, "h3": 3, "h4": 3, "h5": 3, "h6": 3, "li": 4, "ul": 5, "ol": 5, "dl": 5, "dir": 5, "menu": 5, "div": 6, "center": 6, "section": 7, "article": 8, "main": 9, "nav": 10, "header": 11, "footer": 12,
     "aside": 13, "form": 14, "fieldset": 14, "button": 14, "legend": 14, "table": 15, "tr": 15, "td": 15, "th": 15, "tbody": 15, "thead": 15, "blockquote": 16, "pre": 17, "figure": 18, "figcaption": 18, "dialog": 19, "address": 20,
 }
-N_FEATURES = 40
+N_FEATURES = 41
 
 
 class Page:
@@ -87,13 +93,20 @@ def characters(text: str) -> str:
 
 
 def read(source: str) -> Page:
-    """The blocks and segments of a page; unclosed and stray tags are mended as browsers do in the common cases."""
+    """The blocks and segments of a page; unclosed and stray tags are mended as browsers do in the common cases.
+
+    The text of raw elements, of noscript and of hidden inline elements is left out.  Every tag takes constant time: where the nearest open
+    element of a name is, is kept by name, and an inline element that is closed out of order leaves a gap.
+    """
     page = Page()
     parent, tags, own, chars, links, anchors, inputs, inline = page.parent, page.tag, page.own, page.chars, page.links, page.anchors, page.inputs, page.inline
-    stack: list[tuple[str, int]] = [("html", 0)]  # open elements; the block's index, or -1 for inline ones
-    block, in_link, buffer = 0, 0, []
-    lower = None
+    stack: list[tuple[str, int]] = [("html", 0)]  # open elements; the block's index, or one of INLINE, HIDDEN and GAP
+    places: dict[str, list[int]] = defaultdict(list)  # where in the stack each name is open, without the root
+    blocks: list[int] = [0]  # where in the stack blocks are open
+    block, in_link, hidden, buffer = 0, 0, 0, []
+    lower, absent = None, set()
     at, n = 0, len(source)
+    last = source.rfind(">")
 
     def flush() -> None:
         text = " ".join("".join(buffer).split())
@@ -101,31 +114,42 @@ def read(source: str) -> Page:
         if text:
             page.segments.append((block, text))
 
+    def forget(name: str, i: int) -> None:
+        nonlocal in_link, hidden
+        if i != GAP:
+            places[name].pop()
+            in_link -= name == "a"
+            hidden -= i == HIDDEN
+
     def pop_to(depth: int) -> None:
-        nonlocal block, in_link
+        nonlocal block
         flush()
-        for name, i in stack[depth:]:
-            if name == "a":
-                in_link -= 1
-        del stack[depth:]
-        for _, i in reversed(stack):
+        while len(stack) > depth:
+            name, i = stack.pop()
             if i >= 0:
-                block = i
-                break
+                blocks.pop()
+            forget(name, i)
+        block = stack[blocks[-1]][1]
+
+    def take_out(d: int) -> None:
+        """Close the inline element at d, which is the nearest of its name."""
+        forget(*stack[d])
+        stack[d] = ("", GAP)
+        while stack[-1][1] == GAP:
+            stack.pop()
+
+    def nearest(names) -> int:
+        return max((places[x][-1] for x in names if places[x]), default=0)
 
     def opened(names, fences) -> int:
-        for d in range(len(stack) - 1, 0, -1):
-            if stack[d][0] in names:
-                return d
-            if stack[d][0] in fences:
-                break
-        return 0
+        d = nearest(names)
+        return d if d > nearest(fences) else 0
 
     search = _TAG.search
     while at < n:
-        m = search(source, at)
+        m = search(source, at) if at <= last else _COMMENT.search(source, at)
         end = m.start() if m else n
-        if end > at:
+        if end > at and not hidden:
             text = characters(source[at:end])
             buffer.append(text)
             size = len(text) - text.count(" ")
@@ -135,7 +159,7 @@ def read(source: str) -> Page:
         if not m:
             break
         at = m.end()
-        name = m[2] or m[5]
+        name = (m[2] or m[5]) if m.re is _TAG else None
         if not name:
             continue
         name = name.lower()
@@ -143,20 +167,19 @@ def read(source: str) -> Page:
             if name == "br":
                 buffer.append(" ")
                 continue
-            d = opened(HEADINGS if name in HEADINGS else (name,), () if name in BLOCKS else BLOCKS)
-            if d:
-                if name in BLOCKS:
-                    pop_to(d)
-                else:
-                    if name == "a":
-                        in_link -= 1
-                    del stack[d]
+            d = nearest(HEADINGS if name in HEADINGS else (name,))
+            if d and name in BLOCKS:
+                pop_to(d)
+            elif d > blocks[-1]:
+                take_out(d)
             continue
         if name in RAW:
             lower = lower or source.lower()
-            stop = lower.find(f"</{name}", at)
-            if name == "noscript" or stop < 0 and name in ("object", "select", "svg", "math", "canvas"):
-                continue
+            stop = -1 if name in absent else lower.find(f"</{name}", at)
+            if stop < 0:
+                absent.add(name)
+                if name in ("object", "select", "svg", "math", "canvas", "noscript"):
+                    continue
             if name in ("select", "textarea"):
                 inputs[block] += 1
             at = source.find(">", stop) + 1 if stop >= 0 else n
@@ -177,22 +200,21 @@ def read(source: str) -> Page:
             inline[block] += 1
             if name == "a":
                 if in_link:  # links don't nest
-                    d = opened(("a",), ())
-                    if d:
-                        del stack[d]
-                        in_link -= 1
+                    take_out(nearest(("a",)))
                 anchors[block] += 1
                 in_link += 1
-            stack.append((name, -1))
+            gone = bool(attributes and _UNSEEN.search(attributes))
+            hidden += gone
+            places[name].append(len(stack))
+            stack.append((name, HIDDEN if gone else INLINE))
             continue
         if name == "html" or name == "body" and "body" in tags[:4]:  # opened once
             continue
         if name in CLOSES_P:
-            d = opened(("p",), BLOCKS - {"p"})
-            if d:
-                pop_to(d)
+            if stack[blocks[-1]][0] == "p":
+                pop_to(blocks[-1])
         if name == "body":
-            d = opened(("head",), ())
+            d = nearest(("head",))
             if d:
                 pop_to(d)
         if name in HEADINGS and stack[-1][0] in HEADINGS:
@@ -207,11 +229,25 @@ def read(source: str) -> Page:
         own.append(_attribute_counts(attributes) if attributes else (0, 0, 0, 0))
         for x in (chars, links, anchors, inputs, inline):
             x.append(0)
+        places[name].append(len(stack))
+        blocks.append(len(stack))
         stack.append((name, block))
     flush()
     return page
 
 
+def levels(parent: np.ndarray) -> tuple[np.ndarray, list[np.ndarray]]:
+    """Depth of each block, roots at 0, and the blocks of each depth; parents come before their children."""
+    depth = [0] * len(parent)
+    for i, p in enumerate(parent.tolist()):
+        if p != i:
+            depth[i] = depth[p] + 1
+    depth = np.array(depth, np.int64)
+    order = np.argsort(depth, kind="stable")
+    cuts = np.searchsorted(depth[order], np.arange(int(depth.max()) + 1 if len(depth) else 0))
+    return depth, np.split(order, cuts[1:]) if len(depth) else []
+
+
 def features(pages: list[Page]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Feature rows of all blocks of all pages, the index of each block's parent (its own for roots), and where pages start."""
     sizes = np.array([len(p.tag) for p in pages])
@@ -236,24 +272,15 @@ def features(pages: list[Page]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     flags = np.stack([kind == 1, kind == 2, kind == 4, np.ones(total), kind == 3], axis=1).astype(np.float64)
     sums = np.concatenate([np.stack([chars, links, anchors, inputs, inline, words, stops, segs], axis=1), flags], axis=1)
     sub, deep = sums.copy(), longest.copy()
-    depth = np.zeros(total)
-    # parents come before children, so levels can be done one by one
-    up = parent.copy()
-    live = ~root
-    while live.any():
-        depth[live] += 1
-        live[live] = ~root[up[live]]
-        up = parent[up]
-    for level in range(int(depth.max()) if total else 0, 0, -1):
-        at = np.flatnonzero(depth == level)
+    depth, rows = levels(parent)
+    for at in reversed(rows[1:]):
         np.add.at(sub, parent[at], sub[at])
         np.maximum.at(deep, parent[at], deep[at])
     page_of = np.repeat(np.arange(len(pages)), sizes)
     whole = sub[first[:-1]][page_of] if total else sub
     tagged = np.stack([own[:, 0], own[:, 1], own[:, 2], own[:, 3], np.isin(kind, (10, 11, 12, 13, 14, 19)), np.isin(kind, (8, 9)), kind == 14, np.isin(kind, (4, 5))], axis=1)
     above = np.zeros_like(tagged)
-    for level in range(1, (int(depth.max()) if total else 0) + 1):
-        at = np.flatnonzero(depth == level)
+    for at in rows[1:]:
         above[at] = np.maximum(above[parent[at]], tagged[parent[at]])
     # siblings: order by parent, then by place
     order = np.lexsort((np.arange(total), parent))
@@ -363,19 +390,13 @@ def decode(log_odds: np.ndarray, parent: np.ndarray, first: np.ndarray) -> np.nd
     """Best consistent choice: which blocks are kept, with every kept block's ancestors kept too; roots always are."""
     s = np.clip(log_odds, -6, 6)
     root = parent == np.arange(len(parent))
-    depth = np.zeros(len(s), np.int64)
-    up, live = parent.copy(), ~root
-    while live.any():
-        depth[live] += 1
-        live[live] = ~root[up[live]]
-        up = parent[up]
+    _, rows = levels(parent)
     keep, drop = s.copy(), -s
-    levels = [np.flatnonzero(depth == d) for d in range(int(depth.max()) + 1 if len(s) else 0)]
-    for at in reversed(levels[1:]):
+    for at in reversed(rows[1:]):
         np.add.at(drop, parent[at], drop[at])
         np.add.at(keep, parent[at], np.maximum(keep[at], drop[at]))
     chosen = root.copy()
-    for at in levels[1:]:
+    for at in rows[1:]:
         chosen[at] = chosen[parent[at]] & (keep[at] > drop[at])
     return chosen
 
@@ -553,16 +574,32 @@ def labelled(source: str) -> tuple[Page, np.ndarray]:
 
 
 TRAINING_PAGES, TRAINING_SEED = 2000, 11
-_fitted: list[Trees] = []
+FITTED = Path(__file__).with_name("html_trees.json")
+_model: list[Trees] = []
+
+
+def fit() -> Trees:
+    """Trees fitted on TRAINING_PAGES generated pages; half a minute of one core."""
+    pairs = [labelled(s) for s in generated(TRAINING_PAGES, TRAINING_SEED)]
+    x, _, _ = features([p for p, _ in pairs])
+    return Trees().fit(x, np.concatenate([k for _, k in pairs]).astype(float))
+
+
+def store(trees: Trees, path: Path = FITTED) -> None:
+    """Write fitted trees; ``python -m corridor.llm.htmlextract`` does it for those of ``fit``."""
+    values = {"depth": trees.depth, "start": trees.start, "feature": trees.feature.tolist(), "edge": [[None if np.isinf(v) else float(v) for v in row] for row in trees.edge], "leaf": [[round(v, 9) for v in row] for row in trees.leaf.tolist()]}
+    path.write_text(json.dumps(values))
 
 
 def model() -> Trees:
-    """The trees, fitted once in a process on TRAINING_PAGES generated pages."""
-    if not _fitted:
-        pairs = [labelled(s) for s in generated(TRAINING_PAGES, TRAINING_SEED)]
-        x, _, _ = features([p for p, _ in pairs])
-        _fitted.append(Trees().fit(x, np.concatenate([k for _, k in pairs]).astype(float)))
-    return _fitted[0]
+    """The fitted trees that come with the package."""
+    if not _model:
+        values = json.loads(FITTED.read_text())
+        trees = Trees(rounds=len(values["leaf"]), depth=values["depth"])
+        trees.start, trees.feature, trees.leaf = values["start"], np.array(values["feature"]), np.array(values["leaf"])
+        trees.edge = np.array([[np.inf if v is None else v for v in row] for row in values["edge"]], np.float32)
+        _model.append(trees)
+    return _model[0]
 
 
 def main_texts(sources: list[str | None], trees: Trees) -> list[str]:
@@ -581,7 +618,8 @@ def extract(pages: DataFrame, trees: Trees | None = None, step: int = 512) -> Da
     """page_id, url, text and n_chars of every row of ``pages(page_id, url, html)``, from the whole html.
 
     Character references are decoded, white space inside a block becomes one space, blocks are joined by a line feed.  A null or empty
-    html, or one without main text, gives an empty text.  Ids and urls are passed on as they are, null or repeated.
+    html, or one without main text, gives an empty text.  Ids and urls are passed on as they are, null or repeated.  An empty table gives
+    an empty one; other columns are left out, whatever their names.
     """
     fitted = trees or model()
 
@@ -595,3 +633,7 @@ def extract(pages: DataFrame, trees: Trees | None = None, step: int = 512) -> Da
 
     rows = bounded(pages).select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
     return rows.mapInArrow(tidy(run), "page_id long, url string, text string, n_chars long")
+
+
+if __name__ == "__main__":
+    store(fit())

@@ -36,6 +36,55 @@ def test_main_text(spark):
     assert [r.text for r in got] == [STORY, "", "", "", STORY, ""] and got[0].n_chars == len(STORY)
 
 
+def test_extraction_against_brute_force(spark):
+    """Every page of the given table: the blocks of its article, cut out by hand, with references decoded and white space squeezed."""
+    import html
+    import re
+
+    pages = spark.read.parquet("/root/testdata/sf0.01/pages.parquet").collect()
+    want = {}
+    for r in pages:
+        article = re.search(r"<article>(.*?)</article>", r.html, re.S)
+        blocks = re.split(r"</?(?:p|h1|h2|h3|ul|ol|li|blockquote|pre|div)\b[^>]*>", article[1]) if article else []
+        lines = [" ".join(html.unescape(re.sub(r"<[^>]*>", lambda m: " " if m[0] == "<br>" else "", b)).split()) for b in blocks]
+        want[r.page_id] = "\n".join(x for x in lines if x)
+    got = queries.queries()["op1_html_extraction"](spark, "/root/testdata/sf0.01").collect()
+    assert len(got) == len(pages) and {r.page_id: r.text for r in got} == want
+    assert all(r.n_chars == len(r.text) for r in got)
+
+
+def test_hidden_text_goes():
+    start, end = "<body><article><h1>Title of it all</h1><p>Some text of the article that goes on for a while. ", "</p><p>Another paragraph with a few more words in it.</p></article></body>"
+    for odd, left in (
+        ("<noscript>Please enable it</noscript>And more.", "And more."), ("<span hidden>not <b>this</b> one</span>And more.", "And more."), ("<span style='color:red; display: none'>no</span><i aria-hidden=true>x</i>And more.", "And more."),
+        ("<span class='hidden-xs'>And</span> more.", "And more."), ("<b hidden=until-found>And</b> more.", "And more."), ("<span hidden>all that follows <i>in</i> here", ""), ("<noscript>And more.", "And more."),
+    ):
+        got = htmlextract.main_texts([start + odd + end], htmlextract.model())[0].split("\n")
+        assert got == ["Title of it all", f"Some text of the article that goes on for a while. {left}".strip(), "Another paragraph with a few more words in it."], odd
+
+
+def test_hostile_pages_take_little_time():
+    import time
+
+    hostile = ["<b>x</i>" * 20000, "<i>" * 20000 + "<b>" * 20000 + "</i>" * 20000, "<a x" * 40000, "<!a" * 50000, "<object>" * 20000, '<a b="' * 30000, "<!-- " * 40000, "<div>" * 10000 + "x", "<b>" * 10000 + "<div>x</div>" * 10000]
+    for p in hostile:
+        at = time.process_time()
+        htmlextract.main_texts([p], htmlextract.model())
+        assert time.process_time() - at < 2, p[:20]
+
+
+def test_stored_trees_are_the_fitted_ones():
+    fitted, stored = htmlextract.fit(), htmlextract.model()
+    x = np.random.default_rng(1).normal(size=(500, htmlextract.N_FEATURES)).astype(np.float32) * 10
+    assert np.abs(fitted.log_odds(x) - stored.log_odds(x)).max() < 1e-5
+
+
+def test_extraction_of_nothing(spark):
+    empty = spark.createDataFrame([], "page_id long, url string, html string, text string, n_chars int")
+    got = htmlextract.extract(empty)
+    assert got.count() == 0 and got.columns == ["page_id", "url", "text", "n_chars"]
+
+
 def test_generated_pages_and_consistency():
     pages = [htmlextract.labelled(s) for s in htmlextract.generated(150, 99)]
     x, parent, first = htmlextract.features([p for p, _ in pages])
