@@ -122,6 +122,22 @@ def test_url_parts_rules_and_scores(spark):
         assert abs(r.score - (1 / (1 + np.exp(-z / len(g) / urlfilter.UNIT)) if g else 0)) < 2e-6
 
 
+def test_url_model_on_held_out_words():
+    """Names and paths of the test split share no word with the training split, so this is what unseen words get: about three in four."""
+    bias, weights = urlfilter.model()
+    right = {}
+    for split in ("train", "test"):
+        rows = urlfilter.labelled_urls(split)
+        right[split] = np.mean([(sum(weights[g] for g in urlfilter.grams(h + p)) + bias * len(urlfilter.grams(h + p)) >= 0) == bool(label) for h, p, label in rows])
+        assert 0.45 < np.mean([label for _, _, label in rows]) < 0.55
+    assert right["train"] > 0.95 and right["test"] > 0.7
+    assert not {(h, p) for h, p, _ in urlfilter.labelled_urls("train")} & {(h, p) for h, p, _ in urlfilter.labelled_urls("test")}
+
+
+def test_urls_of_nothing(spark):
+    assert urlfilter.judge(spark.createDataFrame([], "page_id long, url string, rule string")).count() == 0
+
+
 def test_url_query_against_sql(spark, sf):
     con = duckdb.connect()
     con.execute(f"create view pages as select * from '{sf}/pages.parquet'")
