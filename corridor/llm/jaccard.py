@@ -10,9 +10,12 @@ can only count too much.  Equal sets are one class from the start.
 Candidates.  Among the documents left, shingles are ordered by frequency, then hash, and linked documents agree on one of the
 first n - ceil(t n) + 1 of either.  Documents that meet there, directly or over others, form a cluster.
 
-Counting.  Inside a cluster, cut into tiles where it is large, the overlaps of all pairs are counted fragment by fragment as
-products of 0/1 matrices over the shingles that at least two members share, and the partial counts are summed per pair.
-The test is in integers.  Tiles return a spanning forest of their links, so nothing is emitted per pair of documents.
+Counting.  Inside a cluster, cut into tiles where it is large, the overlaps of all pairs of two tiles are counted vertically: each
+document's shingles are cut at the same places of the global order into ``FRAGMENTS`` pieces, a task has one fragment of one pair of
+tiles, and counts the partial overlaps as products of 0/1 matrices over the shingles that two members share.  A pair that misses more in
+one fragment than a link may miss in all is dropped there.  The partial counts of the others travel as one packed row for a fragment of a
+pair of tiles, are summed per pair, and tested in integers.  A pair of tiles returns a spanning forest of its links, so
+no row is ever a pair of documents.
 """
 
 from __future__ import annotations
@@ -28,7 +31,10 @@ from corridor.llm import texthash as T
 from corridor.llm.components import components, spanning_stars
 from corridor.runtime import cut
 
-TILE_DOCS, TILE_GRAMS = 1024, 1 << 21
+TILE_DOCS, TILE_GRAMS = 256, 1 << 20
+FRAGMENT_BITS = 2
+FRAGMENTS = 1 << FRAGMENT_BITS
+MOST_PARTS = 1 << 14  # of the filter's exchange: a slice of input sends a pack to each at most
 BROADCAST_ROWS = 1 << 20
 U32 = np.uint64(32)
 
@@ -91,7 +97,7 @@ def _groups(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def shared_counts(docs: DataFrame, sim: Similarity, total: int) -> DataFrame:
     """(s1, shared): for each set, how many of its shingles some other set has; at times a few too many, never too few."""
-    tasks = max(8, total >> 21)
+    tasks = min(MOST_PARTS, max(8, total >> 21))
     parts, key_of = tasks, T.even_keys(tasks).astype(np.int32)
     sums = max(8, tasks // 4)
     sum_key = T.even_keys(sums).astype(np.int32)
@@ -119,15 +125,13 @@ def shared_counts(docs: DataFrame, sim: Similarity, total: int) -> DataFrame:
                 order = np.argsort(seen_part, kind="stable")
                 seen, seen_part = seen[order], seen_part[order]
                 short, seen = (h >> U32).astype(np.uint32), (seen >> U32).astype(np.uint32)
-                a, b = np.searchsorted(part, np.arange(parts + 1)), np.searchsorted(seen_part, np.arange(parts + 1))
+                there = np.union1d(np.union1d(part, seen_part), [0])  # only parts that get something, and one for what is known here
                 rows = []
-                for p in range(parts):
-                    if a[p] == a[p + 1] and b[p] == b[p + 1] and p:
-                        continue
-                    first, run = _groups(own[a[p] : a[p + 1]])
-                    n = np.diff(np.append(first, a[p + 1] - a[p])).astype(np.uint32)
+                for p, x, y, u, v in zip(there.tolist(), *(np.searchsorted(c, there, side) for c in (part, seen_part) for side in ("left", "right")), strict=True):
+                    first, run = _groups(own[x:y])
+                    n = np.diff(np.append(first, y - x)).astype(np.uint32)
                     local = (known.tobytes(), n_known.astype(np.uint32).tobytes()) if p == 0 else (b"", b"")
-                    rows.append((p, short[a[p] : a[p + 1]].tobytes(), own[a[p] : a[p + 1]][first].tobytes(), n.tobytes(), seen[b[p] : b[p + 1]].tobytes(), *local))
+                    rows.append((p, short[x:y].tobytes(), own[x:y][first].tobytes(), n.tobytes(), seen[u:v].tobytes(), *local))
                 columns = list(zip(*rows, strict=True))
                 yield pa.RecordBatch.from_arrays([pa.array(key_of[list(columns[0])]), *(pa.array(c, pa.binary()) for c in columns[1:])], ["part", "grams", "sets", "sizes", "seen", "known", "n_known"])
 
@@ -223,45 +227,63 @@ def _candidates(left: DataFrame, sim: Similarity) -> DataFrame:
     return prefix.join(least, "gram").where("doc_id <> least").select(F.col("doc_id").alias("a"), F.col("least").alias("b")).distinct()
 
 
-def overlaps(h: np.ndarray, row: np.ndarray, rows: int, column: np.ndarray, other: int, columns: int, fragments: int = 8) -> np.ndarray:
-    """Intersection sizes of ``rows`` x ``columns`` sets; the global order is cut into fragments, whose counts are summed.
-
-    h and row have the shingles of both sides; ``other`` is the first row of the right side.
-    """
-    out = np.zeros((rows, columns), np.float32)
+def overlaps(h: np.ndarray, row: np.ndarray, left: int, right: int, columns: int = 4096) -> np.ndarray:
+    """Intersection sizes of the first ``left`` sets with the ``right`` ones after them, or with each other if there are none."""
+    out = np.zeros((left, right or left), np.float32)
     order = np.argsort(h, kind="stable")
     h, row = h[order], row[order]
     new = np.ones(len(h), bool)
     new[1:] = h[1:] != h[:-1]
     gram = np.cumsum(new) - 1
-    shared = np.bincount(gram)[gram] > 1
+    shared = np.bincount(gram)[gram] > 1 if len(gram) else new
     gram, row = gram[shared], row[shared]
     if not len(gram):
         return out
     gram = np.unique(gram, return_inverse=True)[1]
-    step = max(256, min(4096, -(-(int(gram[-1]) + 1) // fragments)))
+    step = min(columns, int(gram[-1]) + 1)
     for a in range(0, int(gram[-1]) + 1, step):
         lo, hi = np.searchsorted(gram, (a, a + step))
-        m = np.zeros((rows + columns if other else rows, step), np.float32)
+        m = np.zeros((left + right, step), np.float32)
         m[row[lo:hi], gram[lo:hi] - a] = 1
-        out += m[:rows] @ (m[other:] if other else m).T
+        out += m[:left] @ (m[left:] if right else m).T
     return out
 
 
-def _tile_links(left: list, right: list | None, sim: Similarity):
-    """Links that span two lists of (doc id, hashes), or one: (a, b)."""
-    both = left + (right or [])
-    h = np.concatenate([x for _, x in both])
-    size = np.array([len(x) for _, x in both])
-    row = np.repeat(np.arange(len(both)), size)
-    inter = overlaps(h, row, len(left), row, len(left) if right else 0, len(right) if right else len(left)).astype(np.int64)
-    a, b = size[: len(left)], size[len(left) :] if right else size
-    linked = sim.den * inter >= sim.num * (a[:, None] + b[None, :] - inter)
-    if right is None:
-        np.fill_diagonal(linked, False)
-    x, y = np.nonzero(linked)
-    ids = np.array([i for i, _ in both])
-    return spanning_stars(ids[x], ids[len(left) + y] if right else ids[y])
+def need(sim: Similarity, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Smallest overlap that links sets of these sizes, for all pairs."""
+    return -(-sim.num * (a[:, None] + b[None, :]) // (sim.den + sim.num))
+
+
+def partial_counts(sim: Similarity, pieces: list[np.ndarray], sizes: np.ndarray, left: int) -> tuple[np.ndarray, np.ndarray]:
+    """Of all pairs of the first ``left`` documents with those after them (with each other if there are none): whether the pair can still be linked
+    as far as this fragment tells, and the partial overlaps of those that can, in order.
+
+    pieces: the shingles that each document has in the fragment; sizes: of its whole set.
+    """
+    right = len(pieces) - left
+    own = np.array([len(p) for p in pieces])
+    count = overlaps(np.concatenate(pieces), np.repeat(np.arange(len(pieces)), own), left, right).astype(np.int64)
+    cols = slice(left, None) if right else slice(None)
+    least = need(sim, sizes[:left], sizes[cols])
+    able = (own[:left, None] - count <= sizes[:left, None] - least) & (own[None, cols] - count <= sizes[None, cols] - least)
+    if not right:
+        able = np.triu(able, 1)
+    return able, count[able]
+
+
+def pack_counts(able: np.ndarray, count: np.ndarray) -> tuple[bytes, bytes]:
+    kind = np.uint8 if not len(count) or count.max() < 256 else np.uint32
+    return np.packbits(able).tobytes(), bytes([kind().itemsize]) + count.astype(kind).tobytes()
+
+
+def sum_counts(packed: list[tuple[bytes, bytes]], pairs: int) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs that no fragment has dropped, and the sums of their partial counts."""
+    masks = [np.unpackbits(np.frombuffer(m, np.uint8), count=pairs).astype(bool) for m, _ in packed]
+    able = np.logical_and.reduce(masks)
+    total = np.zeros(int(able.sum()), np.int64)
+    for mask, (_, raw) in zip(masks, packed, strict=True):
+        total += np.frombuffer(raw, np.uint8 if raw[0] == 1 else np.uint32, offset=1)[able[mask]]
+    return np.flatnonzero(able), total
 
 
 def links(docs: DataFrame, classes: DataFrame, sim: Similarity, total: int) -> DataFrame:
@@ -283,26 +305,51 @@ def links(docs: DataFrame, classes: DataFrame, sim: Similarity, total: int) -> D
     # small clusters share units by hash; of a large one, every pair of tiles is a unit
     pairs = F.expr("transform(sequence(0, tiles - 1), j -> struct(least(tile, j) as i, greatest(tile, j) as j))")
     near = near.withColumn("pair", F.explode(pairs)).select(
-        "doc_id", "component", "tile", F.col("pair.i").alias("i"), F.col("pair.j").alias("j"),
+        "doc_id", "component", "tile", "n_shingles", F.col("pair.i").alias("i"), F.col("pair.j").alias("j"),
         F.when(F.col("tiles") == 1, F.pmod(F.xxhash64("component"), F.lit(units))).otherwise(F.xxhash64("component", "pair")).alias("unit"),
-    )
+    )
+    # the global order is that of the hashes; its first bits name the fragment
+    cut_up = F.expr(f"transform(sequence(0, {FRAGMENTS - 1}), f -> filter(grams, g -> shiftrightunsigned(g, {64 - FRAGMENT_BITS}) = f))")
+    pieces = grams.select("doc_id", F.posexplode(cut_up).alias("fragment", "piece"))
+
+    def count(table: pa.Table) -> pa.Table:
+        groups: dict[tuple, list] = {}
+        names = ("component", "i", "j", "tile", "doc_id", "n_shingles")
+        for (c, i, j, *row), g in zip(zip(*(table.column(x).to_pylist() for x in names), strict=True), (x for chunk in table.column("piece").chunks for x in chunk), strict=True):
+            groups.setdefault((c, i, j), []).append((*row, np.asarray(g.values).view(np.uint64)))
+        rows = []
+        for (c, i, j), docs in groups.items():
+            docs.sort(key=lambda d: (d[0] != i, d[1]))  # one order in all fragments
+            left = sum(d[0] == i for d in docs)
+            if not left or i != j and left == len(docs):
+                continue
+            ids, sizes = np.array([d[1] for d in docs]), np.array([d[2] for d in docs])
+            rows.append((c, i, j, left, ids.tobytes(), sizes.tobytes(), *pack_counts(*partial_counts(sim, [d[3] for d in docs], sizes, left))))
+        columns = list(zip(*rows, strict=True)) or [()] * 8
+        kinds = [pa.int64(), pa.int32(), pa.int32(), pa.int32(), *[pa.binary()] * 4]
+        return pa.Table.from_arrays([pa.array(x, k) for x, k in zip(columns, kinds, strict=True)], ["component", "i", "j", "left", "ids", "sizes", "able", "counts"])
 
     def judge(table: pa.Table) -> pa.Table:
-        groups: dict[tuple, tuple[list, list]] = {}
-        names = ("component", "i", "j", "tile", "doc_id")
-        for (c, i, j, t, d), g in zip(zip(*(table.column(x).to_pylist() for x in names), strict=True), (x for chunk in table.column("grams").chunks for x in chunk), strict=True):
-            groups.setdefault((c, i, j), ([], []))[int(t != i)].append((d, np.asarray(g.values).view(np.uint64)))
-        us, vs = [], []
-        for (_, i, j), (one, two) in groups.items():
-            if i != j and not (one and two):
-                continue
-            u, v = _tile_links(one, two if i != j else None, sim)
+        groups: dict[tuple, list] = {}
+        for r in table.to_pylist():
+            groups.setdefault((r["component"], r["i"], r["j"]), []).append(r)
+        us, vs = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        for rows in groups.values():
+            ids, sizes = (np.frombuffer(rows[0][x], np.int64) for x in ("ids", "sizes"))
+            left = rows[0]["left"]
+            skip = left if left < len(ids) else 0  # where the second tile begins
+            across = len(ids) - skip
+            at, total = sum_counts([(r["able"], r["counts"]) for r in rows], left * across)
+            x, y = at // across, at % across + skip
+            linked = sim.den * total >= sim.num * (sizes[x] + sizes[y] - total)
+            u, v = spanning_stars(ids[x[linked]], ids[y[linked]])
             us.append(u)
             vs.append(v)
-        cat = lambda x: pa.array(np.concatenate(x) if x else np.zeros(0, np.int64), pa.int64())
-        return pa.table({"a": cat(us), "b": cat(vs)})
+        return pa.table({"a": pa.array(np.concatenate(us)), "b": pa.array(np.concatenate(vs))})
 
-    return near.join(grams.select("doc_id", "grams"), "doc_id").groupBy("unit").applyInArrow(T.tidy(judge), "a long, b long")
+    partial = near.join(pieces, "doc_id").groupBy("unit", "fragment").applyInArrow(T.tidy(count), "component long, i int, j int, left int, ids binary, sizes binary, able binary, counts binary")
+    meet = F.pmod(F.xxhash64("component", "i", "j"), F.lit(units * FRAGMENTS))  # small clusters share a call
+    return partial.withColumn("meet", meet).groupBy("meet").applyInArrow(T.tidy(judge), "a long, b long")
 
 
 def jaccard_components(docs: DataFrame, sim: Similarity = Similarity()) -> DataFrame:

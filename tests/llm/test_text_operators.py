@@ -81,6 +81,33 @@ def test_large_clusters_are_tiled(spark, docs, monkeypatch):
     assert sorted(jaccard.jaccard_components(docs, jaccard.Similarity(3, 90)).where("doc_id is not null").collect()) == want
 
 
+@pytest.mark.parametrize("left", [0, 7])
+def test_partial_counts_sum_to_overlaps(left):
+    """Fragments of the order, counted apart, dropped early and summed per pair, against sets."""
+    rng = np.random.default_rng(2)
+    base = rng.integers(0, 1 << 63, 60).astype(np.uint64) * np.uint64(2) + np.uint64(1)
+    sets = [np.unique(np.where(rng.random(60) < 0.06, rng.integers(0, 1 << 63, 60).astype(np.uint64), base)) for _ in range(20)] + [np.unique(rng.integers(0, 1 << 63, 50).astype(np.uint64))]
+    sim = jaccard.Similarity(3, 80)
+    sizes = np.array([len(s) for s in sets])
+    top = np.uint64(64 - jaccard.FRAGMENT_BITS)
+    packed = [jaccard.pack_counts(*jaccard.partial_counts(sim, [s[s >> top == np.uint64(f)] for s in sets], sizes, left or len(sets))) for f in range(jaccard.FRAGMENTS)]
+    across = len(sets) - left
+    at, total = jaccard.sum_counts(packed, (left or len(sets)) * across)
+    got = {(int(a), int(b), int(n)) for a, b, n in zip(at // across, at % across + left, total, strict=True) if 100 * n >= 80 * (sizes[a] + sizes[b] - n)}
+    want = set()
+    for a in range(left or len(sets)):
+        for b in range(left or a + 1, len(sets)):
+            n = len(np.intersect1d(sets[a], sets[b]))
+            if 100 * n >= 80 * (sizes[a] + sizes[b] - n):
+                want.add((a, b, n))
+    assert got == want and len(want) > 20
+
+
+def test_jaccard_of_nothing(spark):
+    got = jaccard.jaccard_components(spark.createDataFrame([], SCHEMA))
+    assert got.count() == 0 and got.columns == ["doc_id", "n_shingles", "component_id"]
+
+
 def removal(rows, n=13):
     first = {}
     for i, t, *_ in rows:
