@@ -6,8 +6,9 @@ of their id, to parts of bounded bytes; every step reads that one exchange.
 1. Prefix counts.  Suffixes are counted by a cell of their first ``PREFIX`` words, over all documents, in a table of fixed
    size.  Cells are dealt to groups until a group's budget is full; a cell above the budget is extended, that is, its
    suffixes are told apart by all words of the window (the longer prefix) and go to several groups.
-2. Lone suffixes go.  A part sends a short print of each of its windows once; a window whose print no other document has
-   can't lie under a node of two leaves, and isn't sent on.  Prints that meet by chance only let a suffix through.
+2. Lone suffixes go.  A part sends a short print of each of its windows once, as gaps of sorted numbers, and is told by a bit for each
+   which of them another part has too.  The others can't lie under a node of two leaves, and aren't sent on.  Prints that meet by
+   chance only let a suffix through.
 3. Subtrees.  The suffixes left go to the group of their prefix as the words themselves, down to the window's depth, coded by a
    dictionary that comes along.  A group sorts its suffixes by words, takes the longest common prefix of each with the one
    before, and so has the subtree: suffixes between which it never falls below the window are the leaves of one deep
@@ -26,6 +27,7 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -34,8 +36,8 @@ from corridor.llm import texthash as T
 PREFIX, CELLS = 3, 1 << 14
 GROUP_WINDOWS = 1 << 20
 PART_BYTES, LEAST_PARTS = 4 << 20, 64
-PRINT_GROUP = 1 << 21  # prints that a task of step 2 gets, about
-U32 = np.uint64(32)
+PRINT_BITS, PRINT_GROUP = 24, 1 << 18  # of a print, and prints that share a space of that size, about
+MOST_TASKS = 1 << 13  # of step 2
 
 
 def _runs(keys: np.ndarray) -> np.ndarray:
@@ -103,10 +105,31 @@ def laid_out(docs: DataFrame, parts: int, carry: tuple[str, ...] = ()) -> DataFr
     return docs.select(part.alias("part"), doc_id.alias("doc_id"), text.alias("text"), *(F.col(c).alias(f"__{i}") for i, c in enumerate(carry)))
 
 
+def _squeeze(gaps: np.ndarray) -> bytes:
+    """Non-negative numbers, byte plane by byte plane, compressed."""
+    x = gaps.astype("<u8")
+    planes = max(1, -(-int(x.max()).bit_length() // 8)) if len(x) else 1
+    return bytes([planes]) + zstandard.compress(np.ascontiguousarray(x.view(np.uint8).reshape(-1, 8)[:, :planes].T).tobytes(), 1)
+
+
+def _unsqueeze(raw: bytes) -> np.ndarray:
+    planes = np.frombuffer(zstandard.decompress(raw[1:]), np.uint8).reshape(raw[0], -1)
+    out = np.zeros((planes.shape[1], 8), np.uint8)
+    out[:, : raw[0]] = planes.T
+    return out.view("<i8").ravel()
+
+
+def _gaps(numbers: np.ndarray) -> np.ndarray:
+    """First number and steps of a sorted array; ids may be negative."""
+    return np.diff(numbers.astype(np.int64), prepend=np.int64(0)) if len(numbers) else numbers
+
+
 class PartWindows:
-    """Windows of the documents of a part that have an id: word index, 64-bit label and document id of each."""
+    """Windows of the documents of a part that have an id, its rows ordered by id and text: word index, 64-bit label and document id of each."""
 
     def __init__(self, table: pa.Table, window: int) -> None:
+        table = table.take(pc.sort_indices(table, [("doc_id", "ascending"), ("text", "ascending")]))
+        self.table = table
         texts = table.column("text").combine_chunks() if table.num_rows else pa.array([], pa.string())
         ids = table.column("doc_id").combine_chunks()
         self.w = T.words(texts)
@@ -124,6 +147,14 @@ class PartWindows:
         last = np.append(at[1:], len(h)) - 1 if len(at) else at
         return h[at], own[at] != own[last]
 
+    def printed(self, groups: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Sorted labels, whether the part alone makes them shared, and of the others the index, group and print, in order of the last two."""
+        h, sure = self.shared()
+        to = (h % np.uint64(groups)).astype(np.int64)
+        mark = ((h >> np.uint64(32)) & np.uint64((1 << PRINT_BITS) - 1)).astype(np.int64)
+        order = np.lexsort((mark, to))
+        return h, sure, order, to[order], mark[order]
+
     def paths(self, keep: np.ndarray, window: int) -> Paths:
         """The windows of this mask, sorted by label and document, and the words on their paths."""
         i = np.flatnonzero(keep)
@@ -168,137 +199,128 @@ def _unblob(lengths: bytes, data: bytes) -> pa.Array:
     return pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(off) - 1, [None, pa.py_buffer(off.tobytes()), pa.py_buffer(data)])
 
 
-def _narrow(x: np.ndarray) -> bytes:
-    """Numbers from 0 as 2 or 4 bytes each; a leading byte says which."""
-    kind = np.uint16 if not x.size or x.max() < 1 << 16 else np.uint32
-    return bytes([kind().itemsize]) + x.astype(kind).tobytes()
-
-
-def _wide(raw: bytes) -> np.ndarray:
-    return np.frombuffer(raw, np.uint16 if raw[0] == 2 else np.uint32, offset=1).astype(np.int64)
-
-
-SENT = "key int, part int, ids binary, labels binary, codes binary, lengths binary, words binary"
+SENT = "key int, part int, n int, low long, ids binary, places binary, codes binary, lengths binary, words binary"
 
 
 def prints(laid: DataFrame, window: int, groups: int) -> DataFrame:
-    """(part, prints): sorted 64-bit places of the windows that may occur in a document of another part too."""
-    key_of = T.even_keys(groups).astype(np.int32)
+    """(part, to, bits): for each part and group of prints, which of the part's prints some other part has."""
+    tasks = min(groups, MOST_TASKS)
+    key_of = T.even_keys(tasks).astype(np.int32)
 
     def send(table: pa.Table) -> pa.Table:
         part = table.column("part")[0].as_py()
-        h, sure = PartWindows(table, window).shared()
-        to = (h % np.uint64(groups)).astype(np.int64)
-        order = np.argsort(to, kind="stable")
-        h, sure, to = (h[order] >> U32).astype(np.uint32), sure[order], to[order]
-        full, spans = _spans(to)
-        one, many = ([h[a:b][m[a:b]].tobytes() for a, b in spans] for m in (~sure, sure))
+        _, sure, order, to, mark = PartWindows(table, window).printed(groups)
+        sure = sure[order]
+        rows = []
+        for g, (a, b) in zip(*_spans(to), strict=True):
+            rows.append((int(key_of[g % tasks]), int(g), part, *(_squeeze(_gaps(mark[a:b][m])) for m in (~sure[a:b], sure[a:b]))))
+        columns = list(zip(*rows, strict=True)) or [()] * 5
         T.release()
-        return pa.table({"key": pa.array(key_of[full]), "to": pa.array(full.astype(np.int32)), "part": pa.array([part] * len(full), pa.int32()), "one": pa.array(one, pa.binary()), "many": pa.array(many, pa.binary())})
+        return pa.Table.from_arrays([pa.array(c, k) for c, k in zip(columns, (pa.int32(), pa.int32(), pa.int32(), pa.binary(), pa.binary()), strict=True)], ["key", "to", "part", "one", "many"])
 
     def meet(batches):
-        one, many = [], []
+        who, one, many = [], [], []
         for batch in batches:
             for to, part, x, y in zip(*(batch.column(c).to_pylist() for c in ("to", "part", "one", "many")), strict=True):
-                one.append((part, np.frombuffer(x, np.uint32).astype(np.uint64) | np.uint64(to) << U32))
-                many.append(np.frombuffer(y, np.uint32).astype(np.uint64) | np.uint64(to) << U32)
-        if not one:
+                who.append((part, to))
+                one.append(np.cumsum(_unsqueeze(x)) | to << PRINT_BITS)
+                many.append(np.cumsum(_unsqueeze(y)) | to << PRINT_BITS)
+        if not who:
             return
-        key = np.concatenate([x for _, x in one])
-        part = np.repeat(np.array([p for p, _ in one]), [len(x) for _, x in one])
-        sure = np.unique(np.concatenate(many))
+        key, sure = np.concatenate(one), np.unique(np.concatenate(many))
         order = np.argsort(key, kind="stable")
-        key, part = key[order], part[order]
-        new = _runs(key)
+        new = _runs(key[order])
         again = ~new
         again[:-1] |= ~new[1:]
-        if len(sure):
-            again |= sure[np.minimum(np.searchsorted(sure, key), len(sure) - 1)] == key
-        key, part = key[again], part[again]
-        order = np.argsort(part, kind="stable")
-        key, part = key[order], part[order]
-        full, spans = _spans(part)
-        if len(full):
-            yield pa.RecordBatch.from_arrays([pa.array(full.astype(np.int32)), pa.array([key[a:b].tobytes() for a, b in spans], pa.binary())], ["part", "prints"])
+        met = np.zeros(len(key), bool)
+        met[order] = again
+        if len(sure) and len(key):
+            met |= sure[np.minimum(np.searchsorted(sure, key), len(sure) - 1)] == key
+        ends = np.cumsum([len(x) for x in one])
+        rows = [(part, to, np.packbits(met[b - len(x) : b]).tobytes()) for (part, to), x, b in zip(who, one, ends, strict=True)]
+        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int32(), pa.int32(), pa.binary()), strict=True)], ["part", "to", "bits"])
 
     sent = laid.groupBy("part").applyInArrow(send, "key int, to int, part int, one binary, many binary")
-    return sent.repartition(groups, "key").mapInArrow(T.tidy(meet), "part int, prints binary")
+    return sent.repartition(tasks, "key").mapInArrow(T.tidy(meet), "part int, to int, bits binary")
 
 
-def repeated_windows(laid: DataFrame, window: int, counts: np.ndarray, budget: int = GROUP_WINDOWS, least: int = 128) -> DataFrame:
-    """(part, ids, labels): packed pairs of a document id and a window's label, where the window starts in a smaller document too."""
+def repeated_windows(laid: DataFrame, window: int, counts: np.ndarray, budget: int = GROUP_WINDOWS, least: int = 32) -> DataFrame:
+    """(part, places): packed word places, in the part's order, at which a window starts that starts in a smaller document of another part."""
     first, width, groups = deal(counts, budget, least)
     print_groups = max(LEAST_PARTS, int(counts.sum()) // PRINT_GROUP)
     key_of = T.even_keys(groups).astype(np.int32)
+    kinds = (pa.int32(), pa.int32(), pa.int32(), pa.int64(), *[pa.binary()] * 5)
 
     def send(key, left: pa.Table, right: pa.Table) -> pa.Table:
         rows = []
         if left.num_rows:
             windows = PartWindows(left, window)
-            h, sure = windows.shared()
-            if right.num_rows:
-                met = np.sort(np.concatenate([np.frombuffer(x.as_buffer(), np.uint64) for x in right.column("prints")]))
-                place = (h >> U32) | (h % np.uint64(print_groups)) << U32
-                sure |= met[np.minimum(np.searchsorted(met, place), len(met) - 1)] == place
+            h, sure, order, to, _ = windows.printed(print_groups)
+            lone = order[~sure[order]]
+            to = to[~sure[order]]
+            for g, bits in zip(right.column("to").to_pylist(), right.column("bits").to_pylist(), strict=True):
+                a, b = np.searchsorted(to, (g, g + 1))
+                sure[lone[a:b]] = np.unpackbits(np.frombuffer(bits, np.uint8), count=b - a).astype(bool)
             if sure.any():
                 rows = packs(left.column("part")[0].as_py(), windows, windows.paths(sure[np.searchsorted(h, windows.label)], window))
-        columns = list(zip(*rows, strict=True)) if rows else [()] * 7
+        columns = list(zip(*rows, strict=True)) or [()] * len(kinds)
         T.release()
-        return pa.Table.from_arrays([pa.array(columns[0], pa.int32()), pa.array(columns[1], pa.int32()), *(pa.array(c, pa.binary()) for c in columns[2:])], [c.split()[0] for c in SENT.split(", ")])
+        return pa.Table.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], [c.split()[0] for c in SENT.split(", ")])
 
     def packs(part: int, windows: PartWindows, p: Paths) -> list[tuple]:
         """A path of the part once, by group."""
         i, path = p.index[p.new], p.codes[p.new]
-        label, own = windows.label[i], windows.own[i]
-        cell = _cells(windows.w, windows.at[i], window)
-        group = first[cell] + (label >> np.uint64(20)).astype(np.int64) % width[cell]
+        order = np.argsort(windows.at[i], kind="stable")  # by place, which is by document too
+        i, path = i[order], path[order]
+        at, own = windows.at[i], windows.own[i]
+        cell = _cells(windows.w, at, window)
+        group = first[cell] + (windows.label[i] >> np.uint64(20)).astype(np.int64) % width[cell]
         order = np.argsort(group, kind="stable")
         rows = []
         for g, (x, y) in zip(*_spans(group[order]), strict=True):
             mine = order[x:y]
-            codes, local = np.unique(path[mine], return_inverse=True)
-            rows.append((int(key_of[g % groups]), part, own[mine].tobytes(), label[mine].tobytes(), _narrow(local.ravel()), *_blob(p.words.take(pa.array(codes)))))
+            codes, local, often = np.unique(path[mine], return_inverse=True, return_counts=True)
+            by = np.argsort(-often, kind="stable")  # frequent words get small codes
+            rank = np.empty(len(by), np.int64)
+            rank[by] = np.arange(len(by))
+            low = int(own[mine[0]])
+            rows.append((int(key_of[g % groups]), part, len(mine), low, _squeeze(_gaps(own[mine] - low)), _squeeze(_gaps(at[mine])), _squeeze(rank[local.ravel()]), *map(zstandard.compress, _blob(p.words.take(pa.array(codes[by]))))))
         return rows
 
     def subtree(batches):
-        mine = []
-        for batch in batches:
-            mine += [tuple(r.values()) for r in batch.select(["part", "ids", "labels", "codes", "lengths", "words"]).to_pylist()]
+        mine = [tuple(r.values()) for batch in batches for r in batch.select(["part", "n", "low", "ids", "places", "codes", "lengths", "words"]).to_pylist()]
         if not mine:
             return
-        words = pa.concat_arrays([_unblob(r[4], r[5]) for r in mine]).dictionary_encode()
+        blobs = [_unblob(zstandard.decompress(r[6]), zstandard.decompress(r[7])) for r in mine]
+        words = pa.concat_arrays(blobs).dictionary_encode()
         rank = np.empty(len(words.dictionary), np.int32)
         rank[pc.sort_indices(words.dictionary).to_numpy()] = np.arange(len(rank), dtype=np.int32)
         symbol = rank[words.indices.to_numpy(zero_copy_only=False)]
         at, paths = 0, []
-        for r in mine:
-            paths.append(symbol[_wide(r[3]) + at].reshape(-1, window))
-            at += len(r[4]) // 4
+        for r, blob in zip(mine, blobs, strict=True):
+            paths.append(symbol[_unsqueeze(r[5]) + at].reshape(-1, window))
+            at += len(blob)
         path = np.concatenate(paths)
-        own, label = (np.concatenate([np.frombuffer(r[c], kind) for r in mine]) for c, kind in ((1, np.int64), (2, np.uint64)))
-        part = np.repeat(np.array([r[0] for r in mine]), [len(r[1]) // 8 for r in mine])
+        own = np.concatenate([np.cumsum(_unsqueeze(r[3])) + r[2] for r in mine])
+        place = np.concatenate([np.cumsum(_unsqueeze(r[4])) for r in mine])
+        part = np.repeat(np.array([r[0] for r in mine]), [r[1] for r in mine])
         mine.clear()
         paths.clear()
         order = np.lexsort((own, *path.T[::-1]))  # suffixes by words, of equal ones the smallest document first
-        path, own, label, part = path[order], own[order], label[order], part[order]
+        path, own, place, part = path[order], own[order], place[order], part[order]
         common = np.zeros(len(path), np.int64)  # words that a suffix shares with the one before
         common[1:] = np.logical_and.accumulate(path[1:] == path[:-1], axis=1).sum(axis=1)
         node = np.cumsum(common < window) - 1  # leaves of one node at the window's depth or below
         later = own > own[common < window][node]
-        own, label, part = own[later], label[later], part[later]
-        order = np.argsort(part, kind="stable")
-        rows = [(int(p), own[order[x:y]].tobytes(), label[order[x:y]].tobytes()) for p, (x, y) in zip(*_spans(part[order]), strict=True)]
+        place, part = place[later], part[later]
+        order = np.lexsort((place, part))
+        rows = [(int(p), _squeeze(_gaps(place[order[x:y]]))) for p, (x, y) in zip(*_spans(part[order]), strict=True)]
         if rows:
-            p, o, lab = zip(*rows, strict=True)
-            yield pa.RecordBatch.from_arrays([pa.array(p, pa.int32()), pa.array(o, pa.binary()), pa.array(lab, pa.binary())], ["part", "ids", "labels"])
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int32(), pa.binary()), strict=True)], ["part", "places"])
 
     met = prints(laid, window, print_groups)
     sent = laid.groupBy("part").cogroup(met.groupBy("part")).applyInArrow(send, SENT)
-    return sent.repartition(groups, "key").mapInArrow(T.tidy(subtree), "part int, ids binary, labels binary")
-
-
-def _pair(own: np.ndarray, label: np.ndarray) -> np.ndarray:
-    return T.mix(own.view(np.uint64)) ^ label
+    return sent.repartition(groups, "key").mapInArrow(T.tidy(subtree), "part int, places binary")
 
 
 def remove_repeats(docs: DataFrame, window: int = 13, cutter: Callable | None = None, columns: str = "n_words long, n_removed long, kept string", carry: tuple[str, ...] = ()) -> DataFrame:
@@ -324,8 +346,11 @@ def remove_repeats(docs: DataFrame, window: int = 13, cutter: Callable | None =
 
     def cut_out(key, left: pa.Table, right: pa.Table) -> pa.Table:
         windows = PartWindows(left, window)
-        own, label = (np.concatenate([np.zeros(0, kind), *(np.frombuffer(x.as_buffer(), kind) for x in right.column(c))]) for c, kind in (("ids", np.int64), ("labels", np.uint64)))
-        gone = np.isin(_pair(windows.own, windows.label), _pair(own, label))
+        left = windows.table
+        told = np.concatenate([np.zeros(0, np.int64), *(np.cumsum(_unsqueeze(x)) for x in right.column("places").to_pylist())])
+        told = np.searchsorted(windows.at, told)
+        pair = T.mix(windows.own.view(np.uint64)) ^ windows.label
+        gone = np.isin(pair, pair[told])  # wherever the document has that window
         h, sure = windows.shared()
         if sure.any():
             p = windows.paths(sure[np.searchsorted(h, windows.label)], window)
