@@ -1,7 +1,7 @@
 """Removal of word sequences that also occur in an earlier document, by prefix-partitioned suffix trees.
 
 Symbols are words, suffixes start at words, and only nodes at least a window deep matter.  Documents are dealt once, by a hash
-of their id, to parts of bounded bytes; every step reads that one exchange.
+of their text, to parts of bounded bytes; every step reads that one exchange.
 
 1. Prefix counts.  Suffixes are counted by a cell of their first ``PREFIX`` words, over all documents, in a table of fixed
    size.  Cells are dealt to groups until a group's budget is full; a cell above the budget is extended, that is, its
@@ -32,10 +32,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corridor.llm import texthash as T
+from corridor.runtime import cut
 
 PREFIX, CELLS = 3, 1 << 14
-GROUP_WINDOWS = 1 << 20
-PART_BYTES, LEAST_PARTS = 4 << 20, 64
+GROUP_WINDOWS = 1 << 21
+PART_BYTES, LEAST_PARTS = 6 << 20, 48
+BROADCAST_ROWS = 1 << 20
 PRINT_BITS, PRINT_GROUP = 24, 1 << 18  # of a print, and prints that share a space of that size, about
 MOST_TASKS = 1 << 13  # of step 2
 
@@ -98,11 +100,19 @@ def deal(counts: np.ndarray, budget: int, least: int) -> tuple[np.ndarray, np.nd
     return first, width, group + 1
 
 
-def laid_out(docs: DataFrame, parts: int, carry: tuple[str, ...] = ()) -> DataFrame:
-    """(part, doc_id, text, carried columns): equal ids share a part unless their texts differ; a null id goes by its text."""
+def laid_out(docs: DataFrame, parts: int, carry: tuple[str, ...] = (), part_bytes: int = PART_BYTES) -> DataFrame:
+    """(part, doc_id, text, carried columns): equal texts share a part, so their paths are sent once; a text whose copies alone would fill
+    half a part is spread over several parts by its ids."""
     doc_id, text = F.col("doc_id").cast("long"), F.col("text").cast("string")
-    part = F.pmod(F.xxhash64(doc_id, text), F.lit(parts)).cast("int")
-    return docs.select(part.alias("part"), doc_id.alias("doc_id"), text.alias("text"), *(F.col(c).alias(f"__{i}") for i, c in enumerate(carry)))
+    by = F.coalesce(F.xxhash64(text), F.lit(0))
+    rows = docs.select(by.alias("__by"), doc_id.alias("doc_id"), text.alias("text"), *(F.col(c).alias(f"__{i}") for i, c in enumerate(carry)))
+    weight = F.sum(F.coalesce(F.octet_length("text"), F.lit(0)) + 64)
+    hot = rows.groupBy("__by").agg(weight.alias("weight")).where(F.col("weight") > part_bytes // 2)
+    hot = cut(hot.select(F.col("__by").alias("__hot"), F.ceil(F.col("weight") / (part_bytes // 2)).alias("spread")))  # at most two for each part's bytes
+    hot = F.broadcast(hot) if hot.count() <= BROADCAST_ROWS else hot
+    rows = rows.join(hot, F.col("__by") == F.col("__hot"), "left")
+    own = F.when(F.col("spread").isNull(), F.lit(0)).otherwise(F.pmod(F.xxhash64("doc_id"), F.col("spread")))
+    return rows.select(F.pmod(F.col("__by") + own, F.lit(parts)).cast("int").alias("part"), "doc_id", "text", *(f"__{i}" for i in range(len(carry))))
 
 
 def _squeeze(gaps: np.ndarray) -> bytes:
@@ -298,7 +308,7 @@ def repeated_windows(laid: DataFrame, window: int, counts: np.ndarray, budget: i
         symbol = rank[words.indices.to_numpy(zero_copy_only=False)]
         at, paths = 0, []
         for r, blob in zip(mine, blobs, strict=True):
-            paths.append(symbol[_unsqueeze(r[5]) + at].reshape(-1, window))
+            paths.append(symbol[_unsqueeze(r[5]) + at].reshape(-1, window))  # 4 bytes a word
             at += len(blob)
         path = np.concatenate(paths)
         own = np.concatenate([np.cumsum(_unsqueeze(r[3])) + r[2] for r in mine])

@@ -168,6 +168,10 @@ def test_substring_parts_are_even(spark):
     laid = substring.laid_out(spark.createDataFrame(rows, "doc_id long, text string"), 128)
     load = [r["count"] for r in laid.groupBy("part").count().collect()]
     assert len(load) == 128 and max(load) < 3 * 4000 / 128
+    copies = [(i, "one text for very many") for i in range(3000)] + rows
+    laid = substring.laid_out(spark.createDataFrame(copies, "doc_id long, text string"), 128, (), 1 << 13)
+    load = [r["count"] for r in laid.groupBy("part").count().collect()]
+    assert sum(load) == 7000 and max(load) < 200  # 3000 copies are spread, too
 
 
 def test_substring_of_nothing(spark):
