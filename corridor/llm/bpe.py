@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from corridor.llm.texthash import bounded, small, tidy
 
 REMEMBERED, LONGEST = 1 << 18, 64
-MARKS = 1 << 21
+_BITS = [1 << i for i in range(1 << 12)]  # ranks below 2**18
 
 
 def merge(raw: bytes, ranks: dict[bytes, int]) -> list[int]:
@@ -45,24 +45,18 @@ def merge(raw: bytes, ranks: dict[bytes, int]) -> list[int]:
     buckets: dict[int, list[int]] = {}
     words: dict[int, int] = {}
     summary = 0
-    fresh = [(r, i) for i in range(n - 1) if (r := get(raw[i : i + 2])) is not None]
-    while True:
-        for r, i in fresh:  # into the queue
+    for i in range(n - 1):
+        r = get(raw[i : i + 2])
+        if r is not None:
             waits[i] = r
-            bucket = buckets.get(r)
-            if bucket is None:
+            if r in buckets:
+                buckets[r].append(i)  # ascending, so a heap
+            else:
                 buckets[r] = [i]
                 w = r >> 6
-                bits = words.get(w)
-                if bits:
-                    words[w] = bits | 1 << (r & 63)
-                else:
-                    words[w] = 1 << (r & 63)
-                    summary |= 1 << w
-            else:
-                heappush(bucket, i)
-        if not summary:
-            break
+                words[w] = words.get(w, 0) | _BITS[r & 63]
+                summary |= _BITS[w]
+    while summary:
         top = summary & -summary
         w = top.bit_length() - 1
         bits = words[w]
@@ -78,24 +72,39 @@ def merge(raw: bytes, ranks: dict[bytes, int]) -> list[int]:
             words[w] = bits
             if not bits:
                 summary ^= top
-        fresh = []
         if waits[i] != rank:  # stale
             continue
         j = after[i]
         k = after[j]
         ids[i], after[i], waits[j], waits[i] = rank, k, -1, -1
+        h = before[i]
         if k < n:
             before[k] = i
             r = get(raw[i : after[k]])
             if r is not None:
-                fresh.append((r, i))
-        h = before[i]
+                waits[i] = r
+                if r in buckets:
+                    heappush(buckets[r], i)
+                else:
+                    buckets[r] = [i]
+                    w = r >> 6
+                    words[w] = words.get(w, 0) | _BITS[r & 63]
+                    summary |= _BITS[w]
+        elif h < 0:  # one part is left
+            break
         if h >= 0:
             r = get(raw[h:k])
             if r is None:
                 waits[h] = -1
             elif waits[h] != r:
-                fresh.append((r, h))
+                waits[h] = r
+                if r in buckets:
+                    heappush(buckets[r], h)
+                else:
+                    buckets[r] = [h]
+                    w = r >> 6
+                    words[w] = words.get(w, 0) | _BITS[r & 63]
+                    summary |= _BITS[w]
     out, i = [], 0
     while i < n:
         out.append(ids[i])
@@ -104,25 +113,19 @@ def merge(raw: bytes, ranks: dict[bytes, int]) -> list[int]:
 
 
 class _Memory(dict):
-    """Pre-token to ids as little-endian bytes, for pre-tokens met more than once.
-
-    A mark by hash tells a first meeting, after which nothing is kept.  When full, this becomes the elder generation, from which what is
-    still in use comes back.
-    """
+    """Pre-token to ids as little-endian bytes.  When full, this becomes the elder generation, from which what is still in use comes back."""
 
     def __init__(self, ranks: dict[bytes, int]) -> None:
-        self.ranks, self.elder, self.met = ranks, {}, bytearray(MARKS)
+        self.ranks, self.elder = ranks, {}
 
     def __missing__(self, token: str) -> bytes:
         ids = self.elder.get(token)
         if ids is None:
             ids = pack(merge(token.encode(), self.ranks))
-            mark = hash(token) & (MARKS - 1)
-            if not self.met[mark] or len(token) > LONGEST:
-                self.met[mark] = 1
+            if len(token) > LONGEST:
                 return ids
         if len(self) >= REMEMBERED:
-            self.elder, self.met = dict(self), bytearray(MARKS)
+            self.elder = dict(self)
             self.clear()
         self[token] = ids
         return ids
