@@ -80,6 +80,9 @@ class Bits:
 _TURNED = [int(f"{i:015b}"[::-1], 2) for i in range(1 << 15)]  # 15 bits in the other order
 
 
+_NONE = np.zeros(1, np.int64)
+
+
 class PrefixCode:
     """Canonical code from lengths, as tables by the next ``most`` bits: symbol and length."""
 
@@ -102,6 +105,13 @@ class PrefixCode:
             self.lengths[start :: 1 << n] = n
             code += 1
 
+    @classmethod
+    def single(cls, symbol: int) -> PrefixCode:
+        """The code of one symbol."""
+        out = cls.__new__(cls)
+        out.most, out.symbols, out.lengths, out.table = 0, np.array([symbol]), _NONE, None
+        return out
+
     def read(self, bits: Bits) -> int:
         if self.table is None:
             self.table = list(zip(self.lengths.tolist(), self.symbols.tolist(), strict=True))
@@ -119,10 +129,12 @@ class PrefixCode:
 def read_code(bits: Bits, size: int) -> PrefixCode:
     if bits.read(1):
         two = bits.read(1)
+        symbol = bits.read(8 if bits.read(1) else 1)
+        if not two:
+            return PrefixCode.single(symbol)
         lengths = [0] * max(size, 256)
-        lengths[bits.read(8 if bits.read(1) else 1)] = 1
-        if two:
-            lengths[bits.read(8)] = 1
+        lengths[symbol] = 1
+        lengths[bits.read(8)] = 1
         return PrefixCode(lengths)
     own = [0] * 19
     for i in range(4 + bits.read(4)):
@@ -651,7 +663,7 @@ def _put_picture(out: BitWriter, top: bool, channels: list, cache_bits: int = 0,
         parts.append(_placed(len(kind), back, lengths[1], lengths[2]))
     for c in channels[1:]:
         if isinstance(c, int):
-            put_code(out, [0] * c + [1])
+            out.put(0b101 | c << 3, 11)  # a simple code of one symbol
             continue
         literal = np.flatnonzero(kind < LITERALS)
         parts.append(_placed(len(kind), literal, *coded((c if token is None else c[token])[literal], LITERALS)))
@@ -669,9 +681,16 @@ def _placed(n: int, at: np.ndarray, values: np.ndarray, sizes: np.ndarray) -> tu
     return v, s
 
 
+_C_LOG_C = np.concatenate([[0.0], np.arange(1, 1 << 12) * np.log2(np.arange(1, 1 << 12))])
+
+
 def _entropy(counts: np.ndarray) -> float:
+    """Bits that symbols of these counts take at best."""
+    n = int(counts.sum())
+    if n < len(_C_LOG_C):
+        return float(_C_LOG_C[n] - _C_LOG_C.take(counts).sum())
     c = counts[counts > 0].astype(np.float64)
-    return float((c * np.log2(c.sum() / c)).sum())
+    return float((c * np.log2(n / c)).sum())
 
 
 def file_of(bits: np.ndarray) -> bytes:
