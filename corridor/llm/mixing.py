@@ -12,6 +12,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from corridor.llm.texthash import unused
 from corridor.runtime import cut
 
 WEIGHTS = (5, 2, 1)
@@ -93,7 +94,8 @@ BROADCAST_ROWS = 1 << 20
 
 def mixed(docs: DataFrame, **options) -> DataFrame:
     """``docs`` with each row as often as it is drawn; rows that repeat a doc_id share what one of them draws."""
-    own = cut(draws(docs, **options).groupBy(F.col("doc_id").alias("__id")).agg(F.max("copies").alias("__copies")))
+    key, copies, copy = (unused(x, docs) for x in ("__id", "__copies", "__copy"))
+    own = cut(draws(docs, **options).groupBy(F.col("doc_id").alias(key)).agg(F.max("copies").alias(copies)))
     own = F.broadcast(own) if own.count() <= BROADCAST_ROWS else own
-    taken = docs.join(own, F.col("doc_id").cast("long").eqNullSafe(F.col("__id")))
-    return taken.withColumn("__copy", F.explode(F.expr("if(__copies > 0, sequence(1L, __copies), cast(array() as array<bigint>))"))).drop("__id", "__copies", "__copy")
+    taken = docs.join(own, F.col("doc_id").cast("long").eqNullSafe(F.col(key)))
+    return taken.withColumn(copy, F.explode(F.expr(f"if({copies} > 0, sequence(1L, {copies}), cast(array() as array<bigint>))"))).drop(key, copies, copy)

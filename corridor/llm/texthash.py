@@ -174,6 +174,14 @@ def bounded(df: DataFrame) -> DataFrame:
     return df
 
 
+def unused(name: str, df: DataFrame) -> str:
+    """``name``, with underscores before it while the frame has a column of that name."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
+
+
 def small(batches, rows: int = 1024):
     """The same rows in batches of at most ``rows``, so that what is made of one stays small."""
     for batch in batches:

@@ -656,6 +656,10 @@ def test_pipeline_stages(spark, sf):
     assert ids <= {r.doc_id for r in docs.collect()}
     last = C.STAGES[-1][1](spark, frame, sf)
     assert last.count() == frame.count() and C.run(spark, sf).count() == last.count()
+    clash = docs.limit(60).withColumns({c: F.lit(7) for c in ("__gone", "__id", "__copies", "__copy", "__kept", "part", "copies")})
+    for name, stage in C.STAGES[:-1]:
+        kept = stage(spark, clash, sf)
+        assert kept.columns == clash.columns and kept.where("__gone <> 7 or __id <> 7 or __copy <> 7").count() == 0, name
     empty = spark.createDataFrame([], docs.schema)
     for _, stage in C.STAGES:
         assert stage(spark, empty, sf).count() == 0
