@@ -212,21 +212,40 @@ def range_decode(raw: bytes, count: int, n: int) -> list[int]:
     return out
 
 
+def residual_encode(u: np.ndarray, symbols: int) -> tuple[bytes, bytes]:
+    """Numbers through an adaptive range coder; those beyond the alphabet are its last symbol, and eight bytes each in a stream beside it."""
+    far = u >= symbols - 1
+    return range_encode(np.where(far, symbols - 1, u).astype(int).tolist(), symbols), u[far].astype("<u8").tobytes()
+
+
+def residual_decode(packed: bytes, beside: bytes, n: int, symbols: int) -> np.ndarray:
+    u = np.array(range_decode(packed, n, symbols), np.int64)
+    u[u == symbols - 1] = np.frombuffer(beside, "<u8").astype(np.int64)
+    return u
+
+
 def predictive_coder(track: DataFrame, o: Options, order: int = 1, symbols: int = 256) -> DataFrame:
-    """Extrapolation residuals through an adaptive range coder; residuals beyond the alphabet escape to eight raw bytes."""
+    """Extrapolation residuals through an adaptive range coder, escapes written out; lossless says that the grid comes back from the bytes.
+
+    Series of a block may differ in length; what pads the short ones is neither coded nor counted.
+    """
 
     def make(ids, t0, length, y):
+        from corridor.functions.vwidth import unzigzag, zigzag
+
         q = np.floor(y + 0.5).astype(np.int64)
+        real = np.arange(len(q))[:, None] < np.asarray(length)[None, :]
         r = np.diff(q, axis=0, prepend=0)
         if order == 1:
             r[2:] = np.diff(r[1:], axis=0)
-        from corridor.functions.vwidth import zigzag
-
-        u = zigzag(r.ravel())
-        s = np.minimum(u, symbols - 1).astype(int).tolist()
-        packed = range_encode(s, symbols)
-        escapes = int((u >= symbols - 1).sum())
-        return [(order, u.size, len(packed) + 8 * escapes, range_decode(packed, len(s), symbols) == s)]
+        u = np.asarray(zigzag(r[real]))
+        packed, beside = residual_encode(u, symbols)
+        back = np.zeros_like(q)
+        back[real] = unzigzag(residual_decode(packed, beside, len(u), symbols))
+        if order == 1:
+            back[1:] = np.cumsum(back[1:], axis=0)
+        back = np.cumsum(back, axis=0)
+        return [(order, u.size, len(packed) + len(beside), bool((back[real] == q[real]).all()))]
 
     return _blocks(track, o, "ord long, n long, packed_bytes long, lossless boolean", make)
 

@@ -54,40 +54,65 @@ class CorridorSource(DataSource):
 
 @dataclass
 class Written(WriterCommitMessage):
-    """A task's file, not yet under its final name."""
+    """A task's files, not yet under their final names."""
 
-    file: str | None
+    files: list[str]
+
+
+ROWS_HELD = 1 << 10
+STORED_TYPES = [("block", pa.int64()), ("bucket", pa.int32()), ("seq", pa.int32()), ("n", pa.int32()), ("payload", pa.binary()), ("header", pa.binary())]
+
+
+def file_system(path: str) -> tuple[fs.FileSystem, str]:
+    """The file system of a path or URI, and the path on it."""
+    return fs.FileSystem.from_uri(path) if "://" in path or path.startswith("file:") else (fs.LocalFileSystem(), path)
 
 
 class CorridorWriter(DataSourceWriter):
-    """Appends stored rows to a store, a file for each task; files get their names when all tasks are done."""
+    """Appends stored rows to a store, each under the folder of its own range of blocks; files get their names when all tasks are done.
+
+    A task holds at most ROWS_HELD rows of a range before they go to a file.
+    """
 
     def __init__(self, path: str) -> None:
         self.path = path
 
     def write(self, iterator) -> Written:
-        rows = [r.asDict() for r in iterator]
-        if not rows:
-            return Written(None)
-        folder = f"{self.path}/block_range={rows[0]['block'] // BLOCKS_IN_RANGE}"
-        files = fs.LocalFileSystem()
-        files.create_dir(folder, recursive=True)
-        name = f"{folder}/_{uuid.uuid4().hex}.parquet"
-        types = [("block", pa.int64()), ("bucket", pa.int32()), ("seq", pa.int32()), ("n", pa.int32()), ("payload", pa.binary()), ("header", pa.binary())]
-        with files.open_output_stream(name) as out:
-            pq.write_table(pa.table([pa.array([r[c] for r in rows], t) for c, t in types], names=[c for c, _ in types]), out)
-        return Written(name)
+        store, root = file_system(self.path)
+        held: dict[int, list] = {}
+        files: list[str] = []
+
+        def put(at: int) -> None:
+            rows = held.pop(at)
+            folder = f"{root}/block_range={at}"
+            store.create_dir(folder, recursive=True)
+            name = f"{folder}/_{uuid.uuid4().hex}.parquet"
+            with store.open_output_stream(name) as out:
+                pq.write_table(pa.table([pa.array([r[c] for r in rows], t) for c, t in STORED_TYPES], names=[c for c, _ in STORED_TYPES]), out)
+            files.append(name)
+
+        for r in iterator:
+            at = r["block"] // BLOCKS_IN_RANGE
+            held.setdefault(at, []).append(r)
+            if len(held[at]) >= ROWS_HELD:
+                put(at)
+        for at in list(held):
+            put(at)
+        return Written(files)
+
+    def _files(self, messages) -> list[str]:
+        return [f for m in messages if m is not None for f in m.files]
 
     def commit(self, messages) -> None:
-        for m in messages:
-            if m is not None and m.file:
-                folder, _, name = m.file.rpartition("/")
-                fs.LocalFileSystem().move(m.file, f"{folder}/{name[1:]}")
+        store, _ = file_system(self.path)
+        for name in self._files(messages):
+            folder, _, last = name.rpartition("/")
+            store.move(name, f"{folder}/{last[1:]}")
 
     def abort(self, messages) -> None:
-        for m in messages:
-            if m is not None and m.file:
-                fs.LocalFileSystem().delete_file(m.file)
+        store, _ = file_system(self.path)
+        for name in self._files(messages):
+            store.delete_file(name)
 
 
 class CorridorReader(DataSourceReader):

@@ -89,3 +89,37 @@ def test_data_source_reads_one_block(spark, sf, tmp_path):
     assert rows(r.where("t = 70 AND k = 5")) == [x for x in rows(codec.decompress(codec.compress(t, o), o)) if x[:2] == (5, 70)]
     again = spark.read.format("corridor").option("path", str(tmp_path / "store")).option("options", json.dumps({"eps": 1.0, "block": 64, "width": 4})).load()
     assert again.count() == t.count()
+
+
+@pytest.mark.parametrize("symbols", [4, 256])
+def test_predictive_coder_writes_its_escapes(symbols):
+    import numpy as np
+
+    rng = np.random.default_rng(4)
+    u = np.concatenate([rng.integers(0, 9, 400), rng.integers(0, 1 << 40, 20), [symbols - 2, symbols - 1, symbols, 0]])
+    packed, beside = codecs.residual_encode(u, symbols)
+    assert len(beside) == 8 * (u >= symbols - 1).sum() > 0
+    assert (codecs.residual_decode(packed, beside, len(u), symbols) == u).all()
+
+
+@pytest.mark.parametrize("order", [0, 1])
+def test_predictive_coder_gives_ragged_series_back(spark, order):
+    rows = [(k, t, float((k + 1) * t * t * 50 + t % 3)) for k, n in ((0, 40), (1, 7), (2, 23)) for t in range(n)]
+    got = codecs.predictive_coder(spark.createDataFrame(rows, "k long, t long, x double"), Options(eps=1.0, block=32, width=4), order).collect()
+    assert all(r.lossless for r in got) and sum(r.n for r in got) == len(rows)
+
+
+def test_own_sink_files_rows_by_their_range(spark, sf, tmp_path):
+    """One task with blocks of several ranges: each row lies under the range of its own block."""
+    from corridor.sources.datasource import BLOCKS_IN_RANGE, CorridorSource, read_blocks
+
+    o = Options(eps=1.0, block=2, width=8)
+    stored = codec.compress(T.embed_walk(spark, sf, 8), o).persist()
+    spark.dataSource.register(CorridorSource)
+    for path in (str(tmp_path / "plain"), f"file://{tmp_path / 'uri'}"):
+        stored.coalesce(1).write.format("corridor").option("path", path).mode("append").save()
+        laid = spark.read.parquet(path)
+        assert laid.select("block_range").distinct().count() > 1
+        assert laid.where(f"block_range <> floor(block / {BLOCKS_IN_RANGE})").count() == 0
+        assert rows(read_blocks(spark, path)) == rows(stored)
+    stored.unpersist()
