@@ -84,16 +84,6 @@ def test_throughput_strides(spark):
     assert inspect.signature(workloads.throughput).parameters["strides"].default == tuple(2**j for j in range(12))
 
 
-def test_a_rare_language_leaves_the_other_dictionaries_alone(spark, sf):
-    from corridor.llm import langid
-
-    docs = spark.read.parquet(f"{sf.replace('sf0.001', 'sf0.1')}/documents.parquet").select("doc_id", "lang", "text")
-    rare = spark.createDataFrame([(i, "xx", "kurzer satz") for i in (10**9, 10**9 + 1, 10**9 + 2, 10**9 + 3)], docs.schema)
-    before, after = langid.learn(docs), langid.learn(docs.union(rare))
-    assert 0 < len(after.pop("xx")) < 1024 and after == before
-    assert {len(x) for x in before.values()} == {langid.DICTIONARY_BYTES}
-
-
 def test_workloads_cover_the_tracks_of_the_survey(spark):
     from corridor.queries import registry, workloads
 
