@@ -165,6 +165,14 @@ def test_languages(spark, sf):
     assert d.margin >= langid.LEAST_MARGIN and len(no) / len(out) < 0.02 and len(wrong) / len(out) < 0.005
 
 
+def test_a_rare_language_leaves_the_other_dictionaries_alone(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.1/documents.parquet").select("doc_id", "lang", "text")
+    rare = spark.createDataFrame([(i, "xx", "kurzer satz") for i in (10**9, 10**9 + 1, 10**9 + 2, 10**9 + 3)], docs.schema)
+    before, after = langid.learn(docs).dictionaries, langid.learn(docs.union(rare)).dictionaries
+    assert 0 < len(after.pop("xx")) < 1024 and after == before
+    assert {len(x) for x in before.values()} == {langid.DICTIONARY_BYTES}
+
+
 def test_language_margin_is_learned():
     right, wrong = [(0.1 + i / 1000, True) for i in range(1000)], [(0.002, False), (0.03, False), (0.0, False), (0.9, False)]
     assert langid.narrow(right) == langid.LEAST_MARGIN and langid.narrow([]) == langid.LEAST_MARGIN
