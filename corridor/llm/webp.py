@@ -16,7 +16,7 @@ from __future__ import annotations
 import hashlib
 import heapq
 import zlib
-from array import array
+from itertools import groupby
 
 import numpy as np
 import pyarrow as pa
@@ -77,33 +77,37 @@ class Bits:
         return self.at * 8 - self.have
 
 
-_TURNED = [int(f"{i:015b}"[::-1], 2) for i in range(1 << 15)]  # 15 bits in the other order
+_TURNED = np.array([int(f"{i:015b}"[::-1], 2) for i in range(1 << 15)])  # 15 bits in the other order
+_TURNS = [_TURNED[: 1 << n] >> (15 - n) for n in range(16)]  # n bits in the other order
 
 
 _NONE = np.zeros(1, np.int64)
 
 
+def _in_code_order(lengths: list[int] | np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Symbols that have a code, shortest codes first, and their codes' lengths."""
+    lengths = np.asarray(lengths)
+    used = lengths.nonzero()[0]
+    sizes = lengths.take(used)
+    order = sizes.argsort(kind="stable")
+    return used.take(order), sizes.take(order)
+
+
 class PrefixCode:
     """Canonical code from lengths, as tables by the next ``most`` bits: symbol and length."""
 
     def __init__(self, lengths: list[int]) -> None:
-        used = sorted((n, s) for s, n in enumerate(lengths) if n) or [(1, 0)]
         self.table = None
-        if len(used) == 1:  # takes no bits
-            self.most, self.symbols, self.lengths = 0, np.array([used[0][1]]), np.zeros(1, np.int64)
+        symbols, sizes = _in_code_order(lengths)
+        if len(symbols) < 2:  # takes no bits
+            self.most, self.symbols, self.lengths = 0, symbols if len(symbols) else _NONE, _NONE
             return
-        self.most = used[-1][0]
-        if sum(1 << (15 - n) for n, _ in used) != 1 << 15:
+        self.most = int(sizes[-1])
+        share = 1 << (self.most - sizes)  # places of the table that each symbol has
+        if share.sum() != 1 << self.most:
             raise ValueError("the code isn't complete")
-        self.symbols, self.lengths = np.zeros(1 << self.most, np.int64), np.zeros(1 << self.most, np.int64)
-        code, before = 0, 0
-        for n, s in used:
-            code <<= n - before
-            before = n
-            start = _TURNED[code] >> (15 - n)
-            self.symbols[start :: 1 << n] = s
-            self.lengths[start :: 1 << n] = n
-            code += 1
+        self.symbols = symbols.repeat(share).take(_TURNS[self.most])
+        self.lengths = sizes.repeat(share).take(_TURNS[self.most])
 
     @classmethod
     def single(cls, symbol: int) -> PrefixCode:
@@ -143,9 +147,12 @@ def read_code(bits: Bits, size: int) -> PrefixCode:
     left = 2 + bits.read(2 + 2 * bits.read(3)) if bits.read(1) else size
     lengths: list[int] = []
     last = 8
+    table, mask = list(zip(code.lengths.tolist(), code.symbols.tolist(), strict=True)), (1 << code.most) - 1
     while len(lengths) < size and left:
         left -= 1
-        s = code.read(bits)
+        n, s = table[(bits.window if bits.have > 15 else bits.peek(15)) & mask]
+        bits.window >>= n
+        bits.have -= n
         if s < 16:
             lengths.append(s)
             last = s or last
@@ -221,6 +228,23 @@ _EIGHT = np.arange(8)
 _PLANE_X, _PLANE_Y = np.array(PLANE_OFFSETS).T
 
 
+def _starts(after: np.ndarray, at: int) -> tuple[np.ndarray, int]:
+    """Places of the tokens from ``at`` on, if the token at each place ends at ``after``, and where the last one ends."""
+    end = len(after)
+    step = np.concatenate([after, np.arange(end, end + 64)])  # beyond the end nothing moves
+    two = step.take(step, mode="clip")
+    four, every = memoryview(two.take(two, mode="clip")), []
+    see = every.append
+    while at < end:
+        see(at)
+        at = four[at]
+    places = [np.array(every, np.int64)]
+    for _ in range(3):
+        places.append(step.take(places[-1]))
+    token = np.stack(places, axis=1).ravel()
+    return token[: np.searchsorted(token, end)], at
+
+
 def read_group(bits: Bits, group: list[PrefixCode], cache_bits: int, width: int, height: int) -> np.ndarray:
     """Pixels whose codes are all of one group."""
     green, red, blue, alpha, far = group
@@ -253,12 +277,7 @@ def read_group(bits: Bits, group: list[PrefixCode], cache_bits: int, width: int,
         after[back] += _EXTRA[kind[back] - LITERALS]
         prefix, step = far.at(window[after[back]])
         after[back] += step + _EXTRA[prefix]
-        starts, at, end, following = array("q"), place - 8 * byte, 8 * n, memoryview(after)
-        see = starts.append
-        while at < end:  # past the picture's end this reads on in vain; what it finds there is cut off below
-            see(at)
-            at = following[at]
-        token = np.frombuffer(starts, np.int64)
+        token, at = _starts(after, place - 8 * byte)  # past the picture's end this reads on in vain; what it finds there is cut off below
         kind = kind[token]
         size = np.ones(len(token), np.int64)
         back = np.flatnonzero((kind >= LITERALS) & (kind < LITERALS + LENGTH_CODES))
@@ -275,7 +294,7 @@ def read_group(bits: Bits, group: list[PrefixCode], cache_bits: int, width: int,
         to = done + np.cumsum(size)
         here = int(np.searchsorted(to, total)) + 1  # tokens that are still in the picture
         if here <= len(to):
-            place = 8 * byte + following[starts[here - 1]]
+            place = 8 * byte + int(after[token[here - 1]])
             if to[here - 1] > total:
                 raise ValueError("a back-reference leaves the picture")
         else:
@@ -490,28 +509,21 @@ def code_lengths(counts: np.ndarray, longest: int) -> list[int]:
     return out
 
 
-def canonical(lengths: list[int]) -> tuple[list[int], list[int]]:
+def canonical(lengths: list[int]) -> tuple[np.ndarray, np.ndarray]:
     """For each symbol its code, first bit lowest, and the bits it takes: none where it is the only one."""
-    codes, sizes = [0] * len(lengths), [0] * len(lengths)
-    used = sorted((n, s) for s, n in enumerate(lengths) if n)
-    code, before = 0, 0
-    for n, s in used if len(used) > 1 else ():
-        code <<= n - before
-        before = n
-        codes[s], sizes[s] = _TURNED[code] >> (15 - n), n
-        code += 1
+    codes, sizes = np.zeros(len(lengths), np.int64), np.zeros(len(lengths), np.int64)
+    symbols, n = _in_code_order(lengths)
+    if len(symbols) > 1:
+        share = 1 << (15 - n)
+        codes[symbols], sizes[symbols] = _TURNED.take(share.cumsum() - share), n
     return codes, sizes
 
 
 def _runs(lengths: list[int]) -> list[tuple[int, int, int]]:
     """Code lengths as (symbol, extra, extra bits): runs of zeros and of the last length are shortened."""
-    out, at, last = [], 0, 8
-    while at < len(lengths):
-        n, end = lengths[at], at + 1
-        while end < len(lengths) and lengths[end] == n:
-            end += 1
-        left = end - at
-        at = end
+    out, last = [], 8
+    for n, run in groupby(lengths):
+        left = len(list(run))
         if n and n != last:
             out.append((n, 0, 0))
             left, last = left - 1, n
@@ -541,7 +553,7 @@ def put_code(out: BitWriter, lengths: list[int]) -> None:
     out.put(0, 1)
     runs = _runs(lengths)
     own = code_lengths(np.bincount([s for s, _, _ in runs], minlength=19), 7)
-    codes, sizes = canonical(own)
+    codes, sizes = (x.tolist() for x in canonical(own))
     n = max(4, max(i + 1 for i, s in enumerate(CODE_LENGTH_ORDER) if own[s]))
     out.put(n - 4, 4)
     for s in CODE_LENGTH_ORDER[:n]:
@@ -655,7 +667,7 @@ def _put_picture(out: BitWriter, top: bool, channels: list, cache_bits: int = 0,
         own = code_lengths(np.bincount(symbols, minlength=size), LONGEST_CODE)
         put_code(out, own)
         codes, sizes = canonical(own)
-        return np.array(codes).take(symbols), np.array(sizes).take(symbols)
+        return codes.take(symbols), sizes.take(symbols)
 
     # a token's parts in the order they are read: green or length, its extra bits, red, blue, alpha, distance, its extra bits
     parts = [coded(kind, LITERALS + LENGTH_CODES + (1 << cache_bits if cache_bits else 0))]
