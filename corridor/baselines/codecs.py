@@ -11,6 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from corridor.functions.vwidth import bit_lengths, decode, encode, unzigzag, zigzag
 from corridor.operators.segment import cut_blocks, matrix
 from corridor.options import Options
 
@@ -102,7 +103,7 @@ def unfront(data: bytes) -> bytes:
 def varint(u: np.ndarray) -> bytes:
     """Seven bits a byte, low ones first."""
     u = np.asarray(u, np.uint64)
-    n = np.maximum(1, -(-np.array([int(v).bit_length() for v in u.tolist()], np.int64) // 7)) if len(u) else np.zeros(0, np.int64)
+    n = np.maximum(1, -(-bit_lengths(u) // 7))
     at = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
     v = (np.repeat(u, n) >> (at * 7).astype(np.uint64)) & np.uint64(127)
     more = at < np.repeat(n, n) - 1
@@ -111,8 +112,6 @@ def varint(u: np.ndarray) -> bytes:
 
 def grid_deltas(y: np.ndarray, length: np.ndarray) -> np.ndarray:
     """Differences in time, then between neighbouring series, signs mapped; frame after frame."""
-    from corridor.functions.vwidth import zigzag
-
     q = np.floor(y + 0.5).astype(np.int64)
     d = np.diff(q, axis=0, prepend=0)
     r = np.diff(d, axis=1, prepend=0)
@@ -231,8 +230,6 @@ def predictive_coder(track: DataFrame, o: Options, order: int = 1, symbols: int
     """
 
     def make(ids, t0, length, y):
-        from corridor.functions.vwidth import unzigzag, zigzag
-
         q = np.floor(y + 0.5).astype(np.int64)
         real = np.arange(len(q))[:, None] < np.asarray(length)[None, :]
         r = np.diff(q, axis=0, prepend=0)
@@ -250,6 +247,56 @@ def predictive_coder(track: DataFrame, o: Options, order: int = 1, symbols: int
     return _blocks(track, o, "ord long, n long, packed_bytes long, lossless boolean", make)
 
 
+def piece_coder(pieces: DataFrame, o: Options, symbols: int = 256) -> DataFrame:
+    """Durations and displacements of each bucket's pieces, in wire order, through adaptive range coders, beside the shared-width code.
+
+    One row a block and bucket: pieces, bytes either way, and whether the numbers came back from the coder's bytes.
+    """
+
+    def run(table: pa.Table) -> pa.Table:
+        k, t0, dt, dq = (np.asarray(table.column(c)).astype(np.int64) for c in ("k", "t0", "dt", "dq"))
+        order = np.lexsort((k, t0))
+        size, same = 0, True
+        u, d = np.asarray(zigzag(dq[order], o.zigzag)), (dt[order] - 1).astype(np.uint64)
+        for x in (u, d):
+            packed, beside = residual_encode(x, symbols)
+            size += len(packed) + len(beside)
+            same &= bool((residual_decode(packed, beside, len(x), symbols) == x.astype(np.int64)).all())
+        shared = sum(len(encode(np.concatenate([u[a : a + o.chunk][::-1], d[a : a + o.chunk]]))) for a in range(0, len(u), o.chunk))
+        values = (table.column("block")[0].as_py(), table.column("bucket")[0].as_py(), len(u), size, shared, same)
+        return pa.table([pa.array([v], f) for v, f in zip(values, (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.bool_()), strict=True)], names=["block", "bucket", "n", "range_bytes", "shared_width_bytes", "lossless"])
+
+    rows = pieces.withColumn("bucket", F.floor(F.col("k") / o.width).cast("int")).select("block", "bucket", "k", "t0", "dt", "dq")
+    return rows.groupBy("block", "bucket").applyInArrow(run, "block long, bucket int, n long, range_bytes long, shared_width_bytes long, lossless boolean")
+
+
+def fitted_codes(track: DataFrame, block: int = 4096) -> DataFrame:
+    """Bits of whole numbers under codes fitted to them: Huffman, adaptive arithmetic and shared width; a block of a series at a time.
+
+    Huffman: a block's own lengths, a table of 64 + 6 bits a symbol; arithmetic: bytes of the length classes through the range coder, the bits
+    below the top one as they are; shared width: as in the chunks.
+    """
+    o = Options(eps=1.0, lam=1.0, step="eq", block=block, width=1)
+
+    def make(ids, t0, length, y):
+        v = np.floor(y.ravel()[: int(np.max(length))] * o.grid + 0.5).astype(np.int64)
+        symbols, counts = np.unique(v, return_counts=True)
+        lengths = huffman_lengths(dict(zip(symbols.tolist(), counts.tolist(), strict=True)))
+        kraft = sum(2.0**-n for n in lengths.values()) <= 1
+        classes = bit_lengths(v)
+        packed = range_encode(classes.tolist(), 65)
+        rest = int(np.maximum(classes - 1, 0).sum())
+        shared = encode(v)
+        return [
+            ("huffman", len(v), sum(c * lengths[s] for s, c in zip(symbols.tolist(), counts.tolist(), strict=True)) + 70 * len(symbols), kraft),
+            ("arithmetic", len(v), 8 * len(packed) + rest, range_decode(packed, len(v), 65) == classes.tolist()),
+            ("shared_width", len(v), 8 * len(shared), bool((decode(shared, len(v)).astype(np.int64) == v).all())),
+        ]
+
+    rows = _blocks(track, o, "code string, n long, bits long, lossless boolean", make)
+    return rows.groupBy("code").agg(F.sum("n").alias("n"), F.sum("bits").cast("long").alias("bits"), F.bool_and("lossless").alias("lossless"))
+
+
 def huffman_lengths(counts: dict[int, int]) -> dict[int, int]:
     """Code length of each symbol."""
     import heapq

@@ -57,8 +57,15 @@ SELECT {n} AS stride, count(*) AS n, count(CASE WHEN t % {n} = 0 THEN 1 END) AS
 
 
 def spotlight(coarse: int, fine: int, every: int, length: int) -> str:
-    """B2: a fine rate inside recurring windows, a coarse one outside."""
-    return f"SELECT count(*) AS n, count(CASE WHEN t % {coarse} = 0 OR (t % {every} < {length} AND t % {fine} = 0) THEN 1 END) AS kept FROM {{track}}"
+    """B2: a fine rate inside recurring windows, a coarse one outside, rebuilt by holding and by lines; ``fine`` divides ``every``.
+
+    The last kept step is reckoned from t, so samples meet it in a join of equal keys.
+    """
+    inside = f"CASE WHEN t % {every} < {length} THEN t - t % {fine} ELSE t - t % {every} + {(length - 1) // fine * fine} END"
+    return f"""WITH kept AS (SELECT k, t, x, lead(t) OVER (PARTITION BY k ORDER BY t) AS t2, lead(x) OVER (PARTITION BY k ORDER BY t) AS x2 FROM {{track}} WHERE t % {coarse} = 0 OR (t % {every} < {length} AND t % {fine} = 0)),
+s AS (SELECT k, t, x, greatest(t - t % {coarse}, {inside}) AS f FROM {{track}}),
+rebuilt AS (SELECT s.t, s.x, s.f, f.x AS held, CASE WHEN f.t2 IS NULL THEN f.x ELSE f.x + (f.x2 - f.x) * (s.t - f.t) / (f.t2 - f.t) END AS line FROM s JOIN kept f ON s.k = f.k AND f.t = s.f)
+SELECT count(*) AS n, count(CASE WHEN t = f THEN 1 END) AS kept, round(max(abs(x - held)), 6) AS hold_err, round(max(abs(x - line)), 6) AS line_err FROM rebuilt"""
 
 
 def grid_only(o: Options) -> str:

@@ -20,7 +20,7 @@ def add(name: str, f: Query, oracle: str | Callable[[], str] | None = None) -> N
 
 
 def _load() -> None:
-    from corridor.queries import methods, surround, workloads  # noqa: F401
+    from corridor.queries import checks, methods, surround, workloads  # noqa: F401
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
