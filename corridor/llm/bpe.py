@@ -29,7 +29,15 @@ REMEMBERED, LONGEST = 1 << 18, 64
 _BITS = [1 << i for i in range(1 << 12)]  # ranks below 2**18
 
 
-def merge(raw: bytes, ranks: dict[bytes, int]) -> list[int]:
+class Starts:
+    """Ranks of single bytes, and of pairs of bytes by their 16 bits, none as -1."""
+
+    def __init__(self, ranks: dict[bytes, int]) -> None:
+        self.one = [ranks[bytes([b])] for b in range(256)]
+        self.two = [ranks.get(bytes([a, b]), -1) for a in range(256) for b in range(256)]
+
+
+def merge(raw: bytes, ranks: dict[bytes, int], starts: Starts) -> list[int]:
     """Ids of one pre-token.
 
     ``buckets`` has the waiting positions of each rank as a heap, so that the leftmost comes first; ``words`` has the used ranks as 64-bit
@@ -38,17 +46,16 @@ def merge(raw: bytes, ranks: dict[bytes, int]) -> list[int]:
     whole = ranks.get(raw)
     if whole is not None:
         return [whole]
-    n, get = len(raw), ranks.get
-    ids = [ranks[raw[i : i + 1]] for i in range(n)]
+    n, get, one, two = len(raw), ranks.get, starts.one, starts.two
+    ids = [one[b] for b in raw]
     after, before = list(range(1, n + 1)), list(range(-1, n - 1))
-    waits = [-1] * n  # rank of the pair that starts here now
+    waits = [two[a << 8 | b] for a, b in zip(raw, raw[1:], strict=False)]  # rank of the pair that starts here now
+    waits.append(-1)
     buckets: dict[int, list[int]] = {}
     words: dict[int, int] = {}
     summary = 0
-    for i in range(n - 1):
-        r = get(raw[i : i + 2])
-        if r is not None:
-            waits[i] = r
+    for i, r in enumerate(waits):
+        if r >= 0:
             if r in buckets:
                 buckets[r].append(i)  # ascending, so a heap
             else:
@@ -115,13 +122,13 @@ def merge(raw: bytes, ranks: dict[bytes, int]) -> list[int]:
 class _Memory(dict):
     """Pre-token to ids as little-endian bytes.  When full, this becomes the elder generation, from which what is still in use comes back."""
 
-    def __init__(self, ranks: dict[bytes, int]) -> None:
-        self.ranks, self.elder = ranks, {}
+    def __init__(self, ranks: dict[bytes, int], starts: Starts) -> None:
+        self.ranks, self.starts, self.elder = ranks, starts, {}
 
     def __missing__(self, token: str) -> bytes:
         ids = self.elder.get(token)
         if ids is None:
-            ids = pack(merge(token.encode(), self.ranks))
+            ids = pack(merge(token.encode(), self.ranks, self.starts))
             if len(token) > LONGEST:
                 return ids
         if len(self) >= REMEMBERED:
@@ -170,7 +177,8 @@ class Codec:
         for raw, i in self.ranks.items():
             self.parts[i] = raw
         self.split = splitter(pattern)
-        self.memory = _Memory(self.ranks)
+        self.starts = Starts(self.ranks)
+        self.memory = _Memory(self.ranks, self.starts)
 
     def encode(self, text: str) -> bytes:
         """Ids as little-endian unsigned 32-bit integers."""
@@ -202,7 +210,7 @@ def encode_documents(docs: DataFrame, path: str | None = None, pattern: str | No
 
     def run(batches):
         c = codec(path, pattern)
-        c.memory = _Memory(c.ranks)  # a task's own; it goes with the task
+        c.memory = _Memory(c.ranks, c.starts)  # a task's own; it goes with the task
         for batch in small(batches):
             n, digest, back, ids = [], [], [], []
             for text in batch.column(1):
@@ -219,7 +227,7 @@ def encode_documents(docs: DataFrame, path: str | None = None, pattern: str | No
                 columns.append(pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.frombuffer(b"".join(ids), "<i4"))))
                 names.append("ids")
             yield pa.RecordBatch.from_arrays(columns, names)
-        c.memory = _Memory(c.ranks)
+        c.memory = _Memory(c.ranks, c.starts)
 
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
     return bounded(docs).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), schema)
