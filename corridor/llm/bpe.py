@@ -122,8 +122,8 @@ def merge(raw: bytes, ranks: dict[bytes, int], starts: Starts) -> list[int]:
 class _Memory(dict):
     """Pre-token to ids as little-endian bytes.  When full, this becomes the elder generation, from which what is still in use comes back."""
 
-    def __init__(self, ranks: dict[bytes, int], starts: Starts) -> None:
-        self.ranks, self.starts, self.elder = ranks, starts, {}
+    def __init__(self, ranks: dict[bytes, int], starts: Starts | None = None) -> None:
+        self.ranks, self.starts, self.elder = ranks, starts or Starts(ranks), {}
 
     def __missing__(self, token: str) -> bytes:
         ids = self.elder.get(token)
