@@ -14,8 +14,8 @@ fitted to the counts.  A payload longer than one picture may be is a row of pict
 from __future__ import annotations
 
 import hashlib
-import heapq
 import zlib
+from bisect import bisect_left
 from itertools import groupby
 
 import numpy as np
@@ -224,6 +224,8 @@ def read_pixels(bits: Bits, width: int, height: int, top: bool) -> np.ndarray:
 
 _EXTRA = np.array([0, 0, 0, 0, *((p - 2) >> 1 for p in range(4, DISTANCE_CODES))])  # bits after a length or distance prefix
 _FIRST = np.array([1, 2, 3, 4, *(((2 + (p & 1)) << ((p - 2) >> 1)) + 1 for p in range(4, DISTANCE_CODES))])  # the value if they are 0
+_FAR = 1 << 20  # marks that a distance follows, twice that a cache entry is all
+_GREEN_EXTRA = np.concatenate([np.zeros(LITERALS, np.int64), _FAR + _EXTRA[:LENGTH_CODES], [2 * _FAR]])
 _EIGHT = np.arange(8)
 _PLANE_X, _PLANE_Y = np.array(PLANE_OFFSETS).T
 
@@ -233,15 +235,17 @@ def _starts(after: np.ndarray, at: int) -> tuple[np.ndarray, int]:
     end = len(after)
     step = np.concatenate([after, np.arange(end, end + 64)])  # beyond the end nothing moves
     two = step.take(step, mode="clip")
-    four, every = memoryview(two.take(two, mode="clip")), []
+    four = two.take(two, mode="clip")
+    eight, every = memoryview(four.take(four, mode="clip")), []
     see = every.append
     while at < end:
         see(at)
-        at = four[at]
-    places = [np.array(every, np.int64)]
-    for _ in range(3):
-        places.append(step.take(places[-1]))
-    token = np.stack(places, axis=1).ravel()
+        at = eight[at]
+    places = np.empty((8, len(every)), np.int64)
+    places[0] = every
+    for i in range(1, 8):
+        step.take(places[i - 1], out=places[i], mode="clip")
+    token = places.T.ravel()
     return token[: np.searchsorted(token, end)], at
 
 
@@ -257,6 +261,13 @@ def read_group(bits: Bits, group: list[PrefixCode], cache_bits: int, width: int,
     cache = [0] * (1 << cache_bits) if cache_bits else []
     cached = 0
     data = np.frombuffer(bits.data, np.uint8)
+    # by the next bits: a token's length as far as the green code tells, more where a distance or nothing but a cache entry follows
+    mask, lengths = (1 << green.most) - 1, green.lengths + _GREEN_EXTRA.take(green.symbols, mode="clip")
+    far_mask, far_lengths = (1 << far.most) - 1, far.lengths + _EXTRA.take(far.symbols)
+    rest = [code for code in (red, blue, alpha) if code.most]
+    if cache_bits and not rest:  # a cache entry ends with its code, as a literal does
+        lengths = np.where(lengths >= 2 * _FAR, lengths - 2 * _FAR, lengths)
+    plain = None if rest or cache_bits else bytearray(total)  # only green differs from pixel to pixel
     while done < total:
         byte = place >> 3
         n = max(1, min(STRETCH, len(data) - byte + 1, (total - done) * 8 + 8))
@@ -265,23 +276,26 @@ def read_group(bits: Bits, group: list[PrefixCode], cache_bits: int, width: int,
         raw[: len(part)] = part
         quad = raw[:-3] | raw[1:-2] << np.uint32(8) | raw[2:-1] << np.uint32(16) | raw[3:] << np.uint32(24)
         window = (quad.astype(np.int64)[:, None] >> _EIGHT).ravel()  # 25 bits and more from each bit on
-        kind, first = green.at(window[: 8 * n])
-        first += np.arange(8 * n)  # where what follows the green code starts
-        after = first.copy()
-        for code in (red, blue, alpha):
-            if code.most:
-                after += code.at(window.take(after))[1]
-        back = np.flatnonzero(kind >= LITERALS)
-        after[back] = first[back]
-        back = back[kind[back] < LITERALS + LENGTH_CODES]
-        after[back] += _EXTRA[kind[back] - LITERALS]
-        prefix, step = far.at(window[after[back]])
-        after[back] += step + _EXTRA[prefix]
+        after = lengths.take(window[: 8 * n] & mask)
+        back = (after >= _FAR).nonzero()[0]
+        if rest:
+            asked = (after[back] >= 2 * _FAR).nonzero()[0]
+            asked, back = back[asked], np.delete(back, asked)
+            after[asked] -= 2 * _FAR
+            sizes = after[asked]
+        after += np.arange(8 * n)  # where what follows the green code, and a length's own bits, starts
+        here = after.take(back) - _FAR
+        if rest:
+            for code in rest:
+                after += code.at(window.take(after, mode="clip"))[1]
+            after[asked] = asked + sizes
+        after[back] = here + far_lengths.take(window.take(here) & far_mask)
         token, at = _starts(after, place - 8 * byte)  # past the picture's end this reads on in vain; what it finds there is cut off below
-        kind = kind[token]
+        kind, first = green.at(window.take(token))
+        first += token
         size = np.ones(len(token), np.int64)
         back = np.flatnonzero((kind >= LITERALS) & (kind < LITERALS + LENGTH_CODES))
-        p, q = kind[back] - LITERALS, first[token[back]]
+        p, q = kind[back] - LITERALS, first[back]
         size[back] = _FIRST[p] + (window[q] & ((1 << _EXTRA[p]) - 1))
         q = q + _EXTRA[p]
         p, step = far.at(window[q])
@@ -301,7 +315,7 @@ def read_group(bits: Bits, group: list[PrefixCode], cache_bits: int, width: int,
             place = 8 * byte + at
         begin = to - size
         literal = np.flatnonzero(kind[:here] < LITERALS)
-        q = first[token[literal]]
+        q = first[literal]
         channels = [kind[literal]]
         for code in (red, blue, alpha):
             if not code.most:
@@ -310,15 +324,25 @@ def read_group(bits: Bits, group: list[PrefixCode], cache_bits: int, width: int,
             value, step = code.at(window[q])
             channels.append(value)
             q = q + step
-        out[begin[literal]] = _argb(*channels)
+        if plain is None:
+            out[begin[literal]] = _argb(*channels)
+        else:
+            np.frombuffer(plain, np.uint8)[begin[literal]] = channels[0]
         inside = int(np.searchsorted(back, here))
         back, distance = back[:inside], distance[:inside]
         if (distance > begin[back]).any():
             raise ValueError("a back-reference leaves the picture")
-        events = list(zip(begin[back].tolist(), size[back].tolist(), distance.tolist(), strict=True))
+        events = zip(begin[back].tolist(), size[back].tolist(), distance.tolist(), strict=True)
         if cache_bits:
             asked = np.flatnonzero(kind[:here] >= LITERALS + LENGTH_CODES)
             events = sorted([*events, *zip(begin[asked].tolist(), [0] * len(asked), (kind[asked] - LITERALS - LENGTH_CODES).tolist(), strict=True)])
+        if plain is not None:
+            for i, n, d in events:
+                if n > d:  # repeats what it writes
+                    plain[i : i + n] = (plain[i - d : i] * (n // d + 1))[:n]
+                else:
+                    plain[i : i + n] = plain[i - d : i - d + n]
+            events = ()
         for i, n, d in events:
             if n > d:  # repeats what it writes
                 out[i : i + n] = np.resize(out[i - d : i], n)
@@ -332,6 +356,8 @@ def read_group(bits: Bits, group: list[PrefixCode], cache_bits: int, width: int,
         done = min(total, int(to[min(here, len(to)) - 1]))
     bits.at, bits.window, bits.have = place >> 3, 0, 0
     bits.read(place & 7)
+    if plain is not None:
+        out = _argb(np.frombuffer(plain, np.uint8), red.symbols, blue.symbols, alpha.symbols)
     return out.reshape(height, width)
 
 
@@ -487,25 +513,34 @@ def code_lengths(counts: np.ndarray, longest: int) -> list[int]:
     if len(used) < 2:
         out[used[0] if used else 0] = 1
         return out
-    weights = [int(counts[s]) for s in used]
+    weights, n = counts.take(used), len(used)
     while True:
-        heap = [(w, i) for i, w in enumerate(weights)]
-        heapq.heapify(heap)
-        up, n = [0] * (2 * len(used) - 1), len(used)
-        while len(heap) > 1:
-            a = heapq.heappop(heap)
-            b = heap[0]
-            up[a[1]] = up[b[1]] = n
-            heapq.heapreplace(heap, (a[0] + b[0], n))
-            n += 1
-        depth = [0] * n
-        for i in range(n - 2, -1, -1):
-            depth[i] = depth[up[i]] + 1
-        if max(depth[: len(used)]) <= longest:
+        # leaves by weight, then joined pairs in the order they were made: both rise, so the two least are at the fronts
+        order = weights.argsort(kind="stable")
+        leaves = weights.take(order).tolist()
+        joined, up, i, j = [leaves[0] + leaves[1]], [0] * n, 2, 0
+        ups = [0] * (n - 1)
+        lone = [*leaves, 1 << 62]
+        for new in range(1, n - 1):
+            a = lone[i]
+            if a <= joined[j]:
+                up[i], i = new, i + 1
+            else:
+                a, ups[j], j = joined[j], new, j + 1
+            b = lone[i]
+            if j == new or b <= joined[j]:
+                up[i], i = new, i + 1
+            else:
+                b, ups[j], j = joined[j], new, j + 1
+            joined.append(a + b)
+        depth = [0] * (n - 1)
+        for k in range(n - 3, -1, -1):
+            depth[k] = depth[ups[k]] + 1
+        if depth[up[0]] < longest:  # the lightest leaf is among the deepest
             break
-        weights = [(w + 1) // 2 + 1 for w in weights]  # flatter until it fits
-    for s, d in zip(used, depth, strict=False):
-        out[s] = d
+        weights = (weights + 1) // 2 + 1  # flatter until it fits
+    for s, u in zip(order.tolist(), up, strict=True):
+        out[used[s]] = depth[u] + 1
     return out
 
 
@@ -550,17 +585,20 @@ def put_code(out: BitWriter, lengths: list[int]) -> None:
         for s in used:
             out.put(s, 8)
         return
-    out.put(0, 1)
     runs = _runs(lengths)
     own = code_lengths(np.bincount([s for s, _, _ in runs], minlength=19), 7)
     codes, sizes = (x.tolist() for x in canonical(own))
     n = max(4, max(i + 1 for i, s in enumerate(CODE_LENGTH_ORDER) if own[s]))
-    out.put(n - 4, 4)
+    value, at = n - 4 << 1, 5
     for s in CODE_LENGTH_ORDER[:n]:
-        out.put(own[s], 3)
-    out.put(0, 1)
+        value |= own[s] << at
+        at += 3
+    at += 1
     for s, extra, bits in runs:
-        out.put(codes[s] | extra << sizes[s], sizes[s] + bits)
+        n = sizes[s]
+        value |= (codes[s] | extra << n) << at
+        at += n + bits
+    out.put(value, at)
 
 
 def pack(values: np.ndarray, sizes: np.ndarray) -> np.ndarray:
@@ -598,17 +636,19 @@ def matches(data: bytes) -> np.ndarray:
         return np.zeros((0, 3), np.int64)
     key = np.ndarray(n - MIN_MATCH + 1, "<u8", data, strides=(1,)).copy()  # MIN_MATCH bytes from each on
     order = np.argsort((key * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(48)).astype(np.uint16), kind="stable")
-    same = np.flatnonzero(key[order[1:]] == key[order[:-1]])
+    sorted_key = key.take(order)
+    same = np.flatnonzero(sorted_key[1:] == sorted_key[:-1])
     before = np.full(len(key), -1, np.int64)
     before[order[same + 1]] = order[same]
     if n > MOST_DISTANCE:
         before[np.arange(len(key)) - before > MOST_DISTANCE] = -1
-    found, end = [], 0
+    found = []
     at = np.flatnonzero(before >= 0)
-    number = int.from_bytes
-    for i, j in zip(at.tolist(), before[at].tolist(), strict=True):
-        if i < end:
-            continue
+    before = before.take(at).tolist()
+    at = at.tolist()
+    number, here = int.from_bytes, 0
+    while here < len(at):
+        i, j = at[here], before[here]
         k, most = MIN_MATCH, min(MOST_LENGTH, n - i)
         while k < most:
             differ = number(data[i + k : i + k + 24], "little") ^ number(data[j + k : j + k + 24], "little")
@@ -619,9 +659,20 @@ def matches(data: bytes) -> np.ndarray:
         k = min(k, most)
         found.append((i, k, i - j))
         end = i + k
+        here = bisect_left(at, end, here + 1)
     return np.array(found, np.int64).reshape(-1, 3)
 
 
+def _lone(n: int, found: np.ndarray) -> np.ndarray:
+    """Which of n places are in none of the repeats, which ascend and don't overlap."""
+    turns = np.zeros((len(found) + 1, 2), np.int64)
+    turns[:-1, 1] = found[:, 1]
+    turns[:-1, 0] = found[:, 0]
+    turns[-1, 0] = n
+    turns[1:, 0] -= found[:, 0] + found[:, 1]
+    return np.tile([True, False], len(turns)).repeat(turns.ravel())
+
+
 _plane_codes: dict[int, dict[int, int]] = {}
 
 
@@ -645,10 +696,7 @@ def _put_picture(out: BitWriter, top: bool, channels: list, cache_bits: int = 0,
     token = None
     if found is not None and len(found):
         start, size, distance = found.T
-        cover = np.zeros(len(kind) + 1, np.int64)
-        cover[start] += 1
-        np.subtract.at(cover, start + size, 1)
-        token = np.cumsum(cover)[:-1] == 0
+        token = _lone(len(kind), found)
         token[start] = True
         lengths, far = prefixes(size), prefixes(_distance_codes(distance, width))
         kind[start] = LITERALS + lengths[0]
@@ -669,28 +717,26 @@ def _put_picture(out: BitWriter, top: bool, channels: list, cache_bits: int = 0,
         codes, sizes = canonical(own)
         return codes.take(symbols), sizes.take(symbols)
 
-    # a token's parts in the order they are read: green or length, its extra bits, red, blue, alpha, distance, its extra bits
-    parts = [coded(kind, LITERALS + LENGTH_CODES + (1 << cache_bits if cache_bits else 0))]
-    if token is not None:
-        parts.append(_placed(len(kind), back, lengths[1], lengths[2]))
+    # a token's parts in the order they are read: green or length, its extra bits, red, blue, alpha, distance, its extra bits; 52 bits at most
+    value, bits = coded(kind, LITERALS + LENGTH_CODES + (1 << cache_bits if cache_bits else 0))
+    literal = None
     for c in channels[1:]:
         if isinstance(c, int):
             out.put(0b101 | c << 3, 11)  # a simple code of one symbol
             continue
-        literal = np.flatnonzero(kind < LITERALS)
-        parts.append(_placed(len(kind), literal, *coded((c if token is None else c[token])[literal], LITERALS)))
+        if literal is None:
+            literal = np.flatnonzero(kind < LITERALS)
+        v, n = coded((c if token is None else c[token])[literal], LITERALS)
+        value[literal] |= v << bits[literal]
+        bits[literal] += n
     if token is None:
         put_code(out, [1])
     else:
-        parts += [_placed(len(kind), back, *coded(far[0], DISTANCE_CODES)), _placed(len(kind), back, far[1], far[2])]
-    return pack(np.stack([v for v, _ in parts], axis=1).ravel(), np.stack([n for _, n in parts], axis=1).ravel())
-
-
-def _placed(n: int, at: np.ndarray, values: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Values and sizes at these of n tokens; nothing at the others."""
-    v, s = np.zeros(n, np.int64), np.zeros(n, np.int64)
-    v[at], s[at] = values, sizes
-    return v, s
+        v, n = value[back], bits[back]
+        for more, size in ((lengths[1], lengths[2]), coded(far[0], DISTANCE_CODES), (far[1], far[2])):
+            v, n = v | more << n, n + size
+        value[back], bits[back] = v, n
+    return pack(value, bits)
 
 
 _C_LOG_C = np.concatenate([[0.0], np.arange(1, 1 << 12) * np.log2(np.arange(1, 1 << 12))])
@@ -736,10 +782,7 @@ def encode_rows(rows: np.ndarray) -> bytes:
         flat = rows.ravel()
     data = flat.tobytes()
     found = matches(data)
-    cover = np.zeros(len(data) + 1, np.int64)
-    cover[found[:, 0]] += 1
-    np.subtract.at(cover, found[:, 0] + found[:, 1], 1)
-    lone = flat[np.cumsum(cover)[:-1] == 0]
+    lone = flat[_lone(len(data), found)]
     cost = _entropy(np.bincount(lone)) + 20 * len(found)
     if not mode:  # three bytes to a pixel and a cache may be shorter
         with_cache = _with_cache(rows, cost)
@@ -806,7 +849,7 @@ def _with_cache(rows: np.ndarray, cost: float) -> bytes | None:
     if 4 * np.count_nonzero(np.bincount(mixed >> 20)) > len(argb):  # most colours are new
         return None
     entry = mixed >> (32 - CACHE_BITS)
-    order = np.argsort(entry, kind="stable")
+    order = np.argsort(entry.astype(np.uint8), kind="stable")
     hit = np.zeros(len(argb), bool)
     hit[order[1:]] = argb[order[1:]] == argb[order[:-1]]  # one colour has one entry
     kinds = np.concatenate([colours[~hit, 1], LITERALS + entry[hit]])
