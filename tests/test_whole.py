@@ -122,3 +122,42 @@ def test_codes_of_many_lists():
     rows = [rng.integers(0, 1 << int(rng.integers(1, 60)), n).astype(np.uint64) for n in [0, 1, 2, 7, 9, 63, 64, 65, 100, 700] * 4]
     rows += [np.where(rng.random(2048) < 0.9, rng.integers(0, 8, 2048), rng.integers(0, 1 << 14, 2048)).astype(np.uint64) for _ in range(5)]
     assert vwidth.encode_many(rows, at_once=3) == [vwidth.encode(r) for r in rows]
+
+
+def test_parts_give_the_rows_of_the_track(spark, sf):
+    """Blocks from packed days, filled by stride where they are compressed, are those of the strided track, for all three codecs."""
+    from dataclasses import replace
+
+    from corridor.baselines import codecs
+    from corridor.plans import codec
+    from corridor.queries.methods import opt, track
+    from corridor.queries.workloads import day_parts, samples
+    from corridor.sources.tracks import fill_frames, strided
+
+    t, o = track(spark, sf, "f5").persist(), replace(opt("f5", block=100), width=4)
+    parts = codec.pack_parts(day_parts(spark, sf, keys=2), ["key", "t", "last", "v0", "v1"]).persist()
+    rows = lambda df: sorted(map(tuple, df.collect()))
+    counts = samples(parts, (1, 7))
+    for n in (1, 7):
+        s, fill = strided(t, n), lambda table, n=n: fill_frames(table, 2, n)
+        assert counts[n] == s.count()
+        assert rows(codec.compress_parts(parts, fill, o)) == rows(codec.compress(s, o))
+        assert rows(codecs.native_full(parts, o, True, fill)) == rows(codecs.native_full(s, o))
+        assert rows(codecs.general(parts, o, ("bz2",), True, fill)) == rows(codecs.general(s, o, ("bz2",)))
+    t.unpersist()
+    parts.unpersist()
+
+
+def test_transform_of_periodic_bytes():
+    """Equal rotations stand in the order of their starts, as sorted by Python; a run's ranks are 0."""
+    import numpy as np
+
+    from corridor.baselines import codecs
+
+    rng = np.random.default_rng(2)
+    for data in (b"a", b"ab" * 20, b"abc" * 7, bytes(300), b"abcdefgh" * 9, b"banana" * 4 + b"x" * 30, bytes(rng.integers(0, 3, 400).astype(np.uint8))):
+        order = sorted(range(len(data)), key=lambda i: (data[i:] + data[:i], i))
+        last = bytes(data[i - 1] for i in order)
+        assert codecs.bwt(data) == (last, order.index(0)) and codecs.unbwt(*codecs.bwt(data)) == data
+        assert codecs.unfront(codecs.front(last)) == last
+    assert codecs.front(b"") == b""
