@@ -83,3 +83,40 @@ def test_replicas_run_in_many_tasks(spark, sf):
 
     t = vector_wells(spark.read.parquet(f"{sf}/embeddings.parquet"), 8, 0, 2)
     assert t.select(F.spark_partition_id()).distinct().count() > 4
+
+
+def test_grid_from_days_is_that_of_the_track(spark, sf):
+    """Parts give the bits of one track, native bits across edges of small parts included, and no frame is a row."""
+    from corridor.queries import workloads as W
+    from corridor.queries.methods import opt, track
+
+    o = opt("f5", block=2048)
+    df = W.ratio_grid_days(spark, sf, o, (1, 64))
+    plan = df._jdf.queryExecution().optimizedPlan().toString()
+    assert "Window" not in plan and " x#" not in plan
+    t = track(spark, sf, "f5")
+    rows = lambda df: sorted(map(tuple, df.collect()))
+    want = rows(W.ratio_grid_axes(t, o, (1, 64)))
+    assert rows(df) == want and len(want) == 12
+    cut = W.ratio_grid_days(spark, sf, o, (1, 64), keys=2)  # edges between five parts; only whole buckets have the other bits
+    assert sorted((r.axis, r.eps, r.stride, r.native_bits) for r in cut.collect()) == sorted((r[0], r[1], r[2], r[4]) for r in want)
+
+
+def test_edges_of_parts():
+    """A native code of series cut into parts has the bits of the uncut one, also where a part has no series that long."""
+    import numpy as np
+
+    from corridor.queries import workloads as W
+
+    rng = np.random.default_rng(8)
+    length = np.array([9, 4, 7, 2, 3, 9, 1, 5])
+    y = rng.normal(size=(9, 8)).cumsum(axis=0) * 500
+    y[np.arange(9)[:, None] >= length] = 0.0
+    bits, first, last = W.native_edges(y, length)
+    q = np.floor(y + 0.5).astype(np.int64)
+    want = 0
+    for t in range(9):
+        d = [int(q[t, k] - (q[t - 1, k] if t else 0)) for k in range(8) if length[k] > t]
+        want += W.varint_bits(np.diff(np.array(d)))
+        assert (first[t], last[t]) == (d[0], d[-1])
+    assert bits == want
